@@ -6,6 +6,7 @@ import uuid
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 #: Bytes that the word rule treats as separators: blank, tab, line feed, vertical tab, form feed, carriage return.
@@ -46,7 +47,7 @@ def reduce_tasks(spark: SparkSession) -> int:
 
 def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 4 << 20):
     """Cuts a batch into runs of rows whose `column` holds about `most_bytes`; a longer single row is a run of its own."""
-    lengths = pa.compute.binary_length(batch.column(column)).fill_null(0).to_numpy(zero_copy_only=False)
+    lengths = pc.binary_length(batch.column(column)).fill_null(0).to_numpy(zero_copy_only=False)
     start, held = 0, 0
     for i, n in enumerate(lengths):
         if i > start and held + n > most_bytes:
@@ -97,3 +98,23 @@ def rolling(values: np.ndarray, width: int, seed: int = 1) -> np.ndarray:
     for k in range(width):
         out += values[k : k + n] * factors[k]
     return mix64(out)
+
+
+def id_buckets(docs: DataFrame, buckets: int, column: str = "doc_id"):
+    """An expression that deals rows to 0 ... buckets-1 in ascending order of `column`, about evenly by rows; nulls go to 0.
+
+    The bounds are approximate quantiles: at most buckets-1 numbers come to the driver.
+    """
+    from pyspark.sql import functions as F
+
+    if buckets < 2:
+        return F.lit(0)
+    shares = [k / buckets for k in range(1, buckets)]
+    bounds = docs.agg(F.percentile_approx(F.col(column).cast("bigint"), shares, 20 * buckets).alias("b")).first()["b"]
+    bounds = sorted(set(bounds or []))
+    if not bounds:
+        return F.lit(0)
+    array = f"array({', '.join(f'{b}L' for b in bounds)})"
+    steps = ", ".join(str(1 << k) for k in range(len(bounds).bit_length() - 1, -1, -1))
+    # Binary search: how many bounds lie at or below the value.
+    return F.expr(f"coalesce(aggregate(array({steps}), 0, (at, step) -> if(at + step <= {len(bounds)} and element_at({array}, at + step) <= {column}, at + step, at)), 0)")
