@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-_MODULES = ("quality_rules", "byte_bpe", "source_mix", "secret_scan", "spot_fingerprints", "token_files", "shingle_join")
+_MODULES = ("quality_rules", "byte_bpe", "source_mix", "secret_scan", "spot_fingerprints", "token_files", "shingle_join", "language_model")
 
 QUERIES: dict = {}
 ORACLES: dict = {}
