@@ -223,12 +223,12 @@ def similarity_classes(docs: DataFrame, width: int = 5, percent: int = 75) -> Da
     classes = spark.sparkContext.broadcast(count_classes(docs, width))
     rows = materialize(prefixes(docs, classes, width, percent), "shingle-prefixes")
     keys = ["key_a", "key_b", "n"]
-    reps = rows.where("n > 0 and doc_id is not null").groupBy(*keys).agg(F.min("doc_id").alias("rep"))
-    full = rows.where("n > 0").select("doc_id", "prefix_key", "prefix")
-    members = materialize(reps.join(full, F.col("rep") == F.col("doc_id")).groupBy("rep", "n", "prefix_key").agg(F.first("prefix").alias("prefix")), "shingle-sets")
+    # The set key settles the prefix key, and prefixes themselves move once: those of the groups' own documents.
+    reps = rows.where("n > 0 and doc_id is not null").groupBy(*keys).agg(F.min("doc_id").alias("rep"), F.first("prefix_key").alias("prefix_key"))
+    members = materialize(reps.select("rep", "n", "prefix_key"), "shingle-sets")
     gids = members.groupBy("prefix_key", "n").agg(F.min("rep").alias("gid"))
-    in_group = materialize(members.select("rep", "n", "prefix_key").join(gids, ["prefix_key", "n"]).select("rep", "gid", "n"), "shingle-groups")
-    groups = members.join(gids.select("gid"), F.col("rep") == F.col("gid")).select("gid", "n", "prefix")
+    in_group = materialize(members.join(gids, ["prefix_key", "n"]).select("rep", "gid", "n"), "shingle-groups")
+    groups = rows.select(F.col("doc_id").alias("gid"), "n", "prefix_key", "prefix").join(gids, ["gid", "n", "prefix_key"], "left_semi").select("gid", "n", "prefix")
     shared = materialize(shared_elements(elements(groups)), "shingle-shared")
 
     near = shared.where(f"gid <> p_gid and {may_reach(percent)}").select(F.col("p_gid").alias("a"), F.col("gid").alias("b"))
@@ -258,7 +258,7 @@ def similarity_classes(docs: DataFrame, width: int = 5, percent: int = 75) -> Da
     more = materialize(verified(later.join(known, ["a", "b"], "left_anti"), sets, percent), "shingle-links")
 
     final = components(links.unionByName(more)).select(F.col("node").alias("rep"), "label")
-    of_set = reps.join(final, "rep", "left").selectExpr("key_a", "key_b", "n", "rep", "coalesce(label, rep) as label")
+    of_set = reps.drop("prefix_key").join(final, "rep", "left").selectExpr("key_a", "key_b", "n", "rep", "coalesce(label, rep) as label")
     return rows.join(of_set, keys, "left").selectExpr("doc_id", "n as n_shingles", "coalesce(rep, doc_id) as set_id", "coalesce(label, doc_id) as component_id")
 
 
