@@ -14,6 +14,7 @@ repeated ones in order of their ids; other columns are ignored; no rows give no
 from __future__ import annotations
 
 import zlib
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -23,6 +24,7 @@ from filterfleet.llm.byte_bpe import vocabulary_path
 from filterfleet.llm.common import id_buckets, materialize, reduce_tasks, slices, table
 
 END_ID = 1
+MARK = " 0 "  # stands between words in one call of the library
 
 
 class WordEncoder:
@@ -42,20 +44,42 @@ class WordEncoder:
         self.library.no_truncation()
         self.library.no_padding()
         self.most, self.known = most, {}
+        mark = self.library.encode(MARK.strip(), add_special_tokens=False).ids
+        self.mark = mark[0] if len(mark) == 1 else None
+
+    def _learn(self, words: list[bytes]) -> None:
+        """Asks the library for new words: thousands at a time, between marks, which none of these words can contain."""
+        alone = [w for w in words if self.mark is None or MARK.strip().encode() in w]
+        rest = [w for w in words if MARK.strip().encode() not in w] if self.mark is not None else []
+        for k in range(0, len(rest), 4000):
+            part = rest[k : k + 4000]
+            ids = np.asarray(self.library.encode_batch_fast([MARK.join(w.decode() for w in part)], add_special_tokens=False)[0].ids, "<u4")
+            cuts = np.flatnonzero(ids == self.mark)
+            if len(cuts) != len(part) - 1:
+                alone += part
+                continue
+            packed, starts, ends = ids.tobytes(), [0, *(4 * cuts + 4).tolist()], [*(4 * cuts).tolist(), 4 * len(ids)]
+            self.known.update(zip(part, map(packed.__getitem__, map(slice, starts, ends))))
+        for w, e in zip(alone, self.library.encode_batch_fast([w.decode() for w in alone], add_special_tokens=False)):
+            self.known[w] = np.asarray(e.ids, "<u4").tobytes()
 
     def encode_batch(self, texts: list[str | None]) -> list[bytes]:
         """ids of each text with the end id, little-endian unsigned 32-bit."""
         words = [(x or "").encode().split() for x in texts]
-        fresh = list({w for ws in words for w in ws if w not in self.known})
-        if len(self.known) + len(fresh) > self.most:
-            self.known.clear()
-            fresh = list({w for ws in words for w in ws})
-        for k in range(0, len(fresh), 5000):
-            part = fresh[k : k + 5000]
-            found = self.library.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)
-            self.known.update(zip(part, (np.asarray(e.ids, "<u4").tobytes() for e in found)))
-        end, of = np.asarray([END_ID], "<u4").tobytes(), self.known.__getitem__
-        return [b"".join(map(of, ws)) + end for ws in words]
+        flat = list(chain.from_iterable(words))
+        found = list(map(self.known.get, flat))
+        fresh = list({w for w, ids in zip(flat, found) if ids is None})
+        if fresh:
+            if len(self.known) + len(fresh) > self.most:
+                self.known.clear()
+                fresh = list(set(flat))
+            self._learn(fresh)
+            found = list(map(self.known.__getitem__, flat))
+        end, out, at = np.asarray([END_ID], "<u4").tobytes(), [], 0
+        for ws in words:
+            out.append(b"".join(found[at : at + len(ws)]) + end)
+            at += len(ws)
+        return out
 
 
 _encoders: dict[str, WordEncoder] = {}
@@ -81,25 +105,30 @@ def replace_pairs(ids: np.ndarray, first: int, rounds: int = 6, pairs: int = 102
     """
     seq, rules, lengths = ids.astype(np.int64), [], []
     cells = 1 << 18
-    for _ in range(rounds):
+    for turn in range(rounds):
         if len(seq) < 2 * least:
             break
+        # Each cell of a hash table stands for the last pair that falls into it; another round hashes otherwise.
         code = seq[:-1] << 32 | seq[1:]
-        cell = (seq[:-1] * 40503 + seq[1:]) & (cells - 1)
-        likely = np.bincount(cell, minlength=cells)[cell] >= least  # a pair occurs at most as often as its cell
-        found, counts = np.unique(code[likely], return_counts=True)
+        cell = (seq[:-1] * (40503 + 2 * turn) + seq[1:]) & (cells - 1)
+        pair = np.full(cells, -1, np.int64)
+        pair[cell] = code
+        place = np.flatnonzero(pair[cell] == code)
+        counts = np.bincount(cell[place], minlength=cells)
         best = np.flatnonzero(counts >= least)
-        if len(best) > pairs:
-            best = np.sort(best[np.argpartition(-counts[best], pairs)[:pairs]])
-        chosen = found[best]
-        if not len(chosen):
+        if not len(best):
             break
-        place = np.minimum(np.searchsorted(chosen, code), len(chosen) - 1)
-        at = np.flatnonzero(likely & (chosen[place] == code))
+        if len(best) > pairs:
+            best = best[np.argpartition(-counts[best], pairs)[:pairs]]
+        chosen, number = np.sort(pair[best]), np.full(cells, -1, np.int64)
+        number[best] = np.searchsorted(chosen, pair[best])
+        of = number[cell[place]]
+        at, of = place[of >= 0], of[of >= 0]
         run = np.concatenate([[True], np.diff(at) > 1])
         head = np.maximum.accumulate(np.where(run, np.arange(len(at)), 0))
-        at = at[(np.arange(len(at)) - head) % 2 == 0]
-        used, symbol = np.unique(place[at], return_inverse=True)
+        left = (np.arange(len(at)) - head) % 2 == 0
+        at, of = at[left], of[left]
+        used, symbol = np.unique(of, return_inverse=True)
         rules.append(np.column_stack([chosen[used] >> 32, chosen[used] & 0xFFFFFFFF]))
         seq[at] = first + sum(map(len, rules[:-1])) + symbol
         keep = np.ones(len(seq), bool)
