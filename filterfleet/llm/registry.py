@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-_MODULES = ("quality_rules", "byte_bpe", "source_mix", "secret_scan", "spot_fingerprints", "token_files", "shingle_join", "language_model")
+_MODULES = ("quality_rules", "byte_bpe", "source_mix", "secret_scan", "spot_fingerprints", "token_files", "shingle_join", "language_model", "suffix_trees", "suffix_array")
 
 QUERIES: dict = {}
 ORACLES: dict = {}
