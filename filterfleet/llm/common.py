@@ -33,11 +33,24 @@ def shared_dir(spark: SparkSession) -> str:
     return place
 
 
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def materialize(df: DataFrame, what: str) -> DataFrame:
-    """Cuts lineage: writes df as Parquet in the shared folder and reads it back with the same schema."""
+    """Cuts lineage: writes df as Parquet in the shared folder and reads it back with the same schema.
+
+    The shuffles behind the table serve nothing once it is written, so Spark is told to drop their files then.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    before = spark.conf.get(_CLEAN, None)
+    if before is not None:
+        spark.conf.set(_CLEAN, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        if before is not None:
+            spark.conf.set(_CLEAN, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
