@@ -83,7 +83,38 @@ def count_classes(docs: DataFrame, width: int) -> np.ndarray:
     return np.concatenate([found.get(k, np.zeros(part, np.uint8)) for k in range(BLOCKS)])
 
 
-SETS = "doc_id bigint, n bigint, key_a bigint, key_b bigint, prefix_key bigint, prefix binary"
+def parity_sketch(hashes: np.ndarray) -> bytes:
+    """Bit j is the parity of the elements that fall on j; 2 to 4 bits an element, a power of two of them."""
+    bits = max(64, 1 << int(2 * len(hashes) - 1).bit_length())
+    return np.packbits(np.bincount((hashes & np.uint64(bits - 1)).astype(np.int64), minlength=bits).astype(np.uint8) & 1, bitorder="little").tobytes()
+
+
+def least_difference(a: bytes, b: bytes) -> int:
+    """A bound that |A xor B| is never below: each element in one set only flips one bit. The longer sketch is folded."""
+    x, y = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
+    if len(x) < len(y):
+        x, y = y, x
+    x = np.bitwise_xor.reduce(x.reshape(-1, len(y)), axis=0)
+    return int(np.bitwise_count(x ^ y).sum())
+
+
+def possible(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
+    """The (a, b) of pairs that sizes and sketches don't rule out; sketches: (id, n, sketch)."""
+    side = lambda s: sketches.select(F.col("id").alias(s), F.col("n").alias(f"{s}_n"), F.col("sketch").alias(f"{s}_sketch"))
+
+    def run(batches):
+        for batch in batches:
+            keep = [
+                na + nb - least_difference(x, y) >= 2 * needed(na, nb, percent)
+                for na, nb, x, y in zip(*(batch.column(c).to_pylist() for c in ("a_n", "b_n", "a_sketch", "b_sketch")))
+            ]
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    sized = pairs.join(side("a"), "a").join(side("b"), "b").where(f"100 * least(a_n, b_n) >= {percent} * greatest(a_n, b_n)")
+    return sized.mapInArrow(run, "a bigint, b bigint")
+
+
+SETS = "doc_id bigint, n bigint, key_a bigint, key_b bigint, prefix_key bigint, prefix binary, sketch binary"
 
 
 def ordered(hashes: np.ndarray, classes: np.ndarray) -> np.ndarray:
@@ -102,19 +133,23 @@ def prefixes(docs: DataFrame, classes, width: int, percent: int) -> DataFrame:
                     hashes = shingle_hashes(text, width)
                     n = len(hashes)
                     if not n:
-                        rows.append((0, 0, 0, 0, b""))
+                        rows.append((0, 0, 0, 0, b"", b""))
                         continue
                     head = ordered(hashes, classes.value)
                     head.sort()
                     head = head[: prefix_length(n, percent)]
                     keys = [np.add.reduce(hashes), np.add.reduce(mix64(hashes ^ np.uint64(0x5851F42D4C957F2D))), np.add.reduce(mix64(head)) + np.uint64(n)]
-                    rows.append((n, *(int(k.view(np.int64)) for k in keys), head.tobytes()))
-                columns = list(zip(*rows)) or [[]] * 5
-                yield pa.RecordBatch.from_arrays([piece.column("doc_id"), *(pa.array(c, pa.int64()) for c in columns[:4]), pa.array(columns[4], pa.binary())], names=[x.split()[0] for x in SETS.split(", ")])
+                    rows.append((n, *(int(k.view(np.int64)) for k in keys), head.tobytes(), parity_sketch(hashes)))
+                columns = list(zip(*rows)) or [[]] * 6
+                yield pa.RecordBatch.from_arrays([piece.column("doc_id"), *(pa.array(c, pa.int64()) for c in columns[:4]), *(pa.array(c, pa.binary()) for c in columns[4:])], names=[x.split()[0] for x in SETS.split(", ")])
 
     return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(run, SETS)
 
 
+def ends(pairs: DataFrame) -> DataFrame:
+    return materialize(pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct(), "shingle-ids")
+
+
 ELEMENT = "element bigint, gid bigint, n bigint, pos int"
 
 
@@ -225,7 +260,8 @@ def similarity_classes(docs: DataFrame, width: int = 5, percent: int = 75) -> Da
     keys = ["key_a", "key_b", "n"]
     # The set key settles the prefix key, and prefixes themselves move once: those of the groups' own documents.
     reps = rows.where("n > 0 and doc_id is not null").groupBy(*keys).agg(F.min("doc_id").alias("rep"), F.first("prefix_key").alias("prefix_key"))
-    members = materialize(reps.select("rep", "n", "prefix_key"), "shingle-sets")
+    members = materialize(reps, "shingle-sets")
+    sketches = rows.select(F.col("doc_id").alias("id"), "n", "sketch", "key_a", "key_b")
     gids = members.groupBy("prefix_key", "n").agg(F.min("rep").alias("gid"))
     in_group = materialize(members.join(gids, ["prefix_key", "n"]).select("rep", "gid", "n"), "shingle-groups")
     groups = rows.select(F.col("doc_id").alias("gid"), "n", "prefix_key", "prefix").join(gids, ["gid", "n", "prefix_key"], "left_semi").select("gid", "n", "prefix")
@@ -233,11 +269,14 @@ def similarity_classes(docs: DataFrame, width: int = 5, percent: int = 75) -> Da
 
     near = shared.where(f"gid <> p_gid and {may_reach(percent)}").select(F.col("p_gid").alias("a"), F.col("gid").alias("b"))
     inside = in_group.where("rep <> gid").select(F.col("gid").alias("a"), F.col("rep").alias("b"))
-    first_pairs = materialize(near.unionByName(inside).distinct(), "shingle-pairs")
-    crowded = in_group.join(inside.select(F.col("a").alias("gid")).distinct(), "gid", "left_semi").select(F.col("rep").alias("id"))
-    wanted = shared.select(F.col("gid").alias("id")).unionByName(crowded).distinct()
-    sets = materialize(whole_sets(docs, wanted, width), "shingle-whole")
-    links = materialize(verified(first_pairs, sets, percent), "shingle-links")
+    sketched = materialize(sketches.join(members.select(F.col("rep").alias("id"), "n", "key_a", "key_b"), ["id", "n", "key_a", "key_b"], "left_semi").select("id", "n", "sketch"), "shingle-sketches")
+    first_pairs = materialize(possible(near.unionByName(inside).distinct(), sketched, percent), "shingle-pairs")
+
+    def checked(pairs):
+        sets = materialize(whole_sets(docs, ends(pairs), width), "shingle-whole")
+        return materialize(verified(pairs, sets, percent), "shingle-links")
+
+    links = checked(first_pairs)
 
     # Pairs that pivots did not settle: on elements, and in groups, that still hold more than one component.
     label = components(links)
@@ -255,10 +294,10 @@ def similarity_classes(docs: DataFrame, width: int = 5, percent: int = 75) -> Da
     side = lambda s: labelled.select(F.col("gid").alias(f"{s}_gid"), F.col("rep").alias(s), F.col("label").alias(f"{s}_label"))
     later = met.unionByName(crowds).join(side("a"), "a_gid").join(side("b"), "b_gid").where("a_label <> b_label").selectExpr("least(a, b) as a", "greatest(a, b) as b").distinct()
     known = first_pairs.selectExpr("least(a, b) as a", "greatest(a, b) as b")
-    more = materialize(verified(later.join(known, ["a", "b"], "left_anti"), sets, percent), "shingle-links")
+    more = checked(materialize(possible(later.join(known, ["a", "b"], "left_anti"), sketched, percent), "shingle-pairs"))
 
     final = components(links.unionByName(more)).select(F.col("node").alias("rep"), "label")
-    of_set = reps.drop("prefix_key").join(final, "rep", "left").selectExpr("key_a", "key_b", "n", "rep", "coalesce(label, rep) as label")
+    of_set = members.drop("prefix_key").join(final, "rep", "left").selectExpr("key_a", "key_b", "n", "rep", "coalesce(label, rep) as label")
     return rows.join(of_set, keys, "left").selectExpr("doc_id", "n as n_shingles", "coalesce(rep, doc_id) as set_id", "coalesce(label, doc_id) as component_id")
 
 
