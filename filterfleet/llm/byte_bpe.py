@@ -44,7 +44,7 @@ def printable_bytes() -> dict[str, int]:
 class PrefixBpe:
     """Encoder and decoder of one vocabulary file."""
 
-    def __init__(self, path: str, most_pieces: int = 400_000, most_pairs: int = 2_000_000):
+    def __init__(self, path: str, most_pieces: int = 300_000, most_pairs: int = 300_000):
         import ahocorasick
         import regex
 

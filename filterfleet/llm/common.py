@@ -33,24 +33,25 @@ def shared_dir(spark: SparkSession) -> str:
     return place
 
 
-_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Settings while a table is written: the shuffles behind it serve nothing once it is there, so their files go then;
+#: and rows are wide (whole texts and sets), so fewer of them travel to Python at a time.
+_WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "2000"}
 
 
 def materialize(df: DataFrame, what: str) -> DataFrame:
-    """Cuts lineage: writes df as Parquet in the shared folder and reads it back with the same schema.
-
-    The shuffles behind the table serve nothing once it is written, so Spark is told to drop their files then.
-    """
+    """Cuts lineage: writes df as Parquet in the shared folder and reads it back with the same schema."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
-    before = spark.conf.get(_CLEAN, None)
-    if before is not None:
-        spark.conf.set(_CLEAN, "true")
+    before = {k: spark.conf.get(k, None) for k in _WRITING}
+    for k, v in _WRITING.items():
+        if before[k] is not None:
+            spark.conf.set(k, v)
     try:
         df.write.parquet(path)
     finally:
-        if before is not None:
-            spark.conf.set(_CLEAN, before)
+        for k, v in before.items():
+            if v is not None:
+                spark.conf.set(k, v)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -85,7 +86,7 @@ def mix64(x: np.ndarray) -> np.ndarray:
 class WordHashes(dict):
     """word bytes -> 64-bit hash; forgets everything when it holds too many words."""
 
-    def __init__(self, most: int = 400_000):
+    def __init__(self, most: int = 200_000):
         super().__init__()
         self.most = most
 

@@ -35,7 +35,7 @@ _EDGES = b".,;:!?\"'()[]{}"
 class SpotWords(dict):
     """word bytes -> 64-bit hash whose lowest bit says whether it is an anchor."""
 
-    def __init__(self, most: int = 400_000):
+    def __init__(self, most: int = 200_000):
         super().__init__()
         self.most, self.anchors = most, {a.encode() for a in ANCHORS}
 
