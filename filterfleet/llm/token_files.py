@@ -34,7 +34,7 @@ class WordEncoder:
     line ends; so a text's ids are its words' ids one after the other.
     """
 
-    def __init__(self, path: str, most: int = 400_000):
+    def __init__(self, path: str, most: int = 250_000):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -176,7 +176,7 @@ def read_ids(seq: np.ndarray, rules: np.ndarray, lengths: np.ndarray, first: int
 BLOCK = "bucket int, block int, first_symbol bigint, n_tokens bigint, n_docs bigint, doc_ids binary, doc_lengths binary, rules binary, rule_lengths binary, sequence binary"
 
 
-def write_files(docs: DataFrame, path: str, first: int = 1 << 16, block_tokens: int = 1 << 20) -> DataFrame:
+def write_files(docs: DataFrame, path: str, first: int = 1 << 16, block_tokens: int = 1 << 19) -> DataFrame:
     """Encodes docs and writes the blocks in ascending order of doc_id; returns the table of blocks as written."""
     tasks = reduce_tasks(docs.sparkSession)
     bucket = id_buckets(docs, tasks)
