@@ -463,3 +463,9 @@ def method_agreement(spark, sf_dir):
     pairs = tagged[0].unionByName(tagged[1]).unionByName(tagged[2]).groupBy("query_id", "filter_id").agg(*(F.count_if(F.col("method") == k).alias(k) for k in found))
     total = lambda k: F.coalesce(F.sum(k), F.lit(0)).alias(f"n_{k}")
     return pairs.agg(*map(total, found), F.count_if(F.expr("scan <> 1 or tree <> 1 or pack <> 1")).alias("n_apart"))
+
+
+from filterfleet.plans import relational  # noqa: E402
+
+QUERIES.update(relational.QUERIES)
+ORACLES.update(relational.ORACLES)
