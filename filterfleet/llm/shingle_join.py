@@ -214,9 +214,10 @@ def shared_elements(rows: DataFrame) -> DataFrame:
 
 
 def may_reach(percent: int, a: str = "", b: str = "p_") -> str:
-    """Length filter, and position filter: what precedes and follows a common element has to leave room for the rest."""
+    """Length filter, and position filter for a pair's first common element: nothing before it is common, so what
+    follows it has to suffice. A pair that reaches the threshold passes at its first common element, if at no other."""
     need = f"({percent} * ({a}n + {b}n) + {99 + percent}) div {100 + percent}"
-    return f"100 * least({a}n, {b}n) >= {percent} * greatest({a}n, {b}n) and least({a}pos, {b}pos) + 1 + least({a}n - 1 - {a}pos, {b}n - 1 - {b}pos) >= {need}"
+    return f"100 * least({a}n, {b}n) >= {percent} * greatest({a}n, {b}n) and 1 + least({a}n - 1 - {a}pos, {b}n - 1 - {b}pos) >= {need}"
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
