@@ -44,7 +44,7 @@ def printable_bytes() -> dict[str, int]:
 class PrefixBpe:
     """Encoder and decoder of one vocabulary file."""
 
-    def __init__(self, path: str, most_pieces: int = 300_000, most_pairs: int = 300_000):
+    def __init__(self, path: str, most_pieces: int = 200_000, most_pairs: int = 200_000):
         import ahocorasick
         import regex
 
@@ -64,35 +64,36 @@ class PrefixBpe:
             self.rank[pair] = rank
             halves.setdefault(ids[a + b], pair)
         self.automaton = ahocorasick.Automaton()
-        self.right: dict[int, list[tuple[int, int]]] = {}
-        self.left: dict[int, list[tuple[int, int]]] = {}
+        self.halves = halves
+        self.edges: tuple[dict, dict] = ({}, {})  # left and right ends of tokens, as they are asked for
         for token in ids.values():
             text = self.bytes_of[token].decode("latin-1")
             self.automaton.add_word(text, (token, len(text)))
         self.automaton.make_automaton()
-        for token in ids.values():
-            self.right[token] = self._edge(token, halves, 1)
-            self.left[token] = self._edge(token, halves, 0)
         self.most_pieces, self.most_pairs = most_pieces, most_pairs
         self.pieces: dict[str, bytes] = {}
         self.pairs: dict[tuple[int, int], bool] = {}
 
-    def _edge(self, token: int, halves: dict[int, tuple[int, int]], side: int) -> list[tuple[int, int]]:
+    def _edge(self, token: int, side: int) -> list[tuple[int, int]]:
         """The parts of a token that lie at one end, innermost first, each with the rank of the merge that absorbs it."""
-        chain, above = [], NEVER
-        while True:
-            chain.append((token, above))
-            if token not in halves:
-                return chain[::-1]
-            pair = halves[token]
-            above, token = self.rank[pair], pair[side]
+        known = self.edges[side].get(token)
+        if known is None:
+            known, above, part = [], NEVER, token
+            while True:
+                known.append((part, above))
+                if part not in self.halves:
+                    break
+                pair = self.halves[part]
+                above, part = self.rank[pair], pair[side]
+            self.edges[side][token] = known = known[::-1]
+        return known
 
     def compatible(self, a: int, b: int) -> bool:
         """Whether BPE on the bytes of a and b together ends with a, b: no merge across the seam ever comes first."""
         known = self.pairs.get((a, b))
         if known is not None:
             return known
-        left, right, i, j, fine = self.right[a], self.left[b], 0, 0, True
+        left, right, i, j, fine = self._edge(a, 1), self._edge(b, 0), 0, 0, True
         while True:
             (x, x_goes), (y, y_goes) = left[i], right[j]
             seam = self.rank.get((x, y), NEVER)

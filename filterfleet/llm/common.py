@@ -59,7 +59,7 @@ def reduce_tasks(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
-def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 4 << 20):
+def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 1 << 20):
     """Cuts a batch into runs of rows whose `column` holds about `most_bytes`; a longer single row is a run of its own."""
     lengths = pc.binary_length(batch.column(column)).fill_null(0).to_numpy(zero_copy_only=False)
     start, held = 0, 0
