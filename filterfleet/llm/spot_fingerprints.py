@@ -139,9 +139,7 @@ def compare_with_next(docs: DataFrame) -> DataFrame:
     dealt = rows.withColumn("bucket", id_buckets(rows, tasks))
     tops = {r["bucket"]: r["top"] for r in dealt.groupBy("bucket").agg(F.max("doc_id").alias("top")).collect()}  # a row for each bucket
     order = sorted(tops, reverse=True)
-    extras = [(tops[b], before) for b, before in zip(order, [order[-1], *order]) if tops[b] is not None]
-    if not extras:
-        extras = [(None, 0)]
+    extras = [(tops[b], before) for b, before in zip(order, [*order[-1:], *order])]
     extra = docs.sparkSession.createDataFrame(extras, "top bigint, to_bucket int")
     copies = rows.join(F.broadcast(extra), F.col("doc_id").eqNullSafe(F.col("top"))).select("doc_id", "text", F.col("to_bucket").alias("bucket"), F.lit(1).alias("extra"))
 

@@ -40,7 +40,7 @@ def suffix_ranks(text: np.ndarray, depth: int) -> np.ndarray:
     """A rank for each suffix, in order of its first `depth` symbols (all above 0); deeper order is arbitrary."""
     n = len(text)
     if n < 3 or depth <= 1:
-        order = np.argsort(text, kind="stable")
+        order = np.argsort(text, kind="stable") if depth <= 1 else sorted(range(n), key=lambda i: text[i:].tolist())
         ranks = np.empty(n, np.int64)
         ranks[order] = np.arange(n)
         return ranks
