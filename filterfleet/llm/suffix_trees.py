@@ -104,5 +104,14 @@ def op4_suffix_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return deduplicated(table(spark, sf_dir, "documents"))
 
 
+ORACLE = r"""
+with d as (select doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') as ws from documents),
+w as (select doc_id, unnest(ws) as word, generate_subscripts(ws, 1) as i, case when generate_subscripts(ws, 1) <= len(ws) - 34 then array_to_string(ws[generate_subscripts(ws, 1):generate_subscripts(ws, 1) + 34], ' ') end as win from d),
+f as (select doc_id, i, word, case when win is not null and count(*) over (partition by win) > 1 then 1 else 0 end as twice from w),
+c as (select doc_id, i, word, max(twice) over (partition by doc_id order by i rows between 34 preceding and current row) as gone from f),
+k as (select doc_id, sum(gone)::bigint as n_removed, string_agg(word, ' ' order by i) filter (where gone = 0) as kept from c group by doc_id)
+select d.doc_id, len(ws)::bigint as n_words, coalesce(n_removed, 0) as n_removed, sha256(coalesce(kept, '')) as kept_sha256 from d left join k using (doc_id)
+"""
+
 QUERIES = {"op4_suffix_trees": op4_suffix_trees}
-ORACLES: dict = {}
+ORACLES = {"op4_suffix_trees": ORACLE}
