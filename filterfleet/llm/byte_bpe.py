@@ -21,7 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, types as T
 
-from filterfleet.llm.common import slices, table
+from filterfleet.llm.common import released, slices, table
 
 #: The splitting rule of this vocabulary.
 SPLIT_RULE = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
@@ -44,7 +44,7 @@ def printable_bytes() -> dict[str, int]:
 class PrefixBpe:
     """Encoder and decoder of one vocabulary file."""
 
-    def __init__(self, path: str, most_pieces: int = 200_000, most_pairs: int = 200_000):
+    def __init__(self, path: str, most_pieces: int = 100_000, most_pairs: int = 100_000):
         import ahocorasick
         import regex
 
@@ -181,7 +181,7 @@ def encode(docs: DataFrame, path: str, text: str = "text") -> DataFrame:
                 ends = np.cumsum([0, *map(len, ids)]).astype(np.int32)
                 yield _extended(part, schema, pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids).astype(np.int32) if ids else np.empty(0, np.int32))))
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(released(run), schema)
 
 
 def decode(tokens: DataFrame, path: str) -> DataFrame:
@@ -195,7 +195,7 @@ def decode(tokens: DataFrame, path: str) -> DataFrame:
                 part = batch.slice(start, 500)
                 yield _extended(part, schema, pa.array([bpe.decode(x or []) for x in part.column("ids").to_pylist()], pa.string()))
 
-    return tokens.mapInArrow(run, schema)
+    return tokens.mapInArrow(released(run), schema)
 
 
 def digests(docs: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
@@ -213,7 +213,7 @@ def digests(docs: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",)) ->
                 text_sha.append(hashlib.sha256(bpe.decode(ids).encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(counts, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())], names=schema.fieldNames())
 
-    return docs.select(*keep, "text").mapInArrow(run, schema)
+    return docs.select(*keep, "text").mapInArrow(released(run), schema)
 
 
 def op2_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -72,6 +72,23 @@ def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 1 << 20):
         yield batch.slice(start)
 
 
+def released(run):
+    """A map over Arrow batches that gives freed memory back at the end of its partition, as workers are used again."""
+
+    def inner(batches):
+        import ctypes
+
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+            if trim:
+                trim(0)
+
+    return inner
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """Finalizer that spreads every input bit over 64 bits (uint64 in, uint64 out)."""
     x = x.copy()
@@ -86,7 +103,7 @@ def mix64(x: np.ndarray) -> np.ndarray:
 class WordHashes(dict):
     """word bytes -> 64-bit hash; forgets everything when it holds too many words."""
 
-    def __init__(self, most: int = 200_000):
+    def __init__(self, most: int = 100_000):
         super().__init__()
         self.most = most
 

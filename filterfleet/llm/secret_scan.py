@@ -18,7 +18,7 @@ import re
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from filterfleet.llm.common import slices, table
+from filterfleet.llm.common import released, slices, table
 
 KINDS = ("assign", "access", "hex", "novel")
 #: The base patterns and their least lengths.
@@ -114,7 +114,7 @@ def scan(docs: DataFrame) -> DataFrame:
                 columns = list(zip(*rows)) or [[]] * 6
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), *(pa.array(c, pa.int64()) for c in columns[:4]), *(pa.array(c, pa.string()) for c in columns[4:])], names=[x.split()[0] for x in SCANNED.split(", ")])
 
-    return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(run, SCANNED)
+    return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(released(run), SCANNED)
 
 
 def mask_text(text: str | None) -> str | None:
@@ -140,7 +140,7 @@ def mask(docs: DataFrame) -> DataFrame:
                 fresh = {"text": pa.array(texts, pa.string()), "n_chars": pa.array([None if x is None else len(x) for x in texts], pa.int64())}
                 yield pa.RecordBatch.from_arrays([fresh.get(c, part.column(c)) for c in names], names=names)
 
-    return (docs.withColumn("n_chars", F.col("n_chars").cast("bigint")) if "n_chars" in names else docs).mapInArrow(run, docs.schema if "n_chars" not in names else docs.withColumn("n_chars", F.col("n_chars").cast("bigint")).schema)
+    return (docs.withColumn("n_chars", F.col("n_chars").cast("bigint")) if "n_chars" in names else docs).mapInArrow(released(run), docs.schema if "n_chars" not in names else docs.withColumn("n_chars", F.col("n_chars").cast("bigint")).schema)
 
 
 def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -23,7 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from filterfleet.llm.common import WordHashes, materialize, mix64, reduce_tasks, rolling, slices, table
+from filterfleet.llm.common import WordHashes, materialize, mix64, reduce_tasks, released, rolling, slices, table
 from filterfleet.llm.components import components
 
 CELLS = 1 << 20
@@ -77,8 +77,8 @@ def count_classes(docs: DataFrame, width: int) -> np.ndarray:
     def done(block, total):
         return pa.RecordBatch.from_arrays([pa.array([block], pa.int32()), pa.array([np.minimum(4 * np.log2(np.maximum(total, 1)), 255).astype(np.uint8).tobytes()], pa.binary())], names=["block", "classes"])
 
-    partial = docs.select("text").mapInArrow(count, "block int, cells binary")
-    merged = partial.repartition(min(BLOCKS, reduce_tasks(docs.sparkSession)), "block").sortWithinPartitions("block").mapInArrow(add, "block int, classes binary")
+    partial = docs.select("text").mapInArrow(released(count), "block int, cells binary")
+    merged = partial.repartition(min(BLOCKS, reduce_tasks(docs.sparkSession)), "block").sortWithinPartitions("block").mapInArrow(released(add), "block int, classes binary")
     found = {r["block"]: np.frombuffer(r["classes"], np.uint8) for r in merged.collect()}
     return np.concatenate([found.get(k, np.zeros(part, np.uint8)) for k in range(BLOCKS)])
 
@@ -111,7 +111,7 @@ def possible(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     sized = pairs.join(side("a"), "a").join(side("b"), "b").where(f"100 * least(a_n, b_n) >= {percent} * greatest(a_n, b_n)")
-    return sized.mapInArrow(run, "a bigint, b bigint")
+    return sized.mapInArrow(released(run), "a bigint, b bigint")
 
 
 SETS = "doc_id bigint, n bigint, key_a bigint, key_b bigint, prefix_key bigint, prefix binary, sketch binary"
@@ -143,7 +143,7 @@ def prefixes(docs: DataFrame, classes, width: int, percent: int) -> DataFrame:
                 columns = list(zip(*rows)) or [[]] * 6
                 yield pa.RecordBatch.from_arrays([piece.column("doc_id"), *(pa.array(c, pa.int64()) for c in columns[:4]), *(pa.array(c, pa.binary()) for c in columns[4:])], names=[x.split()[0] for x in SETS.split(", ")])
 
-    return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(run, SETS)
+    return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(released(run), SETS)
 
 
 def ends(pairs: DataFrame) -> DataFrame:
@@ -167,7 +167,7 @@ def elements(groups: DataFrame) -> DataFrame:
                 pos = np.arange(len(total)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
                 yield pa.RecordBatch.from_arrays([pa.array(total), pa.array(repeat("gid")), pa.array(repeat("n")), pa.array(pos.astype(np.int32))], names=["element", "gid", "n", "pos"])
 
-    return groups.select("gid", "n", "prefix").mapInArrow(run, ELEMENT)
+    return groups.select("gid", "n", "prefix").mapInArrow(released(run), ELEMENT)
 
 
 def shared_elements(rows: DataFrame) -> DataFrame:
@@ -210,7 +210,7 @@ def shared_elements(rows: DataFrame) -> DataFrame:
             else:
                 pivot = (element[end], gid[end], n[end], pos[end]) if end < len(element) - 1 else None
 
-    return rows.repartition(tasks, "element").sortWithinPartitions("element", "gid").mapInArrow(run, f"{ELEMENT}, p_gid bigint, p_n bigint, p_pos int")
+    return rows.repartition(tasks, "element").sortWithinPartitions("element", "gid").mapInArrow(released(run), f"{ELEMENT}, p_gid bigint, p_n bigint, p_pos int")
 
 
 def may_reach(percent: int, a: str = "", b: str = "p_") -> str:
@@ -238,7 +238,7 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
                 keep.append(100 * common >= percent * (len(x) + len(y) - common))
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return two.select("a", "b", "a_set", "b_set").mapInArrow(run, "a bigint, b bigint")
+    return two.select("a", "b", "a_set", "b_set").mapInArrow(released(run), "a bigint, b bigint")
 
 
 def whole_sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
@@ -250,7 +250,7 @@ def whole_sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array([shingle_hashes(x, width).tobytes() for x in piece.column("text").to_pylist()], pa.binary())], names=["id", "elements"])
 
     texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").join(ids.withColumnRenamed("id", "doc_id"), "doc_id", "left_semi")
-    return texts.mapInArrow(run, "id bigint, elements binary")
+    return texts.mapInArrow(released(run), "id bigint, elements binary")
 
 
 def similarity_classes(docs: DataFrame, width: int = 5, percent: int = 75) -> DataFrame:
