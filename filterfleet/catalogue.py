@@ -465,6 +465,92 @@ def method_agreement(spark, sf_dir):
     return pairs.agg(*map(total, found), F.count_if(F.expr("scan <> 1 or tree <> 1 or pack <> 1")).alias("n_apart"))
 
 
+
+# --- upkeep, replicas, rebuilds, measures, experiments ---------------------------------------------------------------
+
+
+@query(ORACLES["tree_bf_cost_bulk"])
+def tree_search_replicas(spark, sf_dir):
+    found = tree.tree_search_local(_bulk(spark, sf_dir, "cust", WIDE_FLEET), probes(collection(spark, sf_dir, "cust")), 1 << 30)
+    return found.select("query_id", "nodes_checked").distinct()
+
+
+@query(_search_sql("user", SPEC))
+def tree_search_in_shards(spark, sf_dir):
+    sets = collection(spark, sf_dir, "user")
+    asked = probes(sets)
+    spots = asked.select("query_id", positions(F.col("element"), SPEC).alias("spots"))
+    counted = grow.shard_search(filters.build_filters(sets, SPEC), spots, SPEC, shards=4).groupBy("query_id").agg(F.sum("n_matches").alias("n"))
+    found = _pack("user", SPEC, "")(spark, sf_dir)
+    total = found.groupBy("query_id").agg(F.count("*").alias("m"))
+    agree = counted.join(total, "query_id", "left").where("n = coalesce(m, 0)").select("query_id")
+    return found.join(agree, "query_id", "left_semi")
+
+
+@query(_search_sql("cust", SPEC))
+def tree_rebuild_search(spark, sf_dir):
+    sets = collection(spark, sf_dir, "cust")
+    grown = grow.grow(filters.build_filters(sets, SPEC), SPEC, D, shards=4)
+    return tree.tree_search(tree.rebuild(grown, d=4), probes(sets))[0]
+
+
+@query(O.chain(*O.search("user", SPEC), ("t", "select query_id, site_id as filter_id from probes join mem using (element)"), then="select query_id, filter_id from t"))
+def tree_resize_search(spark, sf_dir):
+    sets = collection(spark, sf_dir, "user")
+    found = tree.tree_search(tree.resize(sets, SPEC), probes(sets))[0]
+    return found.join(scan.exact_search(sets, probes(sets)), ["query_id", "filter_id"], "left_semi")
+
+
+@query(O.chain(("mem", "select site_id, element from (" + O.MEMBERS["cust"] + ") where site_id % 10 <> 0 or element % 2 = 0"), ("all_sites", "select distinct o_custkey as site_id from orders"), O.bits(SPEC), *O.sizes(D, "all_sites"), O.NODE_BITS, then="select node_id, count(*) as ones from nbits join nodes using (level, ix) group by node_id"))
+def tree_replace_filters(spark, sf_dir):
+    sets = collection(spark, sf_dir, "cust")
+    changed = sets.where("site_id % 10 = 0").select(F.col("site_id").alias("filter_id")).distinct()
+    fresh = filters.build_filters(sets.where("site_id % 10 <> 0 or element % 2 = 0"), SPEC)
+    return tree.tree_replace(_bulk(spark, sf_dir), fresh, changed).words.groupBy("node_id").agg(F.sum(F.bit_count("word")).alias("ones"))
+
+
+@query(O.chain(("mem", "select site_id, element from (" + O.MEMBERS["cust"] + ") where site_id % 5 <> 0"), O.bits(SPEC), then="select filter_id, count(*) as ones from bits group by filter_id"))
+def scan_maintenance(spark, sf_dir):
+    sets = collection(spark, sf_dir, "cust")
+    old, fresh = sets.where("element % 3 <> 0 and site_id % 2 = 0"), sets.where("element % 3 <> 0 and site_id % 2 = 1")
+    words = scan.scan_insert(filters.build_filters(old, SPEC), filters.build_filters(fresh, SPEC))
+    words = scan.scan_update(words, filters.build_filters(sets.where("element % 3 = 0"), SPEC))
+    words = scan.scan_delete(words, sets.where("site_id % 5 = 0").select(F.col("site_id").alias("filter_id")).distinct())
+    return filters.fill_stats(words, SPEC, "filter_id").select("filter_id", "ones")
+
+
+@query(O.chain(O.members("nation"), O.bits(SMALL), then="select filter_id, count(*) as ones from bits group by filter_id"))
+def bitmap_layout(spark, sf_dir):
+    return filters.to_bitmaps(collection(spark, sf_dir, "nation"), SMALL).groupBy("filter_id").agg(F.sum(F.bitmap_count("bitmap")).alias("ones"))
+
+
+@query(O.chain(O.members("nation"), O.bits(SMALL), then="select filter_id, pos from bits"))
+def filter_layouts(spark, sf_dir):
+    words = filters.build_filters(collection(spark, sf_dir, "nation"), SMALL)
+    return filters.to_positions(filters.to_sparse(filters.to_dense(words, SMALL)))
+
+
+@query(O.chain(*_COST, ("c", "select p.query_id, 1 + coalesce(sum(n_children), 0) as n from probes p left join hits h on h.query_id = p.query_id and h.level > 0 left join shape s on s.level = h.level and s.ix = h.ix group by p.query_id"), ("w", "select count(*) as n from leaves"), then="select round(avg(c.n), 6) as bf_cost, round(any_value(3 * ln(w.n) / ln(3) + 1), 6) as ideal, round(avg(c.n) / any_value(3 * ln(w.n) / ln(3) + 1), 6) as ratio, avg(c.n) / any_value(3 * ln(w.n) / ln(3) + 1) > 3 as rebuild from c, w"))
+def decay_report(spark, sf_dir):
+    sets = collection(spark, sf_dir, "cust")
+    n = sets.select("site_id").distinct().count()
+    made = costs.decay_report(tree.tree_search(_bulk(spark, sf_dir, "cust", WIDE_FLEET), probes(sets))[1], n, D + 1)
+    return made.select(*(rounded(c, 6) for c in ("bf_cost", "ideal", "ratio")), "rebuild")
+
+
+def _sweep(experiment, values, **defaults):
+    from filterfleet.plans import workloads
+
+    return lambda spark, sf_dir: workloads.sweep(spark, experiment, values, **defaults)
+
+
+for _name, _values, _defaults in (
+    ("filters", [100, 300, 1000], {}), ("order", [2, 3, 4, 8, 16], {}), ("filter_size", [1000, 10_000, 100_000], {"n_filters": 300}), ("target", [1e-7, 1e-4, 0.01, 0.1], {"n_filters": 300}), ("set_size", [10, 100, 500], {"n_filters": 500}),
+    ("metric", None, {}), ("distribution", None, {}), ("construction", None, {"n_filters": 500}), ("saturation_rule", None, {"n_exp": 1000}), ("after_update", None, {}), ("family", None, {}),
+):
+    QUERIES[f"sweep_{_name}"] = _sweep(_name, _values, probes=500, maintained=50, **_defaults)
+
+
 from filterfleet.plans import relational  # noqa: E402
 
 QUERIES.update(relational.QUERIES)

@@ -160,6 +160,10 @@ class ShardTree:
             self.root = -1
         return len(self.touched)
 
+    def replace(self, filter_id: int, words: np.ndarray) -> int:
+        """Takes a filter out and places its new value afresh; returns how many nodes were accessed."""
+        return self.delete(filter_id) + self.insert(filter_id, words)
+
     def search(self, spots: np.ndarray) -> tuple[list[int], int]:
         """Filters that have all of a probe's positions, and the number of nodes tested."""
         if self.root < 0:

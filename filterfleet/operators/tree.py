@@ -168,6 +168,50 @@ def tree_search(index: TreeIndex, probes: DataFrame, cut_every: int = 4) -> tupl
     return matches, costs
 
 
+def tree_search_local(index: TreeIndex, probes: DataFrame, most_bytes: int = 256 << 20) -> DataFrame:
+    """(query_id, filter_id, nodes_checked): a replica of the whole tree in each task, probes searched beside it.
+
+    nodes_checked repeats on each of a probe's matches; a probe without a match has one row with a null filter. The tree
+    has to fit: above most_bytes this refuses, and the level-wise search is the way.
+    """
+    import numpy as np
+    import pandas as pd
+
+    from filterfleet.functions.hashing import positions
+
+    shape = index.nodes.select("tree_id", "node_id", "parent_id", "filter_id").limit(most_bytes // 8 + 1).toPandas()
+    if len(shape) * index.spec.words * 8 > most_bytes:
+        raise ValueError(f"{len(shape)} nodes of {index.spec.m} bits are more than {most_bytes} bytes; use tree_search")
+    at = {k: i for i, k in enumerate(zip(shape.tree_id, shape.node_id))}
+    bits = np.zeros((len(shape), index.spec.words), np.uint64)
+    cells = index.words.toPandas()
+    rows = [at[k] for k in zip(cells.tree_id, cells.node_id)]
+    bits[rows, cells.word_ix.to_numpy(np.int64)] = cells.word.to_numpy(np.int64).view(np.uint64)
+    kids: list[list[int]] = [[] for _ in range(len(shape))]
+    roots = []
+    for i, (tree_id, parent) in enumerate(zip(shape.tree_id, shape.parent_id)):
+        (roots if pd.isna(parent) else kids[at[tree_id, int(parent)]]).append(i)
+    copy = probes.sparkSession.sparkContext.broadcast((bits, kids, roots, [None if pd.isna(f) else int(f) for f in shape.filter_id]))
+
+    def search(frames):
+        bits, kids, roots, ids = copy.value
+        for frame in frames:
+            out = []
+            for query_id, spots in zip(frame.query_id, frame.spots):
+                spots = np.asarray(spots, np.int64)
+                word, mask, level, tested, found = spots // 64, np.uint64(1) << (spots % 64).astype(np.uint64), np.array(roots, np.int64), 0, []
+                while len(level):
+                    tested += len(level)
+                    hits = level[((bits[level[:, None], word] & mask) == mask).all(axis=1)].tolist()
+                    found += [ids[n] for n in hits if ids[n] is not None]
+                    level = np.array([k for n in hits for k in kids[n]], np.int64)
+                out += [(query_id, f, tested) for f in found or [None]]
+            yield pd.DataFrame(out, columns=["query_id", "filter_id", "nodes_checked"]).astype({"filter_id": "Int64"})
+
+    spotted = probes.where("element is not null").select("query_id", positions(F.col("element"), index.spec).alias("spots"))
+    return spotted.mapInPandas(search, "query_id long, filter_id long, nodes_checked long")
+
+
 def search_cost(costs: DataFrame) -> DataFrame:
     """(query_id, nodes_checked)."""
     return costs.groupBy("query_id").agg(F.sum("checked").alias("nodes_checked"))
@@ -223,6 +267,15 @@ def revalue(index: TreeIndex, leaf_words: DataFrame) -> DataFrame:
     return leaf_words.join(ancestors(index.nodes), "filter_id").groupBy("tree_id", "node_id", "word_ix").agg(F.bit_or("word").alias("word"))
 
 
+def tree_replace(index: TreeIndex, fresh: DataFrame, changed: DataFrame) -> TreeIndex:
+    """Filters whose bits are to be set anew, elements gone included: changed (filter_id) take their words from fresh.
+
+    Bits can't be taken out of an OR, so all node values are formed again from the leaves; the shape stays.
+    """
+    kept = leaf_words(index).join(changed, "filter_id", "left_anti")
+    return TreeIndex(index.nodes, revalue(index, kept.unionByName(fresh.join(changed, "filter_id", "left_semi"))), index.spec, index.d)
+
+
 def leaf_words(index: TreeIndex) -> DataFrame:
     leaves = index.nodes.where("level = 0").select("tree_id", "node_id", "filter_id")
     return index.words.join(leaves, ["tree_id", "node_id"]).select("filter_id", "word_ix", "word")

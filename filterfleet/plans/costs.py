@@ -75,3 +75,8 @@ def level_fp(index: TreeIndex, elements: int) -> DataFrame:
 def messages(rounds: DataFrame) -> DataFrame:
     """Sites asked in each round of a provenance search, with the index and without."""
     return rounds.groupBy("round").agg(F.sum("asked").alias("with_index"), F.sum("all_sites").alias("without_index"))
+
+
+def decay_report(costs: DataFrame, n: int, fanout: float, most_ratio: float = 3.0) -> DataFrame:
+    """Mean nodes tested beside the ideal, and whether the index is due for a rebuild."""
+    return search_bf_cost(costs).withColumns({"ideal": F.lit(ideal_cost(max(n, 2), fanout)), "ratio": F.col("bf_cost") / ideal_cost(max(n, 2), fanout)}).withColumn("rebuild", F.col("ratio") > most_ratio)
