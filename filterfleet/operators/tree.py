@@ -126,7 +126,7 @@ def bulk_load(filter_words: DataFrame, spec: FilterSpec, d: int = 2, order: str
     sizes = level_sizes(places.count(), d)
     above = lineage(places, sizes, d)
     words = filter_words.join(above, "filter_id").groupBy(F.lit(0).alias("tree_id"), "node_id", "word_ix").agg(F.bit_or("word").alias("word"))
-    return TreeIndex(bulk_nodes(places, sizes, d), words, spec, d)
+    return TreeIndex(bulk_nodes(places, sizes, d), checkpointed(words), spec, d)  # a search reads the values once a level
 
 
 def tree_search(index: TreeIndex, probes: DataFrame, cut_every: int = 4) -> tuple[DataFrame, DataFrame]:
@@ -143,28 +143,29 @@ def tree_search(index: TreeIndex, probes: DataFrame, cut_every: int = 4) -> tupl
     empty = queries.limit(0).select("query_id", F.lit(0).cast("bigint").alias("filter_id"))
     if top is None:
         return empty, empty.select("query_id", F.lit(0).alias("level"), F.lit(0).cast("bigint").alias("checked"), F.lit(0).cast("bigint").alias("matched"))
-    roots = nodes.where("parent_id is null").select("tree_id", "node_id", "level", "filter_id")
-    frontier = queries.crossJoin(broadcast_if_small(roots))  # a probe asks every root: one, or one a shard
-    matches, costs = empty, None
-    for step in range(top + 1):
+    roots = broadcast_if_small(nodes.where("parent_id is null").select("tree_id", "node_id", "level", "filter_id"))
+    heights = {r["level"] for r in nodes.where("parent_id is null").select("level").distinct().collect()}
+    leveled = checkpointed(index.words.join(shape.select("tree_id", "node_id", "level"), ["tree_id", "node_id"]))
+    frontier, matches, costs = None, empty, None
+    for level in range(top, -1, -1):
+        if level in heights:  # a probe asks every root: one, or one a shard
+            asked = queries.crossJoin(roots.where(F.col("level") == level)).select("query_id", "tree_id", "node_id", "filter_id")
+            frontier = asked if frontier is None else frontier.unionByName(asked)
         here = (
             frontier.join(wanted, "query_id")
-            .join(index.words, ["tree_id", "node_id", "word_ix"], "left")
-            .groupBy("query_id", "tree_id", "node_id", "level", "filter_id")
+            .join(leveled.where(F.col("level") == level).drop("level"), ["tree_id", "node_id", "word_ix"], "left")
+            .groupBy("query_id", "tree_id", "node_id", "filter_id")
             .agg(F.count_if(F.expr("word & mask = mask")).alias("n"), F.first("n_words").alias("of"))
             .withColumn("hit", F.col("n") == F.col("of"))
         )
-        here = checkpointed(here) if step % cut_every == cut_every - 1 else here
-        cost = here.groupBy("query_id", "level").agg(F.count("*").alias("checked"), F.count_if("hit").alias("matched"))
+        here = checkpointed(here) if (top - level) % cut_every == cut_every - 1 else here
+        cost = here.groupBy("query_id").agg(F.lit(level).alias("level"), F.count("*").alias("checked"), F.count_if("hit").alias("matched"))
         costs = cost if costs is None else costs.unionByName(cost)
-        matches = matches.unionByName(here.where("hit and level = 0").select("query_id", "filter_id"))
-        below = shape.select("tree_id", F.col("parent_id").alias("up"), F.col("node_id").alias("down"), F.col("level").alias("down_level"), F.col("filter_id").alias("down_filter"))
-        frontier = (
-            here.where("hit and level > 0")
-            .withColumnRenamed("node_id", "up")
-            .join(below, ["tree_id", "up"])
-            .select("query_id", "tree_id", F.col("down").alias("node_id"), F.col("down_level").alias("level"), F.col("down_filter").alias("filter_id"))
-        )
+        if level == 0:
+            matches = here.where("hit").select("query_id", "filter_id")
+            break
+        below = shape.where(F.col("level") == level - 1).select("tree_id", F.col("parent_id").alias("up"), F.col("node_id").alias("down"), F.col("filter_id").alias("down_filter"))
+        frontier = here.where("hit").withColumnRenamed("node_id", "up").join(below, ["tree_id", "up"]).select("query_id", "tree_id", F.col("down").alias("node_id"), F.col("down_filter").alias("filter_id"))
     return matches, costs
 
 
