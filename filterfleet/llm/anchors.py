@@ -156,21 +156,24 @@ WINDOWS = "doc_id bigint, mark int, first int, windows int"
 CONTEXT = "key bigint, doc_id bigint, mark int, first int, windows int, again boolean, span binary"
 
 
-def repeated_windows(base: DataFrame, sequence, cut, search, least: int, gram: int, block: int = 1 << 19) -> DataFrame:
+def repeated_windows(base: DataFrame, sequence, cut, search, least: int, gram: int, block: int = 1 << 19, crowd: int = 20_000) -> DataFrame:
     """(doc_id, mark, first, windows): all stretches of window starts that occur again, of rows from `keyed`.
 
     sequence: text bytes -> elements; cut: (text bytes) -> function (first, count) -> bytes of that stretch of elements;
     search: list of (bytes of a context, its windows) -> list of boolean arrays, which windows occur twice among them.
     Equal contexts repeat as they are; only contexts of a kind are searched, beside all others with their gram. A task
-    holds the contexts of one gram after the other, in blocks of about `block` bytes.
+    holds the contexts of one gram after the other, in blocks of about `block` bytes. Where more than `crowd` different
+    contexts share a gram (a very common line amid ever new text), their windows choose anchors again among longer grams,
+    which equal windows still have in common, so that such a crowd is dealt out too.
     """
+    finer = gram + 2 * (least - gram) // 3
     found = materialize(shared_anchors(all_anchors(base, sequence, least, gram)), "repeat-anchors")
-    singles = found.where("stands and not again").select("key").distinct()
+    groups = found.where("stands").groupBy("key").agg(F.max(~F.col("again")).alias("open"), F.count("*").alias("n")).where("open").select("key", (F.col("n") > crowd).alias("crowded"))
     wanted = (
         found.where("stands")
-        .join(singles, "key", "left_semi")
+        .join(groups, "key")
         .groupBy("doc_id", "mark")
-        .agg(F.collect_list(F.struct("key", "first", "windows", "again")).alias("contexts"))
+        .agg(F.collect_list(F.struct("key", "first", "windows", "again", "crowded")).alias("contexts"))
     )
     kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.bool_(), pa.binary()]
     names = [x.split()[0] for x in CONTEXT.split(", ")]
@@ -181,8 +184,14 @@ def repeated_windows(base: DataFrame, sequence, cut, search, least: int, gram: i
             for doc_id, mark, text, contexts in zip(*(batch.column(c) for c in ("doc_id", "mark", "text", "contexts"))):
                 piece, doc_id, mark = cut(text.as_py().encode()), doc_id.as_py(), mark.as_py()
                 for c in contexts.as_py():
-                    rows.append((c["key"], doc_id, mark, c["first"], c["windows"], c["again"], piece(c["first"], c["windows"] + least - 1)))
-                    held += len(rows[-1][-1])
+                    span = piece(c["first"], c["windows"] + least - 1)
+                    parts = [(c["key"], 0, c["windows"])]
+                    if c["crowded"]:
+                        key, _, first, _, windows = anchors(sequence(span), least, finer)
+                        parts = zip(key.view(np.int64).tolist(), first.tolist(), windows.tolist())
+                    for key, first, windows in parts:
+                        rows.append((key, doc_id, mark, c["first"] + first, windows, c["again"], cut(span)(first, windows + least - 1) if c["crowded"] else span))
+                        held += len(rows[-1][-1])
                 if held > 2 << 20:
                     yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), kinds)], names=names)
                     rows, held = [], 0

@@ -102,16 +102,16 @@ def _cut(text: bytes):
     return lambda first, count: text[first : first + count]
 
 
-def repeats(docs: DataFrame, least: int = LEAST, gram: int = 64) -> DataFrame:
+def repeats(docs: DataFrame, least: int = LEAST, gram: int = 64, **options) -> DataFrame:
     """(doc_id, mark, text, stretches) for every document; stretches: where repeated windows start."""
     base = keyed(docs)
-    return with_stretches(base, repeated_windows(base, byte_elements, _cut, lambda c: search_contexts(c, least), least, gram))
+    return with_stretches(base, repeated_windows(base, byte_elements, _cut, lambda c: search_contexts(c, least), least, gram, **options))
 
 
 REMOVED = "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string"
 
 
-def deduplicated(docs: DataFrame, least: int = LEAST, gram: int = 64) -> DataFrame:
+def deduplicated(docs: DataFrame, least: int = LEAST, gram: int = 64, **options) -> DataFrame:
     def run(batches):
         for batch in batches:
             rows = []
@@ -123,7 +123,7 @@ def deduplicated(docs: DataFrame, least: int = LEAST, gram: int = 64) -> DataFra
             kinds = [pa.int64()] * 4 + [pa.string()]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows) if rows else [[]] * 5, kinds)], names=[x.split()[0] for x in REMOVED.split(", ")])
 
-    return repeats(docs, least, gram).mapInArrow(run, REMOVED).withColumn("doc_id", F.expr(f"nullif(doc_id, {-(2**63) + 1}L - 1L)"))
+    return repeats(docs, least, gram, **options).mapInArrow(run, REMOVED).withColumn("doc_id", F.expr(f"nullif(doc_id, {-(2**63) + 1}L - 1L)"))
 
 
 def op5_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:

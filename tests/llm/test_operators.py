@@ -238,6 +238,20 @@ def test_suffix_array(spark, odd, empty):
     assert suffix_array.deduplicated(empty).count() == 0
 
 
+@pytest.mark.parametrize("module, total", [(suffix_trees, "n_words"), (suffix_array, "n_bytes")])
+def test_crowded_grams(spark, module, total):
+    """A common passage amid ever new text, and some of it repeated: longer grams find what shorter ones do."""
+    line = prose("line", 30)
+    texts = [prose(("a", i), 40) + " " + line + " " + prose(("b", i), 40) for i in range(40)] + [prose(("a", 3), 40) + " " + line + " " + prose(("c", i), 30) for i in range(3)]
+    df = frame(spark, texts)
+    usual = sorted(map(tuple, module.deduplicated(df).collect()))
+    assert usual == sorted(map(tuple, module.deduplicated(df, crowd=0).collect())) == sorted(map(tuple, module.deduplicated(df, crowd=5).collect()))
+    least = 35 if module is suffix_trees else 200
+    seqs = [tuple(t.encode().split()) if module is suffix_trees else t.encode() for t in texts]
+    gone = brute_removed(seqs, least)
+    assert [(r.doc_id, r.n_removed) for r in module.deduplicated(df, crowd=0).orderBy("doc_id").collect()] == [(i, sum(g)) for i, g in enumerate(gone)] and sum(map(sum, gone)) > 0
+
+
 @pytest.mark.parametrize("depth", [1, 2, 3, 4, 9, 10, 50])
 def test_suffix_ranks(depth):
     rng = np.random.default_rng(depth)
