@@ -45,6 +45,7 @@ class PrefixBpe:
     """Encoder and decoder of one vocabulary file."""
 
     def __init__(self, path: str, most_pieces: int = 100_000, most_pairs: int = 100_000):
+        """most_pieces, most_pairs: bounds of the memos, about 150 bytes each."""
         import ahocorasick
         import regex
 
@@ -154,11 +155,13 @@ class PrefixBpe:
 _loaded: dict[str, PrefixBpe] = {}
 
 
-def loaded(path: str) -> PrefixBpe:
-    """One encoder for each Python worker and vocabulary."""
+def loaded(path: str, memo: int = 100_000) -> PrefixBpe:
+    """One encoder for each Python worker and vocabulary; its memos grow to the largest size asked for."""
     if path not in _loaded:
         _loaded[path] = PrefixBpe(path)
-    return _loaded[path]
+    bpe = _loaded[path]
+    bpe.most_pieces, bpe.most_pairs = max(bpe.most_pieces, memo), max(bpe.most_pairs, memo)
+    return bpe
 
 
 def _with(schema: T.StructType, name: str, kind: T.DataType) -> T.StructType:
@@ -198,12 +201,12 @@ def decode(tokens: DataFrame, path: str) -> DataFrame:
     return tokens.mapInArrow(released(run), schema)
 
 
-def digests(docs: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+def digests(docs: DataFrame, path: str, keep: tuple[str, ...] = ("doc_id",), memo: int = 400_000) -> DataFrame:
     """Encodes and decodes every text in one pass; returns n_tokens and the digests of ids and decoded text."""
     schema = T.StructType([*(docs.schema[c] for c in keep), T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())])
 
     def run(batches):
-        bpe = loaded(path)
+        bpe = loaded(path, memo)
         for batch in batches:
             counts, ids_sha, text_sha = [], [], []
             for text in batch.column("text"):
