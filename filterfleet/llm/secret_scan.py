@@ -4,7 +4,9 @@ The fixed patterns always report. A further candidate is a run of 16 to 512 cred
 sensitive context (before it, within `reach` characters) that no fixed pattern reports as a whole. Its novelty is the
 marginal cost in zstandard: the compressed size of the surrounding text with the candidate, less that without it, both
 primed with a dictionary of identifiers and common words, divided by the candidate's length. Words, paths and
-repeated identifiers cost little; random keys cost nearly their own length. Novel candidates are reported as `novel`.
+repeated identifiers cost little; random keys cost nearly their own length, whatever classes of characters they mix;
+so does a long word or path that neither the dictionary nor the surroundings hold. Novel
+candidates are reported as `novel`.
 
 Null text counts as empty and has no spans. Offsets are code points, ends exclusive. Repeated rows are scanned each;
 columns other than doc_id and text are ignored; no rows give no rows.
@@ -79,7 +81,7 @@ def novel_spans(text: str, base: list[tuple[int, int, str]], least_rate: float =
             if any(a <= start and end <= b for a, b, _ in base):
                 continue
             s = m[0]
-            if len({c.isdigit() + 2 * c.isupper() + 4 * c.islower() for c in s}) >= 3 and _novelty[0].rate(text[max(0, start - around) : start], s, text[end : end + around]) >= least_rate:
+            if _novelty[0].rate(text[max(0, start - around) : start], s, text[end : end + around]) >= least_rate:
                 found.append((start, end, "novel"))
                 taken = end
     return found

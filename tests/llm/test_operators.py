@@ -399,6 +399,18 @@ def test_secrets(spark, odd, empty):
     assert secret_scan.scan(empty).count() == 0 and secret_scan.mask(empty).count() == 0
 
 
+@pytest.mark.parametrize("letters", ["0123456789abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", "0123456789ABCDEF", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"])
+def test_keys_of_few_classes(letters):
+    rng = random.Random(letters)
+    for size in (20, 32, 40):
+        for before in ("Authorization: Bearer ", "cookie: ", "the api key follows "):
+            key = "".join(rng.choice(letters) for _ in range(size))
+            text = f"{' '.join(WORDS)} {before}{key} {' '.join(reversed(WORDS))}"
+            at = text.index(key)
+            assert (at, at + size, "novel") in secret_scan.scan_text(text)[1]
+            assert key not in secret_scan.mask_text(text)
+
+
 # --- queries and pipeline
 
 
