@@ -1,12 +1,18 @@
 """Secret scans: three fixed patterns, and strings that stay incompressible beside their own surroundings.
 
-The fixed patterns always report. A further candidate is a run of 16 to 512 credential characters near a word of
+The fixed patterns always report. A further candidate is a run of 16 or more credential characters near a word of
 sensitive context (before it, within `reach` characters) that no fixed pattern reports as a whole. Its novelty is the
 marginal cost in zstandard: the compressed size of the surrounding text with the candidate, less that without it, both
 primed with a dictionary of identifiers and common words, divided by the candidate's length. Words, paths and
 repeated identifiers cost little; random keys cost nearly their own length, whatever classes of characters they mix;
 so does a long word or path that neither the dictionary nor the surroundings hold. Novel
-candidates are reported as `novel`.
+candidates are reported as `novel`, from end to end.
+
+A run wrapped into lines of one width (and a shorter last one) is one candidate. Such a block, and a run of more than 512
+characters, is judged in pieces of 64 beside what stands around all of it, and is reported whole if a piece is novel.
+Other runs in the surroundings count only if they have eight characters in a row in common with the candidate.
+After a candidate that is reported, runs with only white space between are candidates too, however far they reach. A
+last line of under 16 characters belongs to a block of two equal lines or more, or one that a closing line follows.
 
 Null text counts as empty and has no spans. Offsets are code points, ends exclusive. Repeated rows are scanned each;
 columns other than doc_id and text are ignored; no rows give no rows.
@@ -30,7 +36,12 @@ HEX = re.compile(r"[0-9a-f]{16,}")
 LEAST_ASSIGN = 12
 #: Words of sensitive context.
 CONTEXT = re.compile(r"(?:password|passwd|pwd|secret|token|api[_ -]?key|credential|private[_ -]?key|auth|bearer|access[_ -]?key|signature|cookie|session)", re.I | re.A)
-CANDIDATE = re.compile(r"[A-Za-z0-9+/_=~.-]{16,512}")
+LEAST = 16
+CANDIDATE = re.compile(r"(?:(?<!\\)|(?![nrt]))[A-Za-z0-9+/_=~.-]{16,}")  # not from the letter of an escape on
+#: White space, also as escapes in strings; a run alone on the next line; the line that closes a key.
+GAP = re.compile(r"(?:\s|\\[nrt])+")
+LINE = re.compile(r"(?:[\x20\t\r]*\n|(?:\\r)?\\n)[\x20\t]*([A-Za-z0-9+/_=~.-]+)(?=[\x20\t\r]*(?:\n|\Z)|\\[nr])", re.A)
+CLOSING = re.compile(r"(?:\s|\\[nrt])*-----END", re.A)
 #: Identifiers and words that code and prose around secrets are made of.
 PRIMER = (
     "password passwd secret token api_key apikey credential private_key access_key authorization bearer session cookie signature username client_id client_secret "
@@ -65,25 +76,66 @@ class Novelty:
 _novelty: list[Novelty] = []
 
 
-def novel_spans(text: str, base: list[tuple[int, int, str]], least_rate: float = 0.6, reach: int = 48, around: int = 400) -> list[tuple[int, int, str]]:
-    """Candidates in sensitive context that the dictionary and the surroundings don't explain."""
+def block_lines(text: str, start: int, end: int) -> list[tuple[int, int]]:
+    """The run and the lines below that wrap it: of its width, each alone on its line, and at last a shorter one."""
+    lines = [(start, end)]
+    while m := LINE.match(text, lines[-1][1]):
+        wide, before = m.end(1) - m.start(1), lines[-1][1] - lines[-1][0]
+        if wide > before or m[1].startswith("-----"):
+            break
+        if wide < before:
+            if len(lines) > 1 or CLOSING.match(text, m.end()):
+                lines.append(m.span(1))
+            break
+        lines.append(m.span(1))
+    return lines
+
+
+def without_others(window: str, s: str, shared: int = 8) -> str:
+    """The window less runs that have nothing in common with s: other keys would make the letters of s look usual."""
+    return CANDIDATE.sub(lambda m: m[0] if any(m[0][k : k + shared] in s for k in range(len(m[0]) - shared + 1)) else "", window)
+
+
+def novel_spans(text: str, base: list[tuple[int, int, str]], least_rate: float = 0.6, reach: int = 48, around: int = 400, whole: int = 512, piece: int = 64) -> list[tuple[int, int, str]]:
+    """Candidates in sensitive context that the dictionary and the surroundings don't explain, and novel runs that follow them."""
     near = [m.end() for m in CONTEXT.finditer(text)]
     if not near:
         return []
     if not _novelty:
         _novelty.append(Novelty())
-    found, taken = [], 0
+    found, taken, dull = [], 0, 0
+    known = lambda s, e: any(a <= s and e <= b for a, b, _ in base)
+
+    def novel(lines: list[tuple[int, int]], most: int | None = None) -> bool:
+        s = "".join(text[a:b] for a, b in lines)[:most]
+        step = len(s) if len(lines) == 1 and len(s) <= whole and most is None else piece
+        before, after = (without_others(w, s) for w in (text[max(0, lines[0][0] - around) : lines[0][0]], text[lines[-1][1] : lines[-1][1] + around]))
+        return any(_novelty[0].rate(before, s[k : k + step], after) >= least_rate for k in range(0, max(1, len(s) - step // 2), step))
+
     for at in near:
-        for m in CANDIDATE.finditer(text, max(at, taken), min(len(text), at + reach + 512)):
-            start, end = m.span()
-            if start > at + reach:
-                break
-            if any(a <= start and end <= b for a, b, _ in base):
-                continue
-            s = m[0]
-            if _novelty[0].rate(text[max(0, start - around) : start], s, text[end : end + around]) >= least_rate:
-                found.append((start, end, "novel"))
-                taken = end
+        start = max(at, taken)
+        while m := CANDIDATE.search(text, start, max(start, min(len(text), at + reach + LEAST))):
+            start = m.start()
+            if start < dull:  # in a long run that was judged from an earlier word on: only what this word begins is new
+                lines, reported = [(start, dull)], novel([(start, dull)], piece)
+            else:
+                lines = block_lines(text, start, CANDIDATE.match(text, start).end())
+                reported = None
+            while True:
+                start, end = lines[0][0], lines[-1][1]
+                if all(known(*x) for x in lines):
+                    follow = True
+                elif follow := novel(lines) if reported is None else reported:
+                    found.append((start, end, "novel"))
+                    taken = end
+                elif len(lines) == 1 and end - start > whole:
+                    dull = end
+                reported, gap = None, GAP.match(text, end)
+                after = follow and gap and CANDIDATE.match(text, gap.end())
+                if not after:
+                    break
+                lines = block_lines(text, *after.span())
+            start = end
     return found
 
 

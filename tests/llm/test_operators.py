@@ -411,6 +411,30 @@ def test_keys_of_few_classes(letters):
             assert key not in secret_scan.mask_text(text)
 
 
+@pytest.mark.parametrize("letters", ["ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", "0123456789abcdefghijklmnopqrstuvwxyz", "0123456789ABCDEF"])
+def test_long_keys_are_taken_whole(letters):
+    rng = random.Random(letters)
+    key = lambda n: "".join(rng.choice(letters) for _ in range(n))
+    for size in (520, 1600, 5000):
+        run = key(size)
+        text = f"{prose(1, 30)} credential {run} {prose(2, 30)}"
+        assert secret_scan.mask_text(text) == f"{prose(1, 30)} credential [SECRET] {prose(2, 30)}"
+    for newline in ("\n", "\r\n", "\\n", "\n    "):
+        body = newline.join([*(key(64) for _ in range(25)), key(11)])
+        text = f"{prose(1, 30)}\n-----BEGIN PRIVATE KEY-----{newline}{body}{newline}-----END PRIVATE KEY-----\n{prose(2, 30)}"
+        masked = secret_scan.mask_text(text)
+        assert len(masked) < len(text) - len(body) + 12 and masked.endswith(prose(2, 30))
+        assert not any(line[1:] in masked for line in body.split(newline))
+    parts = [key(40), key(30), key(50)]
+    assert secret_scan.mask_text(f"session {'  '.join(parts)} and more") == "session [SECRET]  [SECRET]  [SECRET] and more"
+
+
+def test_dull_runs_stay():
+    for run in ("x" * 5000, "token" * 3000, "configuration-settings-environment-path-" * 40):
+        assert secret_scan.scan_text(f"the token {run} of it")[1] == []
+    assert secret_scan.mask_text("secret Zx9Qk2Lm7Rt4Vb1Nc8Yw3Hd6Jf0Ps5G\nThanks\nand more") == "secret [SECRET]\nThanks\nand more"
+
+
 # --- queries and pipeline
 
 
