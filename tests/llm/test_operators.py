@@ -315,6 +315,13 @@ def test_classifier_on_labels(spark, odd, empty):
     assert language_model.accepted(docs, labels).columns == docs.columns
 
 
+def test_low_quality_does_not_pass_by_the_margin(spark):
+    docs, labels = (spark.read.parquet(f"{SF.replace('0.001', '0.01')}/{t}.parquet") for t in ("documents", "labels"))
+    rows = language_model.judged(docs, labels).join(labels, "doc_id").collect()
+    kept = lambda q: np.mean([r.kept for r in rows if r.quality == q])
+    assert kept(0) < 0.03 and kept(1) > 0.97
+
+
 def test_sharded_scores_equal_direct_ones(spark):
     docs, labels = (spark.read.parquet(f"{SF}/{t}.parquet") for t in ("documents", "labels"))
     symbols, model = language_model.train(docs, labels)
