@@ -123,7 +123,7 @@ for _how in ("left", "right", "full"):
 
 @query("select e.event_id, b.site_id from events e join (select o_custkey as site_id, min(o_orderkey) as lo, least(max(o_orderkey), min(o_orderkey) + 500) as hi from orders group by o_custkey) b on e.event_id between b.lo and b.hi where e.event_type = 'purchase'")
 def join_range_blocks(spark, sf_dir):
-    """Ranges are spread over the cells of a grid that they cover, so the join is an equality one with a check."""
+    """Ranges are spread over the cells of a grid that they cover, so the join is an equality one with a check. Ranges end at lo + 500 here; join_range_whole has all."""
     width = 500
     spans = table(spark, sf_dir, "orders").groupBy(F.col("o_custkey").alias("site_id")).agg(F.min("o_orderkey").alias("lo"), F.least(F.max("o_orderkey"), F.min("o_orderkey") + width).alias("hi"))
     cells = spans.withColumn("cell", F.explode(F.sequence(F.expr(f"lo div {width}"), F.expr(f"hi div {width}"))))
@@ -131,6 +131,19 @@ def join_range_blocks(spark, sf_dir):
     return points.join(cells, "cell").where("event_id between lo and hi").select("event_id", "site_id")
 
 
+def range_pairs(points, spans, width):
+    """(event_id, site_id) with lo <= event_id <= hi: ranges are spread over the cells of a grid that they cover, so the join is an equality one with a check."""
+    cells = spans.withColumn("cell", F.explode(F.sequence(F.expr(f"lo div {width}"), F.expr(f"hi div {width}"))))
+    return points.withColumn("cell", F.expr(f"event_id div {width}")).join(cells, "cell").where("event_id between lo and hi").select("event_id", "site_id")
+
+
+@query("select e.event_id, b.site_id from events e join (select o_custkey as site_id, min(o_orderkey) as lo, max(o_orderkey) as hi from orders group by o_custkey) b on e.event_id between b.lo and b.hi where e.event_type = 'purchase'")
+def join_range_whole(spark, sf_dir):
+    """As join_range_blocks, over the whole range of each site; the pairs grow with events x sites."""
+    spans = table(spark, sf_dir, "orders").groupBy(F.col("o_custkey").alias("site_id")).agg(F.min("o_orderkey").alias("lo"), F.max("o_orderkey").alias("hi"))
+    return range_pairs(table(spark, sf_dir, "events").where("event_type = 'purchase'").select("event_id"), spans, 5000)
+
+
 @query("select e.event_id, (select max(d.day) from (select distinct ts::date as day from events where event_type = 'click') d where d.day <= e.ts::date)::varchar as day from events e where event_type = 'purchase'")
 def join_asof_window(spark, sf_dir):
     """The newest day filter at the time of each event: day marks and events stand in one order per partition of time."""
