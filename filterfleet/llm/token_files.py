@@ -1,10 +1,11 @@
 """Token-id files compressed by pair grammars (Re-Pair), with random access.
 
 Documents are encoded, dealt to ranges of ascending doc_id, and cut into blocks of about `block_tokens` ids. In each
-block the most frequent pairs of neighbouring symbols are replaced, again and again, by new symbols, until no round
-finds a pair that occurs `least` times (or the rounds are used up). A file row holds a block: its documents' ids and
-lengths, the rules (left and right symbol of each new one), the expansion length of each rule, and the remaining
-sequence. Cumulated expansion lengths say where an id lies, so a stretch of ids is decoded without the rest.
+block frequent pairs of neighbouring symbols are replaced by new symbols until no pair occurs `least` times. A round
+replaces every pair wherever no more frequent pair overlaps it, not one pair of the whole block; counts are exact. A
+file row holds a block: its documents' ids and lengths, the rules (left and right symbol of each new one), the expansion
+length of each rule, and the remaining sequence. Cumulated expansion lengths say where an id lies, so a stretch of ids
+is decoded without the rest (`read_ids`; `read_documents` for given documents).
 
 The container is Parquet in the shared folder: any store Spark can write to will do, and a lost task writes its block
 again. Null text counts as empty, so it has the end id alone; null and repeated doc_ids are kept, nulls first,
@@ -13,68 +14,109 @@ repeated ones in order of their ids; other columns are ignored; no rows give no
 
 from __future__ import annotations
 
+import os
+import re
 import zlib
 from itertools import chain
+from struct import pack
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
-from filterfleet.llm.byte_bpe import vocabulary_path
+from filterfleet.llm.byte_bpe import printable_bytes, vocabulary_path
 from filterfleet.llm.common import id_buckets, materialize, reduce_tasks, slices, table
 
 END_ID = 1
-MARK = " 0 "  # stands between words in one call of the library
+
+#: Words of these characters alone need no normalizer (NFC leaves them as they are, and each has one lower-case form).
+SIMPLE = re.compile(r"[\x20!-~À-ÖØ-öø-įı-ž]*")
+#: The splitting rule of this vocabulary over such characters; a blank is a piece of its own here.
+PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ž]+|[0-9]|\x20|[^\x20a-zß-öø-ž0-9]+").findall
+BREAK = b"\xff\xff\xff\xff"
+
+
+class Memo:
+    """A bounded memo of two generations: what was asked for lately is kept when the older generation is dropped."""
+
+    def __init__(self, most: int):
+        self.most, self.young, self.old = most // 2, {}, {}
+
+    def found(self, keys: list, learn) -> list:
+        """The values of keys; learn: (list of distinct new keys) -> their values."""
+        out = list(map(self.young.get, keys))
+        missed = [k for k, v in enumerate(out) if v is None]
+        if missed:
+            asked = list(map(keys.__getitem__, missed))
+            distinct = list(set(asked))
+            values = list(map(self.old.get, distinct))
+            new = [key for key, v in zip(distinct, values) if v is None]
+            wanted = dict(zip(distinct, values))
+            if new:
+                wanted.update(zip(new, learn(new)))
+            for k, v in zip(missed, map(wanted.__getitem__, asked)):
+                out[k] = v
+            if len(self.young) + len(wanted) > self.most:
+                self.old, self.young = self.young, {}
+            self.young.update(wanted)
+        return out
 
 
 class WordEncoder:
-    """ids of whole texts by the tokenizers library, asked once for each distinct word.
+    """ids of whole texts by the tokenizers library, asked only for what neither of two memos holds.
 
     This vocabulary drops white space, and neither its normalizer nor its splitting rule looks across blanks, tabs and
-    line ends; so a text's ids are its words' ids one after the other.
+    line ends; so a text's ids are its words' ids one after the other. A word of simple characters is lowered and split
+    into pieces here, and the library's model is asked for new pieces; any other word goes through the whole library.
     """
 
-    def __init__(self, path: str, most: int = 250_000):
-        import os
-
+    def __init__(self, path: str, most: int = 400_000):
+        """most: bound of each memo, about 150 bytes an entry."""
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
-        self.most, self.known = most, {}
-        mark = self.library.encode(MARK.strip(), add_special_tokens=False).ids
-        self.mark = mark[0] if len(mark) == 1 else None
-
-    def _learn(self, words: list[bytes]) -> None:
-        """Asks the library for new words: thousands at a time, between marks, which none of these words can contain."""
-        alone = [w for w in words if self.mark is None or MARK.strip().encode() in w]
-        rest = [w for w in words if MARK.strip().encode() not in w] if self.mark is not None else []
-        for k in range(0, len(rest), 4000):
-            part = rest[k : k + 4000]
-            ids = np.asarray(self.library.encode_batch_fast([MARK.join(w.decode() for w in part)], add_special_tokens=False)[0].ids, "<u4")
-            cuts = np.flatnonzero(ids == self.mark)
-            if len(cuts) != len(part) - 1:
-                alone += part
-                continue
-            packed, starts, ends = ids.tobytes(), [0, *(4 * cuts + 4).tolist()], [*(4 * cuts).tolist(), 4 * len(ids)]
-            self.known.update(zip(part, map(packed.__getitem__, map(slice, starts, ends))))
-        for w, e in zip(alone, self.library.encode_batch_fast([w.decode() for w in alone], add_special_tokens=False)):
-            self.known[w] = np.asarray(e.ids, "<u4").tobytes()
+        self.special = [t.content.encode() for t in self.library.get_added_tokens_decoder().values()]
+        assert all(s.startswith(b"<|") for s in self.special)
+        self.spelled = {byte: character for character, byte in printable_bytes().items()}
+        self.words, self.pieces = Memo(most), Memo(most)
+
+    def _by_library(self, words: list[bytes]) -> list[bytes]:
+        return [np.asarray(e.ids, "<u4").tobytes() for e in self.library.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)]
+
+    def _by_model(self, pieces: list[str]) -> list[bytes]:
+        tokenize, out = self.library.model.tokenize, []
+        for p in pieces:
+            found = tokenize(p if p.isascii() else p.encode().decode("latin-1").translate(self.spelled))
+            out.append(BREAK if p == " " else pack(f"<{len(found)}I", *[t.id for t in found]))
+        return out
+
+    def _is_simple(self, words: bytes) -> bool:
+        return not (b"<|" in words and any(s in words for s in self.special)) and SIMPLE.fullmatch(words.decode()) is not None
+
+    def _learn(self, words: list[bytes]) -> list[bytes]:
+        odd: set[bytes] = set()
+        for k in range(0, len(words), 64):
+            if not self._is_simple(b" ".join(words[k : k + 64])):
+                odd.update(w for w in words[k : k + 64] if not self._is_simple(w))
+        plain = [w for w in words if w not in odd] if odd else words
+        found: list[bytes] = []
+        for k in range(0, len(plain), 4000):
+            part = b" ".join(plain[k : k + 4000]).decode().lower()
+            packed = b"".join(self.pieces.found(PIECES(part), self._by_model))
+            cuts = (4 * np.flatnonzero(np.frombuffer(packed, "<u4") == 0xFFFFFFFF)).tolist()
+            found += map(packed.__getitem__, map(slice, [0, *(c + 4 for c in cuts)], [*cuts, len(packed)]))
+        if not odd:
+            return found
+        simple, rest = iter(found), dict(zip(odd, self._by_library(list(odd))))
+        return [rest[w] if w in odd else next(simple) for w in words]
 
     def encode_batch(self, texts: list[str | None]) -> list[bytes]:
         """ids of each text with the end id, little-endian unsigned 32-bit."""
         words = [(x or "").encode().split() for x in texts]
-        flat = list(chain.from_iterable(words))
-        found = list(map(self.known.get, flat))
-        fresh = list({w for w, ids in zip(flat, found) if ids is None})
-        if fresh:
-            if len(self.known) + len(fresh) > self.most:
-                self.known.clear()
-                fresh = list(set(flat))
-            self._learn(fresh)
-            found = list(map(self.known.__getitem__, flat))
+        found = self.words.found(list(chain.from_iterable(words)), self._learn)
         end, out, at = np.asarray([END_ID], "<u4").tobytes(), [], 0
         for ws in words:
             out.append(b"".join(found[at : at + len(ws)]) + end)
@@ -98,82 +140,84 @@ def encoded(docs: DataFrame, path: str) -> DataFrame:
     return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(run, "doc_id bigint, ids binary")
 
 
-def replace_pairs(ids: np.ndarray, first: int, rounds: int = 6, pairs: int = 1024, least: int = 8) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def pair_ranks(seq: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray]:
+    """(distinct pairs that occur `least` times or more as rows, rarest first; for each place 1 + the number of its pair, or 0)."""
+    wide, far = int(seq.max()).bit_length(), len(seq).bit_length()
+    code = seq[:-1] << wide | seq[1:]
+    if 2 * wide + far <= 63:
+        order = np.sort(code << far | np.arange(len(code)))
+        code, order = order >> far, order & ((1 << far) - 1)
+    else:
+        order = np.argsort(code, kind="stable")
+        code = code[order]
+    start = np.flatnonzero(np.concatenate([[True], code[1:] != code[:-1]]))
+    counts = np.diff(start, append=len(code))
+    often = np.flatnonzero(counts >= least)
+    often = often[np.argsort(counts[often], kind="stable")]
+    of_run = np.zeros(len(start), np.int64)
+    of_run[often] = np.arange(1, len(often) + 1)
+    ranks = np.zeros(len(code) + 2, np.int64)  # a nought before the first pair and after the last
+    ranks[order + 1] = np.repeat(of_run, counts)
+    pairs = code[start[often]]
+    return np.column_stack([pairs >> wide, pairs & ((1 << wide) - 1)]), ranks
+
+
+def replace_pairs(ids: np.ndarray, first: int, least: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(sequence, rules, lengths): symbols from `first` on stand for their rule's two symbols.
 
-    A round takes the `pairs` most frequent pairs at once; of overlapping occurrences the left one is replaced.
+    All pairs are counted anew each round, and a place is replaced if no pair that overlaps it is more frequent; of a
+    pair that overlaps itself the left one goes. The most frequent pair wins everywhere, so each round makes progress,
+    and the rounds end when no pair occurs `least` times.
     """
-    seq, rules, lengths = ids.astype(np.int64), [], []
-    cells = 1 << 18
-    for turn in range(rounds):
-        if len(seq) < 2 * least:
+    seq, rules, lengths = ids.astype(np.int64), [np.empty((0, 2), np.int64)], np.ones(first, np.int64)
+    while len(seq) > least:
+        pairs, ranks = pair_ranks(seq, least)
+        here = ranks[1:-1]
+        at = np.flatnonzero((here > 0) & (here >= ranks[:-2]) & (here >= ranks[2:]))
+        if not len(at):
             break
-        # Each cell of a hash table stands for the last pair that falls into it; another round hashes otherwise.
-        code = seq[:-1] << 32 | seq[1:]
-        cell = (seq[:-1] * (40503 + 2 * turn) + seq[1:]) & (cells - 1)
-        pair = np.full(cells, -1, np.int64)
-        pair[cell] = code
-        place = np.flatnonzero(pair[cell] == code)
-        counts = np.bincount(cell[place], minlength=cells)
-        best = np.flatnonzero(counts >= least)
-        if not len(best):
-            break
-        if len(best) > pairs:
-            best = best[np.argpartition(-counts[best], pairs)[:pairs]]
-        chosen, number = np.sort(pair[best]), np.full(cells, -1, np.int64)
-        number[best] = np.searchsorted(chosen, pair[best])
-        of = number[cell[place]]
-        at, of = place[of >= 0], of[of >= 0]
-        run = np.concatenate([[True], np.diff(at) > 1])
-        head = np.maximum.accumulate(np.where(run, np.arange(len(at)), 0))
-        left = (np.arange(len(at)) - head) % 2 == 0
-        at, of = at[left], of[left]
-        used, symbol = np.unique(of, return_inverse=True)
-        rules.append(np.column_stack([chosen[used] >> 32, chosen[used] & 0xFFFFFFFF]))
-        seq[at] = first + sum(map(len, rules[:-1])) + symbol
-        keep = np.ones(len(seq), bool)
-        keep[at + 1] = False
-        seq = seq[keep]
-        for left, right in rules[-1].tolist():
-            size = lambda s: 1 if s < first else lengths[s - first]
-            lengths.append(size(left) + size(right))
-    flat = np.concatenate(rules) if rules else np.empty((0, 2), np.int64)
-    return seq.astype(np.uint32), flat.astype(np.uint32), np.asarray(lengths, np.uint32)
-
-
-def expansions(rules: np.ndarray, first: int) -> list[np.ndarray]:
-    out: list[np.ndarray] = []
-    of = lambda s: np.array([s], np.uint32) if s < first else out[s - first]
-    for left, right in rules.tolist():
-        out.append(np.concatenate([of(left), of(right)]))
-    return out
+        fresh = np.concatenate([[True], np.diff(at) > 1])
+        head = np.maximum.accumulate(np.where(fresh, np.arange(len(at)), 0))
+        at = at[(np.arange(len(at)) - head) % 2 == 0]
+        uses = np.bincount(here[at], minlength=len(pairs) + 1)
+        used = np.flatnonzero(uses >= max(2, least // 2))
+        number = np.zeros(len(uses), np.int64)
+        number[used] = np.arange(len(lengths), len(lengths) + len(used))
+        symbol = number[here[at]]
+        at, symbol = at[symbol > 0], symbol[symbol > 0]
+        rules.append(pairs[used - 1])
+        lengths = np.concatenate([lengths, lengths[rules[-1]].sum(axis=1)])
+        seq[at] = symbol
+        seq = np.delete(seq, at + 1)
+    return seq.astype(np.uint32), np.concatenate(rules).astype(np.uint32), lengths[first:].astype(np.uint32)
+
+
+def expanded(seq: np.ndarray, rules: np.ndarray, first: int) -> np.ndarray:
+    """The ids that symbols stand for; each step puts a rule's two symbols in place of every symbol that has a rule."""
+    while (new := seq >= first).any():
+        at = np.flatnonzero(new)
+        rule = seq[at] - first
+        at = at + np.arange(len(at))
+        seq = np.repeat(seq, 1 + new)
+        seq[at], seq[at + 1] = rules[rule].T
+    return seq
 
 
 def read_ids(seq: np.ndarray, rules: np.ndarray, lengths: np.ndarray, first: int, start: int = 0, stop: int | None = None) -> np.ndarray:
     """ids start ... stop of a block; only the symbols that cover them are expanded."""
-    size = np.where(seq < first, 1, lengths[np.maximum(seq.astype(np.int64) - first, 0)] if len(lengths) else 1).astype(np.int64)
+    if start == 0 and stop is None:
+        return expanded(seq, rules, first)
+    size = np.concatenate([np.ones(first, np.int64), lengths])[seq]
     ends = np.cumsum(size)
-    stop = int(ends[-1]) if stop is None and len(ends) else (stop or 0)
-    a, b = np.searchsorted(ends, start, "right"), np.searchsorted(ends, stop, "left") + 1
-    part, part_size = seq[a:b], size[a:b]
-    if not len(part):
+    stop = int(size.sum()) if stop is None else stop
+    if stop <= start:
         return np.empty(0, np.uint32)
-    texts = expansions(rules, first)
-    flat = np.concatenate(texts) if texts else np.empty(0, np.uint32)
-    offset = np.concatenate([[0], np.cumsum(lengths, dtype=np.int64)])
-    total = int(part_size.sum())
-    begin = np.cumsum(part_size) - part_size
-    symbol = np.repeat(part, part_size)
-    within = np.arange(total) - np.repeat(begin, part_size)
-    out = symbol.copy()
-    new = symbol >= first
-    if new.any():
-        out[new] = flat[offset[symbol[new].astype(np.int64) - first] + within[new]]
+    a, b = np.searchsorted(ends, start, "right"), np.searchsorted(ends, stop, "left") + 1
     skip = start - int(ends[a] - size[a])
-    return out[skip : skip + stop - start]
+    return expanded(seq[a:b], rules, first)[skip : skip + stop - start]
 
 
-BLOCK = "bucket int, block int, first_symbol bigint, n_tokens bigint, n_docs bigint, doc_ids binary, doc_lengths binary, rules binary, rule_lengths binary, sequence binary"
+BLOCK = "bucket int, block int, first_symbol bigint, n_tokens bigint, n_docs bigint, doc_ids array<bigint>, doc_lengths binary, rules binary, rule_lengths binary, sequence binary"
 
 
 def write_files(docs: DataFrame, path: str, first: int = 1 << 16, block_tokens: int = 1 << 19) -> DataFrame:
@@ -188,9 +232,8 @@ def write_files(docs: DataFrame, path: str, first: int = 1 << 16, block_tokens:
         def close():
             ids = np.frombuffer(b"".join(held), "<u4")
             seq, rules, lengths = replace_pairs(ids, first)
-            known = [-(2**63) if x is None else x for x in held_ids]
-            fields = [at, block, first, len(ids), len(held), np.asarray(known, "<i8").tobytes(), np.asarray([len(x) // 4 for x in held], "<i8").tobytes(), rules.astype("<u4").tobytes(), lengths.astype("<u4").tobytes(), seq.astype("<u4").tobytes()]
-            kinds = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), *[pa.binary()] * 5]
+            fields = [at, block, first, len(ids), len(held), held_ids, np.asarray([len(x) // 4 for x in held], "<i8").tobytes(), rules.astype("<u4").tobytes(), lengths.astype("<u4").tobytes(), seq.astype("<u4").tobytes()]
+            kinds = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), *[pa.binary()] * 4]
             return pa.RecordBatch.from_arrays([pa.array([x], k) for x, k in zip(fields, kinds)], names=names)
 
         for batch in batches:
@@ -222,12 +265,12 @@ def read_files(files: DataFrame) -> DataFrame:
             for row in batch.to_pylist():
                 of = lambda c, kind="<u4": np.frombuffer(row[c], kind)  # noqa: E731, B023
                 ids = read_ids(of("sequence"), of("rules").reshape(-1, 2), of("rule_lengths"), row["first_symbol"]).astype("<u4")
-                lengths, keys = of("doc_lengths", "<i8"), of("doc_ids", "<i8").tolist()
+                lengths, keys = of("doc_lengths", "<i8"), row["doc_ids"]
                 starts = np.cumsum(lengths) - lengths
                 sums = [zlib.crc32(ids[a : a + n].tobytes()) for a, n in zip(starts.tolist(), lengths.tolist())]
                 n = len(keys)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([row["bucket"]] * n, pa.int32()), pa.array([row["block"]] * n, pa.int32()), pa.array([None if k == -(2**63) else k for k in keys], pa.int64()), pa.array(starts, pa.int64()), pa.array(lengths, pa.int64()), pa.array(sums, pa.int64())],
+                    [pa.array([row["bucket"]] * n, pa.int32()), pa.array([row["block"]] * n, pa.int32()), pa.array(keys, pa.int64()), pa.array(starts, pa.int64()), pa.array(lengths, pa.int64()), pa.array(sums, pa.int64())],
                     names=[x.split()[0] for x in DOCS.split(", ")],
                 )
 
@@ -239,6 +282,28 @@ def read_files(files: DataFrame) -> DataFrame:
     return files.drop("n_tokens").mapInArrow(run, DOCS).join(starts, ["bucket", "block"]).selectExpr("doc_id", "before + within as start", "n_tokens", "ids_crc32")
 
 
+def read_documents(files: DataFrame, asked: DataFrame) -> DataFrame:
+    """doc_id, ids (binary, little-endian unsigned 32-bit, with the end id) of the documents with an id in asked (doc_id).
+
+    Only blocks that hold one are read, and of these only the stretches asked for are decoded.
+    """
+    held = files.select("bucket", "block", F.explode("doc_ids").alias("doc_id")).join(asked.select("doc_id").distinct(), "doc_id", "left_semi")
+    wanted = held.groupBy("bucket", "block").agg(F.collect_set("doc_id").alias("wanted"))
+
+    def run(batches):
+        for batch in batches:
+            for row in batch.to_pylist():
+                of = lambda c, kind="<u4": np.frombuffer(row[c], kind)  # noqa: E731, B023
+                wanted, ends = set(row["wanted"]), np.cumsum(of("doc_lengths", "<i8"))
+                found = []
+                for doc_id, a, b in zip(row["doc_ids"], [0, *ends[:-1].tolist()], ends.tolist()):
+                    if doc_id in wanted:
+                        found.append((doc_id, read_ids(of("sequence"), of("rules").reshape(-1, 2), of("rule_lengths"), row["first_symbol"], a, b).astype("<u4").tobytes()))
+                yield pa.RecordBatch.from_arrays([pa.array([d for d, _ in found], pa.int64()), pa.array([x for _, x in found], pa.binary())], names=["doc_id", "ids"])
+
+    return files.join(wanted, ["bucket", "block"]).mapInArrow(run, "doc_id bigint, ids binary")
+
+
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_files(write_files(table(spark, sf_dir, "documents"), vocabulary_path("word_bpe_49k.json")))
 

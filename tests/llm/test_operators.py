@@ -108,32 +108,72 @@ def test_bpe_equals_the_library(spark, odd, empty):
     assert byte_bpe.digests(empty, path).count() == 0
 
 
-def test_pair_grammar_round_trip():
-    rng = np.random.default_rng(1)
-    for ids in (np.array([], np.uint32), np.array([7], np.uint32), np.full(5000, 3, np.uint32), np.tile(rng.integers(0, 50, 37), 300).astype(np.uint32), rng.integers(0, 40_000, 5000).astype(np.uint32)):
-        seq, rules, lengths = token_files.replace_pairs(ids, 1 << 16)
-        assert (token_files.read_ids(seq, rules, lengths, 1 << 16) == ids).all()
-        for a, b in ((0, 0), (0, 1), (len(ids) // 3, len(ids) // 2), (max(len(ids) - 2, 0), len(ids))):
-            assert (token_files.read_ids(seq, rules, lengths, 1 << 16, a, b) == ids[a:b]).all()
-    assert len(token_files.replace_pairs(np.full(5000, 3, np.uint32), 1 << 16)[0]) < 200
+def brute_expand(seq, rules, first):
+    out, stack = [], [int(x) for x in reversed(seq)]
+    while stack:
+        x = stack.pop()
+        if x < first:
+            out.append(x)
+        else:
+            stack += [int(rules[x - first][1]), int(rules[x - first][0])]
+    return out
+
+
+def test_pair_grammar():
+    rng, first, least = np.random.default_rng(1), 1 << 16, 8
+    cases = [np.array([], np.uint32), np.array([7], np.uint32), np.full(5000, 3, np.uint32), np.tile(rng.integers(0, 50, 37), 300).astype(np.uint32), rng.integers(0, 40_000, 5000).astype(np.uint32)]
+    cases += [(rng.zipf(1.3, 30_000) % 500).astype(np.uint32), np.array([1, 2, 1] * 60 + [7] * 33, np.uint32)]
+    for ids in cases:
+        seq, rules, lengths = token_files.replace_pairs(ids, first, least)
+        assert brute_expand(seq, rules, first) == ids.tolist()
+        assert lengths.tolist() == [len(brute_expand([first + k], rules, first)) for k in range(len(rules))]
+        pairs = Counter(zip(seq.tolist(), seq[1:].tolist()))
+        assert not pairs or max(pairs.values()) < least  # none is left
+        before = Counter(zip(ids.tolist(), ids[1:].tolist())).most_common()
+        if before and before[0][1] >= least:  # the most frequent pair is among the rules
+            assert any((a, b) in map(tuple, rules.tolist()) for (a, b), n in before if n == before[0][1])
+        assert (token_files.read_ids(seq, rules, lengths, first) == ids).all()
+        for a, b in ((0, 0), (0, 1), (len(ids) // 3, len(ids) // 2), (max(len(ids) - 2, 0), len(ids)), *np.sort(rng.integers(0, len(ids) + 1, (40, 2))).tolist()):
+            assert (token_files.read_ids(seq, rules, lengths, first, a, min(b, len(ids))) == ids[a:b]).all()
+
+
+def test_pair_ranks_count_every_pair():
+    rng = np.random.default_rng(4)
+    for seq in (rng.zipf(1.4, 4000).astype(np.int64) % 300, rng.integers(0, 1 << 31, 3000).repeat(9)):
+        pairs, ranks = token_files.pair_ranks(seq.astype(np.int64), 5)
+        want = {p for p, n in Counter(zip(seq.tolist(), seq[1:].tolist())).items() if n >= 5}
+        assert set(map(tuple, pairs.tolist())) == want
+        assert [tuple(pairs[r - 1].tolist()) if r else None for r in ranks[1:-1]] == [p if p in want else None for p in zip(seq.tolist(), seq[1:].tolist())]
 
 
 def test_token_files(spark, odd, empty):
     path, lib = byte_bpe.vocabulary_path("word_bpe_49k.json"), library("word_bpe_49k.json")
-    got, start = {r.doc_id: r for r in token_files.read_files(token_files.write_files(odd, path, block_tokens=500)).collect()}, 0
+    files = token_files.write_files(odd, path, block_tokens=500)
+    got, start = {r.doc_id: r for r in token_files.read_files(files).collect()}, 0
+    want = {}
     for doc_id, text in sorted(texts_of(odd).items()):
-        ids = np.asarray(lib.encode(text or "", add_special_tokens=False).ids + [1], "<u4")
+        ids = want[doc_id] = np.asarray(lib.encode(text or "", add_special_tokens=False).ids + [1], "<u4")
         assert (got[doc_id].start, got[doc_id].n_tokens, got[doc_id].ids_crc32) == (start, len(ids), zlib.crc32(ids.tobytes()))
         start += len(ids)
+    some = token_files.read_documents(files, spark.createDataFrame([(0,), (5,), (10,), (99,)], "doc_id long")).collect()
+    assert {r.doc_id: bytes(r.ids) for r in some} == {k: want[k].tobytes() for k in (0, 5, 10)}
     assert token_files.read_files(token_files.write_files(empty, path)).count() == 0
+    lost = spark.createDataFrame([(None, "a b"), (-(2**63), "c"), (None, "d"), (4, "e")], "doc_id long, text string")
+    rows = token_files.read_files(token_files.write_files(lost, path)).orderBy("start").collect()
+    assert [r.doc_id for r in rows] == [None, None, -(2**63), 4] and rows[-1].start + rows[-1].n_tokens == sum(r.n_tokens for r in rows)
 
 
 def test_words_encode_apart():
-    encoder, lib = token_files.WordEncoder(byte_bpe.vocabulary_path("word_bpe_49k.json")), library("word_bpe_49k.json")
+    encoder, lib = token_files.WordEncoder(byte_bpe.vocabulary_path("word_bpe_49k.json"), most=64), library("word_bpe_49k.json")
     rng = random.Random(6)
-    texts = ["é x", "ΑΣ ΣΑ", "0 10 a0b", "<|endoftext|>x", "it's"] + ["".join(rng.choice("ab \n0é́'Σ日st_") for _ in range(30)) for _ in range(300)]
-    for text, packed in zip(texts, encoder.encode_batch(texts)):
-        assert np.frombuffer(packed, "<u4").tolist() == lib.encode(text, add_special_tokens=False).ids + [1]
+    texts = ["é x", "ΑΣ ΣΑ", "0 10 a0b", "<|endoftext|>x", "it's"] + ["".join(rng.choice("ab \n0é́'Σ日st_") for _ in range(30)) for _ in range(300)]
+    pool = ["'s", "'RE", "'", "a", "B", "É", "İ", "ı", "ß", "ẞ", "ſ", "ς", "µ", "ª", "²", "½", "٣", "😀", "́", "\xa0", "\x85", "\u3000", "\x1c", " ", " ", "\t", "<|startoftext|>", "<|", "##", "9", "ĳ", "ŉ", "ž", "\x00", "\u200b", "the", "Ⅷ", "한"]
+    texts += ["".join(rng.choice(pool) for _ in range(rng.randint(0, 30))) for _ in range(2000)]
+    for start in range(0, len(texts), 50):
+        part = texts[start : start + 50]
+        for text, packed in zip(part, encoder.encode_batch(part)):
+            assert np.frombuffer(packed, "<u4").tolist() == lib.encode(text, add_special_tokens=False).ids + [1]
+        assert max(len(m) for memo in (encoder.words, encoder.pieces) for m in (memo.young, memo.old)) < 2000
 
 
 # --- shingle join
