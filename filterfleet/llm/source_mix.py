@@ -11,19 +11,23 @@ rows of one slot are summed row by row. The same goes for the cut at the budget:
 are summed on a small table, and only copies of the one bin that the budget ends in are ranked.
 
 Null text has size 0 and uses no budget; a null source is a source of its own, last in order; null and repeated ids
-are kept, each row by itself (`mixed` takes rows that are alike in id, source and size equally often); other columns
-pass through `mixed`; no rows give no rows.
+are kept, each row by itself (`mixed` takes rows that are alike in id, source and size equally often); all columns of
+docs pass through `mixed`, whatever they are called (names that start with `of_` or `_` aside); no rows give no rows.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
-from filterfleet.llm.common import WORD_CLASS, materialize, table
+from filterfleet.llm.common import WORD_CLASS, materialize, reduce_tasks, table
+
+
+WORDS = f"cast(coalesce(regexp_count(text, r'{WORD_CLASS}'), 0) as bigint)"
 
 
 def sizes(docs: DataFrame) -> DataFrame:
-    return docs.withColumn("size", F.coalesce(F.regexp_count("text", F.lit(WORD_CLASS)), F.lit(0)).cast("bigint"))
+    """doc_id, source and size, the words of the text; columns of docs with such names don't matter."""
+    return docs.select("doc_id", "source", F.expr(WORDS).alias("size"))
 
 
 def targets(source_sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most_epochs: int = 3) -> DataFrame:
@@ -50,9 +54,10 @@ def targets(source_sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most_
 
 
 def decisions(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most_epochs: int = 3, slots: int = 1024, bins: int = 16384, seed: str = "mix") -> DataFrame:
-    """doc_id, source, size, source_size, target, first_finish, copies of every document."""
-    sized = materialize(sizes(docs).select("doc_id", "source", "size"), "mix-sizes")
-    key = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit("?"))))
+    """doc_id, source, size, source_size, target, key, finish (an array: of each copy taken), copies of every document."""
+    sized = materialize(sizes(docs), "mix-sizes")
+    # Rows without an id are told apart by their size, so that they don't all stand in one place of the shuffle.
+    key = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("?"), "size"))))
     rows = sized.withColumns({"key": key, "sid": F.when(F.col("source").isNull(), "1").otherwise(F.concat(F.lit("0"), "source"))}).withColumn(
         "slot", F.expr(f"cast(conv(substr(key, 1, 8), 16, 10) as bigint) * {slots} div 4294967296")
     )
@@ -76,15 +81,25 @@ def decisions(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most_epochs
         within = ranked.where(F.col("used") <= budget).orderBy(F.desc("finish"), F.desc("sid"), F.desc("key")).select("finish", "sid", "key").first()
         last = tuple(within) if within else (over["bin"] / (bins // 2), "", "")
     cut = F.struct(*map(F.lit, last))
-    taken = [F.when(F.struct(F.expr(finish(e)), "sid", "key") <= cut, 1).otherwise(0) for e in range(most_epochs)]
-    return placed.select("doc_id", "source", "size", "source_size", "target", F.expr(finish(0)).alias("first_finish"), sum(taken[1:], taken[0]).cast("bigint").alias("copies"))
+    taken = F.array_compact(F.array(*(F.when(F.struct(F.expr(finish(e)), "sid", "key") <= cut, F.expr(finish(e))) for e in range(most_epochs))))
+    return placed.select("doc_id", "source", "size", "source_size", "target", "key", taken.alias("finish")).withColumn("copies", F.size("finish").cast("bigint"))
 
 
 def mixed(docs: DataFrame, **options) -> DataFrame:
-    """The mix itself: docs, each row as often as it is taken, in files by virtual finish time."""
-    of = decisions(docs, **options).groupBy(*(F.col(c).alias(f"of_{c}") for c in ("doc_id", "source", "size"))).agg(F.max("copies").alias("of_copies"), F.min("first_finish").alias("of_finish"))
-    same = F.col("doc_id").eqNullSafe(F.col("of_doc_id")) & F.col("source").eqNullSafe(F.col("of_source")) & (F.expr("size") == F.col("of_size"))
-    return sizes(docs).join(of.where("of_copies > 0"), same).withColumn("of_copy", F.explode(F.sequence(F.lit(1).cast("bigint"), F.col("of_copies")))).select(*docs.columns)
+    """The mix itself: a row for each copy that is taken, in order of virtual finish time.
+
+    The result has a partition for each range of finish times, ascending, and is sorted inside; written as it is, its
+    files follow one another. The mix uses words at an even rate in finish time (each source at its target's), so equal
+    ranges hold about equal work and need no sample. Rows alike in id, source and size take the finish times of one.
+    """
+    made = decisions(docs, **options)
+    tasks = reduce_tasks(docs.sparkSession)
+    of = made.where("copies > 0").groupBy(*(F.col(c).alias(f"of_{c}") for c in ("doc_id", "source", "size"))).agg(F.max(F.struct("copies", "finish"))["finish"].alias("of_finish"), F.max("key").alias("of_key"))
+    same = F.col("doc_id").eqNullSafe(F.col("of_doc_id")) & F.col("source").eqNullSafe(F.col("of_source")) & (F.expr(WORDS) == F.col("of_size"))
+    end = made.agg(F.max(F.array_max("finish")).alias("end")).first()["end"] or 1.0
+    copies = docs.join(of, same).select(*(F.col(c) for c in docs.columns), F.explode("of_finish").alias("_finish"), F.col("of_key").alias("_key"))
+    place = F.least(F.floor(F.col("_finish") / F.lit(end) * tasks), F.lit(tasks - 1)).cast("int")
+    return copies.repartitionById(tasks, place).sortWithinPartitions("_finish", "_key").select(*docs.columns)
 
 
 def op7_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -92,7 +107,8 @@ def op7_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 ORACLE = r"""
-with recursive d as (select doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::bigint as size, md5('mix:' || coalesce(doc_id::varchar, '?')) as key, case when source is null then '1' else '0' || source end as sid from documents),
+with recursive w as (select doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::bigint as size from documents),
+d as (select *, md5('mix:' || coalesce(doc_id::varchar, '?' || size)) as key, case when source is null then '1' else '0' || source end as sid from w),
 src as (select sid, sum(size)::bigint as source_size, (row_number() over (order by sid) - 1) % 3 + 1 as weight from d group by sid),
 f as (select *, 3 * source_size as stop, row_number() over (order by 3 * source_size / weight, sid) as r from src),
 g as (select *, (sum(source_size) over () - coalesce(sum(stop) over (order by r rows between unbounded preceding and 1 preceding), 0))::bigint as rest, (sum(weight) over () - coalesce(sum(weight) over (order by r rows between unbounded preceding and 1 preceding), 0))::bigint as shares from f),
