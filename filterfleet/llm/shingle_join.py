@@ -12,8 +12,8 @@ leading elements (the prefix) of each.
 3. What is left are pairs of groups on elements whose groups are not all in one component yet. They are all formed,
    filtered, expanded to members in different components, and verified. No pair of different components is left out.
 
-Empty sets (null text or no word) link with nothing. Ids have to be distinct and not null: rows without an id come out
-with a null component, and rows that repeat an id count as one set of it each, in one component. Other columns are
+Empty sets (null text or no word) link with nothing. Rows without an id link with nothing either and come out with a
+null set and component, whatever their text. Rows that repeat an id count as one set of it each, in one component. Other columns are
 ignored; no rows give no rows. Hashes have 64 bits (56 in the order); sets are compared by hash.
 """
 
@@ -299,7 +299,8 @@ def similarity_classes(docs: DataFrame, width: int = 5, percent: int = 75) -> Da
 
     final = components(links.unionByName(more)).select(F.col("node").alias("rep"), "label")
     of_set = members.drop("prefix_key").join(final, "rep", "left").selectExpr("key_a", "key_b", "n", "rep", "coalesce(label, rep) as label")
-    return rows.join(of_set, keys, "left").selectExpr("doc_id", "n as n_shingles", "coalesce(rep, doc_id) as set_id", "coalesce(label, doc_id) as component_id")
+    of_id = lambda x: f"if(doc_id is null, null, coalesce({x}, doc_id))"
+    return rows.join(of_set, keys, "left").selectExpr("doc_id", "n as n_shingles", f"{of_id('rep')} as set_id", f"{of_id('label')} as component_id")
 
 
 def op3_shingle_join(spark: SparkSession, sf_dir: str) -> DataFrame:

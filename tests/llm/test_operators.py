@@ -6,6 +6,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
@@ -218,6 +219,13 @@ def test_shingle_join_chains_and_groups(spark):
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in shingle_join.similarity_classes(df).collect()} == brute_classes(texts_of(df))
 
 
+def test_shingle_join_without_ids(spark):
+    text = prose(9, 40)
+    rows = shingle_join.similarity_classes(spark.createDataFrame([(None, text), (7, text), (None, "one"), (3, text + " more"), (None, None)], "doc_id long, text string")).collect()
+    assert sorted((r.doc_id or 0, r.component_id or 0) for r in rows) == [(0, 0), (0, 0), (0, 0), (3, 3), (7, 3)]
+    assert all(r.set_id is None and r.component_id is None for r in rows if r.doc_id is None)
+
+
 def test_parity_sketches_never_rule_out_a_match():
     rng = np.random.default_rng(4)
     for _ in range(200):
@@ -374,7 +382,7 @@ def test_sharded_scores_equal_direct_ones(spark):
 # --- mixing
 
 
-def test_mix(spark, odd, empty):
+def test_mix(spark, odd, empty, tmp_path):
     sizes = [5, 50, 7, 30, 9, 80, 11, 3, 60, 20]
     df = frame(spark, [prose(i, n) for i, n in enumerate(sizes * 20)], sources=[["a", "b", "c", None][i % 4] for i in range(200)])
     rows = source_mix.decisions(df).collect()
@@ -386,9 +394,24 @@ def test_mix(spark, odd, empty):
     assert sum(g[0].target for g in by.values()) == pytest.approx(total)
     for group in by.values():
         assert abs(sum(r.size * r.copies for r in group) - group[0].target) <= 2 * max(sizes)
-    assert sorted(map(tuple, rows)) == sorted(map(tuple, source_mix.decisions(df).collect())) if None not in by else True
+    plain = lambda found: sorted(map(repr, found))
+    assert plain(rows) == plain(source_mix.decisions(df.repartition(3)).collect())
     mixed = source_mix.mixed(df)
     assert mixed.columns == df.columns and mixed.count() == sum(r.copies for r in rows)
+    of = {r.doc_id: r for r in rows}
+    for r in rows:
+        before = sum(x.size for x in rows if x.source == r.source and (x.key, x.size) <= (r.key, r.size))
+        assert r.finish == pytest.approx([(e * r.source_size + before) / r.target for e in range(r.copies)])
+    want = [d for _, _, d in sorted((f, r.key, r.doc_id) for r in rows for f in r.finish)]
+    assert [r.doc_id for r in mixed.collect()] == want  # partitions, and rows in them, come in order of finish time
+    mixed.write.parquet(str(tmp_path / "mix"))
+    files = sorted((tmp_path / "mix").glob("part-*"))
+    assert [x for f in files for x in pq.read_table(f).column("doc_id").to_pylist()] == want
+    assert of[want[0]].finish[0] <= of[want[-1]].finish[-1] and len(files) == 4
+    clash = source_mix.mixed(odd)
+    assert clash.columns == odd.columns and {(r["size"], r["key"]) for r in clash.collect()} == {("clash", "clash")}
+    lost = spark.createDataFrame([(None, "a b", "s"), (None, "a b", "s"), (None, "c", None), (1, None, "s")], "doc_id long, text string, source string")
+    assert source_mix.decisions(lost).count() == 4 and source_mix.mixed(lost).where("text is not null").count() >= 3
     assert source_mix.decisions(odd).count() == 16 and source_mix.decisions(empty).count() == 0 and source_mix.mixed(empty).count() == 0
 
 
