@@ -1,11 +1,12 @@
 """Secret scans: three fixed patterns, and strings that stay incompressible beside their own surroundings.
 
 The fixed patterns always report. A further candidate is a run of 16 or more credential characters near a word of
-sensitive context (before it, within `reach` characters) that no fixed pattern reports as a whole. Its novelty is the
-marginal cost in zstandard: the compressed size of the surrounding text with the candidate, less that without it, both
-primed with a dictionary of identifiers and common words, divided by the candidate's length. Words, paths and
-repeated identifiers cost little; random keys cost nearly their own length, whatever classes of characters they mix;
-so does a long word or path that neither the dictionary nor the surroundings hold. Novel
+sensitive context (it starts within `reach` characters after the word, or ends within as many before it) that no fixed
+pattern reports as a whole. Its novelty is the marginal cost in zstandard: the compressed size of the surrounding text
+with the candidate, less that without it, both primed with a dictionary, divided by the candidate's length. The
+dictionary holds common words and the most frequent parts of identifiers in the whole corpus (`identifier_primer`).
+Words, paths and repeated identifiers cost little; random keys cost nearly their own length, whatever classes of
+characters they mix; so does a long word or path that neither the dictionary nor the surroundings hold. Novel
 candidates are reported as `novel`, from end to end.
 
 A run wrapped into lines of one width (and a shorter last one) is one candidate. Such a block, and a run of more than 512
@@ -22,6 +23,8 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_right
+from collections import Counter
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
@@ -59,6 +62,35 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
     return [(a, b, KINDS[k]) for a, b, k in sorted(spans, key=lambda x: (x[0], x[2]))]
 
 
+#: A part of an identifier: one word of 3 to 12 letters, as cases, digits and signs divide it. Longer runs of letters are
+#: left out, so that a key that many copies of a text hold does not become a word of the dictionary.
+PART = re.compile(r"(?<![a-z])(?:[A-Z][a-z]{2,11}|[a-z]{3,12})(?![a-z])")
+
+
+def identifier_primer(docs: DataFrame, most: int = 4000) -> str:
+    """PRIMER and the corpus's `most` most frequent parts of identifiers, the most frequent ones last (nearest to the text).
+
+    All texts are counted; batches are counted before the shuffle, and `most` words come to the driver.
+    """
+
+    def count(batches):
+        held: Counter = Counter()
+        rows = lambda: pa.RecordBatch.from_arrays([pa.array(list(held), pa.string()), pa.array(list(held.values()), pa.int64())], names=["part", "n"])
+        for batch in batches:
+            for piece in slices(batch, "text"):
+                for text in piece.column("text").to_pylist():
+                    held.update(PART.findall(text or ""))
+                if len(held) > 100_000:
+                    yield rows()
+                    held.clear()
+        if held:
+            yield rows()
+
+    counted = docs.select("text").mapInArrow(released(count), "part string, n bigint").groupBy("part").agg(F.sum("n").alias("n"))
+    top = counted.orderBy(F.desc("n"), "part").limit(most).collect()
+    return " ".join([*(r["part"] for r in reversed(top)), PRIMER])
+
+
 class Novelty:
     """Marginal compressed bytes a character, primed with a dictionary."""
 
@@ -66,14 +98,24 @@ class Novelty:
         import zstandard
 
         primed = zstandard.ZstdCompressionDict(primer.encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-        self.size = lambda data: len(zstandard.ZstdCompressor(level=level, dict_data=primed, write_content_size=False).compress(data))
+        primed.precompute_compress(level=level)
+        compress = zstandard.ZstdCompressor(dict_data=primed, write_content_size=False).compress
+        self.size = lambda data: len(compress(data))
 
     def rate(self, before: str, candidate: str, after: str) -> float:
         around = (before + "\n" + after).encode()
         return (self.size(around + b"\n" + candidate.encode()) - self.size(around + b"\n")) / len(candidate)
 
 
-_novelty: list[Novelty] = []
+_novelty: dict[str, Novelty] = {}
+
+
+def novelty_of(primer: str) -> Novelty:
+    """One of each primer for each Python worker."""
+    if primer not in _novelty:
+        _novelty.clear()
+        _novelty[primer] = Novelty(primer)
+    return _novelty[primer]
 
 
 def block_lines(text: str, start: int, end: int) -> list[tuple[int, int]]:
@@ -96,13 +138,26 @@ def without_others(window: str, s: str, shared: int = 8) -> str:
     return CANDIDATE.sub(lambda m: m[0] if any(m[0][k : k + shared] in s for k in range(len(m[0]) - shared + 1)) else "", window)
 
 
-def novel_spans(text: str, base: list[tuple[int, int, str]], least_rate: float = 0.6, reach: int = 48, around: int = 400, whole: int = 512, piece: int = 64) -> list[tuple[int, int, str]]:
+def lines_above(runs: list[tuple[int, int]], k: int, text: str) -> list[tuple[int, int]]:
+    """Run k and the runs above that it is wrapped with: all of one width, each alone on its line but the first."""
+    lines = [runs[k]]
+    while k and (gap := GAP.fullmatch(text, runs[k - 1][1], lines[0][0])):
+        wide = runs[k - 1][1] - runs[k - 1][0]
+        if not ("\n" in gap[0] or "\\n" in gap[0]) or wide < lines[0][1] - lines[0][0] or len(lines) > 1 and wide != lines[0][1] - lines[0][0]:
+            break
+        k -= 1
+        lines.insert(0, runs[k])
+    return lines
+
+
+def novel_spans(
+    text: str, base: list[tuple[int, int, str]], novelty: Novelty | None = None, least_rate: float = 0.6, reach: int = 48, around: int = 400, whole: int = 512, piece: int = 64
+) -> list[tuple[int, int, str]]:
     """Candidates in sensitive context that the dictionary and the surroundings don't explain, and novel runs that follow them."""
-    near = [m.end() for m in CONTEXT.finditer(text)]
+    near = [m.span() for m in CONTEXT.finditer(text)]
     if not near:
         return []
-    if not _novelty:
-        _novelty.append(Novelty())
+    rate = (novelty or novelty_of(PRIMER)).rate
     found, taken, dull = [], 0, 0
     known = lambda s, e: any(a <= s and e <= b for a, b, _ in base)
 
@@ -110,9 +165,9 @@ def novel_spans(text: str, base: list[tuple[int, int, str]], least_rate: float =
         s = "".join(text[a:b] for a, b in lines)[:most]
         step = len(s) if len(lines) == 1 and len(s) <= whole and most is None else piece
         before, after = (without_others(w, s) for w in (text[max(0, lines[0][0] - around) : lines[0][0]], text[lines[-1][1] : lines[-1][1] + around]))
-        return any(_novelty[0].rate(before, s[k : k + step], after) >= least_rate for k in range(0, max(1, len(s) - step // 2), step))
+        return any(rate(before, s[k : k + step], after) >= least_rate for k in range(0, max(1, len(s) - step // 2), step))
 
-    for at in near:
+    for _, at in near:
         start = max(at, taken)
         while m := CANDIDATE.search(text, start, max(start, min(len(text), at + reach + LEAST))):
             start = m.start()
@@ -136,15 +191,28 @@ def novel_spans(text: str, base: list[tuple[int, int, str]], least_rate: float =
                     break
                 lines = block_lines(text, *after.span())
             start = end
+    # Runs before a word: each is judged once, as the forward pass may have left out what lies far from a word before it.
+    runs = [m.span() for m in CANDIDATE.finditer(text, 0, near[-1][0])]
+    ends, judged = [e for _, e in runs], set()
+    for at, _ in near:
+        k = bisect_right(ends, at) - 1
+        while k >= 0 and ends[k] >= at - reach and k not in judged:
+            judged.add(k)
+            lines = lines_above(runs, k, text)
+            judged.update(range(k - len(lines) + 1, k))
+            start, end = lines[0][0], lines[-1][1]
+            if not all(known(*x) for x in lines) and not any(a < end and start < b for a, b, _ in found) and novel(lines):
+                found.append((start, end, "novel"))
+            k -= len(lines)
     return found
 
 
-def scan_text(text: str | None) -> tuple[list[tuple[int, int, str]], list[tuple[int, int, str]]]:
+def scan_text(text: str | None, novelty: Novelty | None = None) -> tuple[list[tuple[int, int, str]], list[tuple[int, int, str]]]:
     """Base spans; all spans, by start and then kind."""
     if not text:
         return [], []
     base = base_spans(text)
-    return base, sorted(base + novel_spans(text, base), key=lambda x: (x[0], KINDS.index(x[2])))
+    return base, sorted(base + novel_spans(text, base, novelty), key=lambda x: (x[0], KINDS.index(x[2])))
 
 
 def written(spans: list[tuple[int, int, str]]) -> str:
@@ -154,15 +222,17 @@ def written(spans: list[tuple[int, int, str]]) -> str:
 SCANNED = "doc_id bigint, n_assign bigint, n_access bigint, n_hex bigint, n_novel bigint, base_sha256 string, spans string"
 
 
-def scan(docs: DataFrame) -> DataFrame:
-    """One row a document: counts by kind, digest of the base spans, all spans."""
+def scan(docs: DataFrame, primer: str | None = None) -> DataFrame:
+    """One row a document: counts by kind, digest of the base spans, all spans. primer: the dictionary; by default the corpus's."""
+    primed = docs.sparkSession.sparkContext.broadcast(identifier_primer(docs) if primer is None else primer)  # at most 4000 short words
 
     def run(batches):
+        novelty = novelty_of(primed.value)
         for batch in batches:
             for part in slices(batch, "text"):
                 rows = []
                 for text in part.column("text"):
-                    base, spans = scan_text(text.as_py())
+                    base, spans = scan_text(text.as_py(), novelty)
                     kinds = [k for *_, k in spans]
                     rows.append((*(kinds.count(k) for k in KINDS), hashlib.sha256(written(base).encode()).hexdigest(), written(spans)))
                 columns = list(zip(*rows)) or [[]] * 6
@@ -171,26 +241,28 @@ def scan(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(released(run), SCANNED)
 
 
-def mask_text(text: str | None) -> str | None:
+def mask_text(text: str | None, novelty: Novelty | None = None) -> str | None:
     """The text with every reported span replaced by [SECRET]; overlapping spans become one."""
     if not text:
         return text
     out, at = [], 0
-    for a, b, _ in scan_text(text)[1]:
+    for a, b, _ in scan_text(text, novelty)[1]:
         if a >= at:
             out += [text[at:a], "[SECRET]"]
         at = max(at, b)
     return "".join(out) + text[at:] if out else text
 
 
-def mask(docs: DataFrame) -> DataFrame:
+def mask(docs: DataFrame, primer: str | None = None) -> DataFrame:
     """docs with secrets masked in text and n_chars (where it is a column) as of the masked text."""
     names = docs.columns
+    primed = docs.sparkSession.sparkContext.broadcast(identifier_primer(docs) if primer is None else primer)
 
     def run(batches):
+        novelty = novelty_of(primed.value)
         for batch in batches:
             for part in slices(batch, "text"):
-                texts = [mask_text(x) for x in part.column("text").to_pylist()]
+                texts = [mask_text(x, novelty) for x in part.column("text").to_pylist()]
                 fresh = {"text": pa.array(texts, pa.string()), "n_chars": pa.array([None if x is None else len(x) for x in texts], pa.int64())}
                 yield pa.RecordBatch.from_arrays([fresh.get(c, part.column(c)) for c in names], names=names)
 

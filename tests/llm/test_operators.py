@@ -336,19 +336,67 @@ def test_repeated_and_null_ids(spark):
 # --- language model
 
 
-def test_model_is_a_distribution():
-    symbols = language_model.symbol_table([ord(c) for c in "abcdefghijklmnopqrstuvwxyz "])
-    keys, counts = np.unique(language_model.grams([prose(i, 200) for i in range(20)], symbols)[0], return_counts=True)
-    model = language_model.Model.fit(keys, counts)
-    for head in (int(keys[50]) >> 8, 0, 0xABCDEF):
+def brute_model(texts):
+    """Interpolated modified Kneser-Ney from dictionaries: a function from (three bytes before, byte) to a probability."""
+    levels = {4: Counter()}
+    for text in texts:
+        data = [255] * 3 + list(text.encode())
+        levels[4].update(tuple(data[i - 3 : i + 1]) for i in range(3, len(data)))
+    for order in (3, 2, 1):
+        levels[order] = Counter(g[1:] for g in levels[order + 1])
+    cuts, follow = {}, {}
+    for order, level in levels.items():
+        n = Counter(level.values())
+        y = n[1] / (n[1] + 2 * n[2]) if n[1] else 0.5
+        cuts[order] = [0] + [min(max(k - (k + 1) * y * n[k + 1] / n[k] if n[k] else k / 2, 0.05), k - 0.05) for k in (1, 2, 3)]
+        for g, c in level.items():
+            follow.setdefault(g[:-1], []).append(c)
+
+    def prob(gram):
+        if not gram:
+            return 1 / 256
+        order, after = len(gram), follow.get(gram[:-1])
+        if after is None:
+            return prob(gram[1:])
+        c = levels[order][gram]
+        spared = sum(cuts[order][min(x, 3)] for x in after)
+        return (c - cuts[order][min(c, 3)] + spared * prob(gram[1:])) / sum(after)
+
+    return prob
+
+
+def text_frame(spark, texts):
+    return spark.createDataFrame([(t,) for t in texts], "text string")
+
+
+def test_model_is_a_distribution(spark):
+    texts = [prose(i, 120) for i in range(12)] + ["été 日本語 \U000e0041\U0001f3f4" * 3]
+    fitted, brute = language_model.fit(language_model.gram_counts(text_frame(spark, texts))), brute_model(texts)
+    pieces = []
+    for kind, frame_, column in (("prob", fitted.probs, "prob"), ("weight", fitted.backoff, "weight")):
+        rows = frame_.collect()
+        pieces += [(kind, o, *(np.array([r[c] for r in rows if r.ord == o], t) for c, t in (("gram", np.uint32), (column, np.float64)))) for o in (1, 2, 3, 4)]
+    model = language_model.Part.of(pieces)
+    rng = np.random.default_rng(0)
+    for head in (int.from_bytes(b"\xff\xff\xff"), int.from_bytes(b"amb"), 0xABCDEF):
         gram = np.uint32(head) << np.uint32(8) | np.arange(256, dtype=np.uint32)
         assert model.prob(gram).sum() == pytest.approx(1, abs=1e-9) and (model.prob(gram) > 0).all()
-    rng = np.random.default_rng(0)
-    anything = np.concatenate([keys, rng.integers(0, 2**32, 5000).astype(np.uint32)])
-    for number in range(4):
-        mine = anything[language_model.owner(anything, 4) == number]
-        part = language_model.Model.unpacked(model.shard(number, 4).packed())
-        assert np.allclose(part.prob(mine), model.prob(mine))
+    anything = np.concatenate([language_model.grams(texts)[0][::50], rng.integers(0, 2**32, 300).astype(np.uint32)])
+    assert model.prob(anything) == pytest.approx([brute(tuple(int(g).to_bytes(4))) for g in anything], rel=1e-9)
+
+
+def test_any_alphabet(spark):
+    texts = ["\U000e0067\U000e0062\ufe0f\U0010fffd" * 20, "漢字かな交じり文" * 10, "ασδφ" * 30, "\x00\x01" * 5]
+    docs = frame(spark, texts)
+    labels = spark.createDataFrame([(i, 1, 0) for i in range(4)], "doc_id long, quality int, toxic int")
+    assert all(r.perplexity < 3 and r.kept for r in language_model.judged(docs, labels).collect())
+
+
+def test_fences_of_many_languages(spark):
+    texts, langs = [prose(i, 12) for i in range(120)], [f"l{i % 60}" for i in range(118)] + [None, None]
+    docs, labels = frame(spark, texts, langs), spark.createDataFrame([(i, 1, 0) for i in range(120)], "doc_id long, quality int, toxic int")
+    rows = language_model.judged(docs, labels, least_group=1).collect()
+    assert len(rows) == 120 and len({r.fence for r in rows}) == 61 and all(r.fence >= r.perplexity for r in rows)
 
 
 def test_classifier_on_labels(spark, odd, empty):
@@ -370,13 +418,17 @@ def test_low_quality_does_not_pass_by_the_margin(spark):
     assert kept(0) < 0.03 and kept(1) > 0.97
 
 
-def test_sharded_scores_equal_direct_ones(spark):
+def test_sharded_scores_equal_brute_force(spark):
     docs, labels = (spark.read.parquet(f"{SF}/{t}.parquet") for t in ("documents", "labels"))
-    symbols, model = language_model.train(docs, labels)
-    scores = {r.doc_id: r.perplexity for r in language_model.perplexities(docs, symbols, model, shards=3).collect()}
-    for doc_id, text in list(texts_of(docs).items())[:50]:
-        gram, _ = language_model.grams([text], symbols)
-        assert scores[doc_id] == pytest.approx(float(np.exp(model.cost(gram).sum() / len(gram) / language_model.SCALE)), rel=1e-9)
+    sample = [r.text for r in language_model.trusted_sample(docs, labels, 30, 2000).collect()]
+    brute = brute_model(sample)
+    fitted = language_model.train(docs, labels, most_docs=30, most_chars=2000)
+    scores = {r.doc_id: r for r in language_model.perplexities(docs, fitted, shards=3).collect()}
+    texts = {k: t for k, t in texts_of(docs).items() if t and len(t) < 3000}
+    for doc_id, text in list(texts.items())[:40]:
+        data = b"\xff\xff\xff" + text.encode()
+        logs = [np.log(brute(tuple(data[i - 3 : i + 1]))) for i in range(3, len(data))]
+        assert scores[doc_id].n_grams == len(logs) and scores[doc_id].perplexity == pytest.approx(np.exp(-np.mean(logs)), rel=1e-4)
 
 
 # --- mixing
@@ -499,6 +551,102 @@ def test_long_keys_are_taken_whole(letters):
     assert secret_scan.mask_text(f"session {'  '.join(parts)} and more") == "session [SECRET]  [SECRET]  [SECRET] and more"
 
 
+def test_keys_before_the_word():
+    rng = random.Random(8)
+    key = lambda n: "".join(rng.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789") for _ in range(n))
+    for n in (20, 40, 600):
+        run = key(n)
+        assert secret_scan.mask_text(f"{prose(1, 30)} {run} is the api key {prose(2, 9)}") == f"{prose(1, 30)} [SECRET] is the api key {prose(2, 9)}"
+        assert secret_scan.mask_text(f"{run} {prose(3, 40)} token") == f"{run} {prose(3, 40)} token"  # too far off
+    lines = [key(64) for _ in range(12)] + [key(20)]
+    text = f"{prose(1, 30)}\n" + "\n".join(lines) + f"\nabove is the private key {prose(2, 9)}"
+    assert secret_scan.mask_text(text) == f"{prose(1, 30)}\n[SECRET]\nabove is the private key {prose(2, 9)}"
+
+
+def test_novelty_by_hand():
+    """Against a plain reading: one word of context, one run, compressed sizes with and without it."""
+    import zstandard
+
+    def size(data):
+        primed = zstandard.ZstdCompressionDict(secret_scan.PRIMER.encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        return len(zstandard.ZstdCompressor(level=3, dict_data=primed, write_content_size=False).compress(data.encode()))
+
+    rng, seen = random.Random(11), set()
+    for trial in range(300):
+        run = "".join(rng.choice([*(rng.choice("ab019Z_") for _ in range(2)), "name", "config", "user", "-", "path"]) for _ in range(40))[: rng.randint(16, 60)]
+        before, gap = prose(trial, 12), "x " * rng.randint(0, 30)
+        text = f"{before} token {gap}{run} {prose(-trial, 12)}"
+        at = text.index(run)
+        whole = not any(c.isalnum() or c in "+/_=~.-" for c in (text[at - 1], text[at + len(run)]))
+        near = len(gap) + 1 <= 48
+        rate = (size(f"{text[max(0, at - 400) : at]}\n{text[at + len(run) :][:400]}\n{run}") - size(f"{text[max(0, at - 400) : at]}\n{text[at + len(run) :][:400]}\n")) / len(run)
+        want = whole and near and rate >= 0.6
+        seen.add(want)
+        base, spans = secret_scan.scan_text(text)
+        if not base:
+            assert (spans == [(at, at + len(run), "novel")]) == want, (text, rate)
+    assert seen == {True, False}
+
+
+def test_base_patterns_by_hand():
+    """Against a scan by character: names, signs, then the longest run."""
+    letters, tail = "0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz", "+/_=.-"
+
+    def assigned(text):
+        low, at, out = "".join(c.lower() if c.isascii() else c for c in text), 0, []
+        while at < len(text):
+            for name in ("password", "passwd", "secret", "token", "api_key", "apikey"):
+                if low.startswith(name, at):
+                    k = at + len(name)
+                    k += text[k : k + 1] in ("'", '"')
+                    while text[k : k + 1] == " ":
+                        k += 1
+                    if text[k : k + 1] in (":", "="):
+                        k += 1
+                        while text[k : k + 1] == " ":
+                            k += 1
+                        k += text[k : k + 1] in ("'", '"')
+                        end = k
+                        while end < len(text) and text[end] in letters + tail:
+                            end += 1
+                        if end > k:
+                            out += [(at, end, "assign")] if end - k >= 12 else []
+                            at = end - 1
+                            break
+            at += 1
+        return out
+
+    def runs(text, head, chars, least, kind):
+        at, out = 0, []
+        while at < len(text):
+            end = at + len(head)
+            if text.startswith(head, at) and text[end : end + 1] and text[end] in chars:
+                while end < len(text) and text[end] in chars:
+                    end += 1
+                out += [(at, end, kind)] if end - at >= least else []
+                at = end
+            else:
+                at += 1
+        return out
+
+    rng = random.Random(12)
+    pool = ["password", "Secret", "TOKEN", "api_key", "apikey", "passwd", "\u017fecret", "=", ":", " ", "'", '"', "AKIA", "AKIAAKIA", "ABCDEF0123456789", "deadbeef", "0011", "x+/_-", "\n", "é", "\u212a", "abcdefabcdef", "zzzzzzzzzzzzzz"]
+    for _ in range(1500):
+        text = "".join(rng.choice(pool) for _ in range(rng.randint(1, 40)))
+        upper = letters[10:36] + letters[:10]
+        want = assigned(text) + runs(text, "AKIA", upper, 18, "access") + runs(text, "", "0123456789abcdef", 16, "hex")
+        order = ("assign", "access", "hex")
+        assert secret_scan.base_spans(text) == sorted(want, key=lambda x: (x[0], order.index(x[2]))), text
+
+
+def test_identifier_primer(spark, odd):
+    texts = ["userName user_name UserID " * 3, "key=" + "qwertyuiopasdfgh" * 2, "ab Abc abcdefghijkl abcdefghijklm"]
+    parts = secret_scan.identifier_primer(frame(spark, texts), most=50).removesuffix(" " + secret_scan.PRIMER).split()
+    assert sorted(parts) == sorted(["user", "Name", "name", "User", "key", "Abc", "abcdefghijkl"])
+    assert parts[-1] == "user" and parts.index("key") < parts.index("User")  # the most frequent one last
+    assert secret_scan.identifier_primer(frame(spark, [None, ""])).endswith(secret_scan.PRIMER)
+
+
 def test_dull_runs_stay():
     for run in ("x" * 5000, "token" * 3000, "configuration-settings-environment-path-" * 40):
         assert secret_scan.scan_text(f"the token {run} of it")[1] == []
