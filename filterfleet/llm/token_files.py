@@ -70,7 +70,7 @@ class WordEncoder:
     into pieces here, and the library's model is asked for new pieces; any other word goes through the whole library.
     """
 
-    def __init__(self, path: str, most: int = 400_000):
+    def __init__(self, path: str, most: int = 300_000):
         """most: bound of each memo, about 150 bytes an entry."""
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
@@ -134,44 +134,49 @@ def encoded(docs: DataFrame, path: str) -> DataFrame:
         if path not in _encoders:
             _encoders[path] = WordEncoder(path)
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", 1 << 17):  # so that a slice's words stay in the processor's cache
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(_encoders[path].encode_batch(part.column("text").to_pylist()), pa.binary())], names=["doc_id", "ids"])
 
     return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(run, "doc_id bigint, ids binary")
 
 
-def pair_ranks(seq: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray]:
-    """(distinct pairs that occur `least` times or more as rows, rarest first; for each place 1 + the number of its pair, or 0)."""
+def pair_ranks(seq: np.ndarray, least: int, places: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(distinct pairs that occur `least` times or more as rows, rarest first; for each place 1 + the number of its pair, or 0).
+
+    places: where pairs are counted, ascending; everywhere by default.
+    """
+    places = np.arange(len(seq) - 1) if places is None else places
     wide, far = int(seq.max()).bit_length(), len(seq).bit_length()
-    code = seq[:-1] << wide | seq[1:]
+    code = seq[places] << wide | seq[places + 1]
     if 2 * wide + far <= 63:
-        order = np.sort(code << far | np.arange(len(code)))
+        order = np.sort(code << far | places)
         code, order = order >> far, order & ((1 << far) - 1)
     else:
         order = np.argsort(code, kind="stable")
-        code = code[order]
-    start = np.flatnonzero(np.concatenate([[True], code[1:] != code[:-1]]))
+        code, order = code[order], places[order]
+    start = np.flatnonzero(np.concatenate([[True], code[1:] != code[:-1]])) if len(code) else np.empty(0, np.int64)
     counts = np.diff(start, append=len(code))
     often = np.flatnonzero(counts >= least)
     often = often[np.argsort(counts[often], kind="stable")]
     of_run = np.zeros(len(start), np.int64)
     of_run[often] = np.arange(1, len(often) + 1)
-    ranks = np.zeros(len(code) + 2, np.int64)  # a nought before the first pair and after the last
+    ranks = np.zeros(len(seq) + 1, np.int64)  # a nought before the first pair and after the last
     ranks[order + 1] = np.repeat(of_run, counts)
     pairs = code[start[often]]
     return np.column_stack([pairs >> wide, pairs & ((1 << wide) - 1)]), ranks
 
 
-def replace_pairs(ids: np.ndarray, first: int, least: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def replace_pairs(ids: np.ndarray, first: int, least: int = 8) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(sequence, rules, lengths): symbols from `first` on stand for their rule's two symbols.
 
-    All pairs are counted anew each round, and a place is replaced if no pair that overlaps it is more frequent; of a
-    pair that overlaps itself the left one goes. The most frequent pair wins everywhere, so each round makes progress,
-    and the rounds end when no pair occurs `least` times.
+    A place is replaced if no pair that overlaps it is more frequent; of a pair that overlaps itself the left one goes.
+    The most frequent pair wins everywhere, so each round makes progress, and the rounds end when no pair occurs `least`
+    times. A pair without a symbol of the last round can only have become rarer, so after the first round only pairs
+    with such a symbol, and those that were frequent before, are counted.
     """
-    seq, rules, lengths = ids.astype(np.int64), [np.empty((0, 2), np.int64)], np.ones(first, np.int64)
+    seq, rules, lengths, places = ids.astype(np.int64), [np.empty((0, 2), np.int64)], np.ones(first, np.int64), None
     while len(seq) > least:
-        pairs, ranks = pair_ranks(seq, least)
+        pairs, ranks = pair_ranks(seq, least, places)
         here = ranks[1:-1]
         at = np.flatnonzero((here > 0) & (here >= ranks[:-2]) & (here >= ranks[2:]))
         if not len(at):
@@ -187,8 +192,11 @@ def replace_pairs(ids: np.ndarray, first: int, least: int = 16) -> tuple[np.ndar
         at, symbol = at[symbol > 0], symbol[symbol > 0]
         rules.append(pairs[used - 1])
         lengths = np.concatenate([lengths, lengths[rules[-1]].sum(axis=1)])
-        seq[at] = symbol
-        seq = np.delete(seq, at + 1)
+        open_, keep = np.append(here > 0, False), np.ones(len(seq), bool)
+        open_[at], open_[at[at > 0] - 1] = True, True
+        seq[at], keep[at + 1] = symbol, False
+        seq = seq[keep]
+        places = np.flatnonzero(open_[keep][:-1])
     return seq.astype(np.uint32), np.concatenate(rules).astype(np.uint32), lengths[first:].astype(np.uint32)
 
 
@@ -220,7 +228,7 @@ def read_ids(seq: np.ndarray, rules: np.ndarray, lengths: np.ndarray, first: int
 BLOCK = "bucket int, block int, first_symbol bigint, n_tokens bigint, n_docs bigint, doc_ids array<bigint>, doc_lengths binary, rules binary, rule_lengths binary, sequence binary"
 
 
-def write_files(docs: DataFrame, path: str, first: int = 1 << 16, block_tokens: int = 1 << 19) -> DataFrame:
+def write_files(docs: DataFrame, path: str, first: int = 1 << 16, block_tokens: int = 1 << 18) -> DataFrame:
     """Encodes docs and writes the blocks in ascending order of doc_id; returns the table of blocks as written."""
     tasks = reduce_tasks(docs.sparkSession)
     bucket = id_buckets(docs, tasks)
