@@ -44,22 +44,23 @@ class Memo:
 
     def found(self, keys: list, learn) -> list:
         """The values of keys; learn: (list of distinct new keys) -> their values."""
-        out = list(map(self.young.get, keys))
-        missed = [k for k, v in enumerate(out) if v is None]
+        here = dict.fromkeys(keys)  # small, so most of the work stays in the processor's cache
+        distinct = list(here)
+        values = list(map(self.young.get, distinct))
+        missed = [k for k, v in enumerate(values) if v is None]
         if missed:
-            asked = list(map(keys.__getitem__, missed))
-            distinct = list(set(asked))
-            values = list(map(self.old.get, distinct))
-            new = [key for key, v in zip(distinct, values) if v is None]
-            wanted = dict(zip(distinct, values))
+            asked = list(map(distinct.__getitem__, missed))
+            wanted = dict(zip(asked, map(self.old.get, asked)))
+            new = [key for key, v in wanted.items() if v is None]
             if new:
                 wanted.update(zip(new, learn(new)))
-            for k, v in zip(missed, map(wanted.__getitem__, asked)):
-                out[k] = v
+            for k, v in zip(missed, wanted.values()):
+                values[k] = v
             if len(self.young) + len(wanted) > self.most:
                 self.old, self.young = self.young, {}
             self.young.update(wanted)
-        return out
+        here.update(zip(distinct, values))
+        return list(map(here.__getitem__, keys))
 
 
 class WordEncoder:
