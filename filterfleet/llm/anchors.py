@@ -164,7 +164,9 @@ def repeated_windows(base: DataFrame, sequence, cut, search, least: int, gram: i
     Equal contexts repeat as they are; only contexts of a kind are searched, beside all others with their gram. A task
     holds the contexts of one gram after the other, in blocks of about `block` bytes. Where more than `crowd` different
     contexts share a gram (a very common line amid ever new text), their windows choose anchors again among longer grams,
-    which equal windows still have in common, so that such a crowd is dealt out too.
+    which equal windows still have in common, so that such a crowd is dealt out too. Where that leaves a crowd, the gram
+    becomes the whole window: equal windows then follow one another, and a task that looks for them keeps one row. So no
+    task's memory depends on how often a gram occurs.
     """
     finer = gram + 2 * (least - gram) // 3
     found = materialize(shared_anchors(all_anchors(base, sequence, least, gram)), "repeat-anchors")
@@ -223,9 +225,56 @@ def repeated_windows(base: DataFrame, sequence, cut, search, least: int, gram: i
             if out:
                 yield flush()
 
-    spans = base.join(wanted, ["doc_id", "mark"]).mapInArrow(extract, CONTEXT)
-    dealt = spans.repartition(reduce_tasks(base.sparkSession), "key").sortWithinPartitions("key", "doc_id", "first")
-    return found.where("again").select("doc_id", "mark", "first", "windows").unionByName(dealt.mapInArrow(compare, WINDOWS))
+    def windows_of(batches):
+        for batch in batches:
+            parts = []
+            for key, doc_id, mark, first, windows, again, span in zip(*(batch.column(c).to_pylist() for c in names)):
+                whole = Hashes(sequence(span)).grams(least)[:windows].view(np.int64)
+                parts.append((whole, np.full(windows, key), np.full(windows, doc_id), np.full(windows, mark, np.int32), first + np.arange(windows, dtype=np.int32), np.full(windows, again)))
+                if sum(len(x[0]) for x in parts) > 200_000:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts)], names=WINDOW_NAMES)
+                    parts = []
+            if parts:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts)], names=WINDOW_NAMES)
+
+    tasks = reduce_tasks(base.sparkSession)
+    spans = materialize(base.join(wanted, ["doc_id", "mark"]).mapInArrow(extract, CONTEXT), "repeat-spans")
+    # Only keys that longer grams have made can still be crowds beyond what was counted above.
+    crowds = spans.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > crowd).select("key")
+    dealt = spans.join(crowds, "key", "left_anti").repartition(tasks, "key").sortWithinPartitions("key", "doc_id", "first")
+    single = spans.join(crowds, "key", "left_semi").mapInArrow(windows_of, WINDOW).repartition(tasks, "whole", "key").sortWithinPartitions("whole", "key")
+    out = found.where("again").select("doc_id", "mark", "first", "windows").unionByName(dealt.mapInArrow(compare, WINDOWS))
+    return out.unionByName(single.mapInArrow(equal_windows, WINDOWS))
+
+
+WINDOW = "whole bigint, key bigint, doc_id bigint, mark int, first int, again boolean"
+WINDOW_NAMES = [x.split()[0] for x in WINDOW.split(", ")]
+
+
+def equal_windows(batches):
+    """Windows that have an equal one, from rows sorted by the window's and the gram's hash; one row is held back."""
+    held, same = None, False
+
+    def out(columns, end):
+        nonlocal same
+        whole, key, doc_id, mark, first, again = columns
+        equal = (whole[1:] == whole[:-1]) & (key[1:] == key[:-1])
+        before, after = np.concatenate([[same], equal]), np.concatenate([equal, [False]])
+        n = len(whole) if end else len(whole) - 1
+        same = bool(before[-1])
+        keep = np.flatnonzero(((before | after) & ~again)[:n])
+        return pa.RecordBatch.from_arrays([pa.array(doc_id[keep]), pa.array(mark[keep]), pa.array(first[keep]), pa.array(np.ones(len(keep), np.int32))], names=["doc_id", "mark", "first", "windows"])
+
+    for batch in batches:
+        columns = [batch.column(c).to_numpy(zero_copy_only=False) for c in WINDOW_NAMES]
+        if not len(columns[0]):
+            continue
+        if held is not None:
+            columns = [np.concatenate([h, x]) for h, x in zip(held, columns)]
+        held = [x[-1:] for x in columns]
+        yield out(columns, False)
+    if held is not None:
+        yield out(held, True)
 
 
 def with_stretches(base: DataFrame, windows: DataFrame) -> DataFrame:
