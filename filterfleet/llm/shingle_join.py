@@ -9,8 +9,9 @@ leading elements (the prefix) of each.
 2. Groups meet on prefix elements. First every group meets only the smallest group of each element (a pivot), under
    the length and position filters, and pairs are verified on whole sets. Copies of one text are linked by that, at a
    cost that is linear in their number.
-3. What is left are pairs of groups on elements whose groups are not all in one component yet. They are all formed,
-   filtered, expanded to members in different components, and verified. No pair of different components is left out.
+3. What is left are pairs of groups on elements whose groups are not all in one component yet. They meet by element
+   and band of sizes, are filtered, expanded to members in different components, and verified. No pair of different
+   components that could reach the threshold is left out.
 
 Empty sets (null text or no word) link with nothing. Rows without an id link with nothing either and come out with a
 null set and component, whatever their text. Rows that repeat an id count as one set of it each, in one component. Other columns are
@@ -220,6 +221,21 @@ def may_reach(percent: int, a: str = "", b: str = "p_") -> str:
     return f"100 * least({a}n, {b}n) >= {percent} * greatest({a}n, {b}n) and 1 + least({a}n - 1 - {a}pos, {b}n - 1 - {b}pos) >= {need}"
 
 
+def blocked_pairs(rows: DataFrame, percent: int, ratio: float = 1.05) -> DataFrame:
+    """Rows of one element side by side as a_ and b_, b's set not the smaller one: met by element and size.
+
+    Sizes fall into bands, each `ratio` times the one before. A row looks for partners in its own band and those above
+    that the threshold lets it reach, and only in bands whose smallest sets the rest of its own could still suffice for.
+    """
+    band = lambda n: f"cast(floor(ln({n}) / ln({ratio}D)) as int)"
+    names = ("gid", "n", "pos", "low", "high")
+    need = f"({percent} * (n + greatest(n, cast(floor(pow({ratio}D, x)) as bigint))) + {99 + percent}) div {100 + percent}"
+    reach = F.expr(f"filter(sequence({band('n')}, {band(f'100 * n div {percent} + 1')}), x -> n - pos >= {need})")
+    left = rows.withColumn("band", F.explode(reach)).select("element", "band", *(F.col(c).alias(f"a_{c}") for c in names))
+    right = rows.select("element", F.expr(band("n")).alias("band"), *(F.col(c).alias(f"b_{c}") for c in names))
+    return left.join(right, ["element", "band"])
+
+
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The (a, b) of pairs whose whole sets reach the threshold. A set travels with all partners it is the a of."""
     one = pairs.join(sets.select(F.col("id").alias("a"), F.col("elements").alias("a_set")), "a")
@@ -287,10 +303,9 @@ def similarity_classes(docs: DataFrame, width: int = 5, percent: int = 75) -> Da
     placed = shared.select("element", "gid", "n", "pos").join(spread, "gid")
     mixed = placed.groupBy("element").agg(F.min("low").alias("least"), F.max("high").alias("most")).where("least <> most").select("element")
     open_rows = materialize(placed.join(mixed, "element"), "shingle-open")
-    left = open_rows.select("element", *(F.col(c).alias(f"a_{c}") for c in ("gid", "n", "pos", "low", "high")))
-    right = open_rows.select("element", *(F.col(c).alias(f"b_{c}") for c in ("gid", "n", "pos", "low", "high")))
     settled = "(a_low = a_high and b_low = b_high and a_low = b_low)"
-    met = left.join(right, "element").where(f"a_gid < b_gid and not {settled} and {may_reach(percent, 'a_', 'b_')}").select("a_gid", "b_gid").distinct()
+    apart = "(a_n < b_n or a_n = b_n and a_gid < b_gid)"
+    met = blocked_pairs(open_rows, percent).where(f"{apart} and not {settled} and {may_reach(percent, 'a_', 'b_')}").select("a_gid", "b_gid").distinct()
     crowds = spread.where("low <> high").selectExpr("gid as a_gid", "gid as b_gid")
     side = lambda s: labelled.select(F.col("gid").alias(f"{s}_gid"), F.col("rep").alias(s), F.col("label").alias(f"{s}_label"))
     later = met.unionByName(crowds).join(side("a"), "a_gid").join(side("b"), "b_gid").where("a_label <> b_label").selectExpr("least(a, b) as a", "greatest(a, b) as b").distinct()
