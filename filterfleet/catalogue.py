@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from filterfleet.functions.frames import checkpointed, numbered, table
 from filterfleet.functions.hashing import positions, set_bits
@@ -245,10 +245,10 @@ def tree_counted_cost(spark, sf_dir):
     return tree.counted_cost(_bulk(spark, sf_dir, "cust", WIDE_FLEET), probes(collection(spark, sf_dir, "cust")))
 
 
-@query(O.chain(*_COST, then="select level, count(*) as checked, count(*) filter (where hit) as matched from (select c.query_id, c.level, h.query_id is not null as hit from (select p.query_id, s.level, s.ix from probes p, shape s where s.parent_id is null union all select h.query_id, s.level, s.ix from hits h join nodes n on n.level = h.level and n.ix = h.ix join shape s on s.parent_id = n.node_id where h.level > 0) c left join hits h on h.query_id = c.query_id and h.level = c.level and h.ix = c.ix) group by level"))
+@query(O.chain(*_COST, then="select level, count(*) as checked, count(*) filter (where hit) as matched, round(1 - count(*) filter (where hit) / count(*), 9) as pruned from (select c.query_id, c.level, h.query_id is not null as hit from (select p.query_id, s.level, s.ix from probes p, shape s where s.parent_id is null union all select h.query_id, s.level, s.ix from hits h join nodes n on n.level = h.level and n.ix = h.ix join shape s on s.parent_id = n.node_id where h.level > 0) c left join hits h on h.query_id = c.query_id and h.level = c.level and h.ix = c.ix) group by level"))
 def pruning_by_level(spark, sf_dir):
     index = _bulk(spark, sf_dir, "cust", WIDE_FLEET)
-    return costs.pruning_by_level(tree.tree_search(index, probes(collection(spark, sf_dir, "cust")))[1]).select("level", "checked", "matched")
+    return costs.pruning_by_level(tree.tree_search(index, probes(collection(spark, sf_dir, "cust")))[1]).select("level", "checked", "matched", rounded("pruned"))
 
 
 @query(O.chain(O.members("cust"), O.bits(SPEC), *O.sizes(D), O.NODE_BITS, then=f"select level, n_nodes, round(s / n_nodes, 9) as mean_fill from (select lv.level, any_value(lv.n) as n_nodes, sum(f) as s from lv join (select level, ix, count(*) / {SPEC.m} as f from nbits group by level, ix) x on x.level = lv.level group by lv.level)"))
@@ -480,11 +480,7 @@ def tree_search_in_shards(spark, sf_dir):
     sets = collection(spark, sf_dir, "user")
     asked = probes(sets)
     spots = asked.select("query_id", positions(F.col("element"), SPEC).alias("spots"))
-    counted = grow.shard_search(filters.build_filters(sets, SPEC), spots, SPEC, shards=4).groupBy("query_id").agg(F.sum("n_matches").alias("n"))
-    found = _pack("user", SPEC, "")(spark, sf_dir)
-    total = found.groupBy("query_id").agg(F.count("*").alias("m"))
-    agree = counted.join(total, "query_id", "left").where("n = coalesce(m, 0)").select("query_id")
-    return found.join(agree, "query_id", "left_semi")
+    return grow.shard_search(filters.build_filters(sets, SPEC), spots, SPEC, shards=4).select("query_id", F.explode("filter_ids").alias("filter_id"))
 
 
 @query(_search_sql("cust", SPEC))
@@ -494,11 +490,19 @@ def tree_rebuild_search(spark, sf_dir):
     return tree.tree_search(tree.rebuild(grown, d=4), probes(sets))[0]
 
 
-@query(O.chain(*O.search("user", SPEC), ("t", "select query_id, site_id as filter_id from probes join mem using (element)"), then="select query_id, filter_id from t"))
+class _Resized:
+    """The spec of the resized tree as SQL sees it: its length follows from the elements that are there."""
+
+    family, k, m = "md5_double", SPEC.k, "(select m from wide)"
+
+
+_WIDE = ("wide", f"select ceil(ceil({SPEC.k} / ln(2) * count(distinct element)) / 64)::bigint * 64 as m from mem")
+
+
+@query(O.chain(O.members("user"), _WIDE, O.bits(_Resized), O.probes(), O.probe_bits(_Resized), O.matches(), then="select query_id, filter_id from matches"))
 def tree_resize_search(spark, sf_dir):
     sets = collection(spark, sf_dir, "user")
-    found = tree.tree_search(tree.resize(sets, SPEC), probes(sets))[0]
-    return found.join(scan.exact_search(sets, probes(sets)), ["query_id", "filter_id"], "left_semi")
+    return tree.tree_search(tree.resize(sets, SPEC), probes(sets))[0]
 
 
 @query(O.chain(("mem", "select site_id, element from (" + O.MEMBERS["cust"] + ") where site_id % 10 <> 0 or element % 2 = 0"), ("all_sites", "select distinct o_custkey as site_id from orders"), O.bits(SPEC), *O.sizes(D, "all_sites"), O.NODE_BITS, then="select node_id, count(*) as ones from nbits join nodes using (level, ix) group by node_id"))
@@ -538,17 +542,231 @@ def decay_report(spark, sf_dir):
     return made.select(*(rounded(c, 6) for c in ("bf_cost", "ideal", "ratio")), "rebuild")
 
 
-def _sweep(experiment, values, **defaults):
+# --- measures by themselves -------------------------------------------------------------------------------------------
+
+
+@query(O.chain(*O.search("part", SPEC), then="select round((select count(*) from matches) / (select count(*) from probes), 9) as mean_matches"))
+def mean_matches(spark, sf_dir):
+    sets = collection(spark, sf_dir, "part")
+    asked = checkpointed(probes(sets))
+    return costs.mean_matches(pack.pack_search(pack.pack_build(sets, SPEC), asked), asked.count()).select(rounded("mean_matches"))
+
+
+_PER_PROBE = ("c", "select p.query_id, 1 + coalesce(sum(n_children), 0) as n from probes p left join hits h on h.query_id = p.query_id and h.level > 0 left join shape s on s.level = h.level and s.ix = h.ix group by p.query_id")
+
+
+@query(O.chain(*_COST, _PER_PROBE, ("w", "select count(*) as n from leaves"), then="select round(avg(c.n), 6) as bf_cost, round(avg(c.n) - any_value(3 * ln(w.n) / ln(3) + 1), 6) as gap from c, w"))
+def gap_to_ideal(spark, sf_dir):
+    sets = collection(spark, sf_dir, "cust")
+    found = tree.tree_search(_bulk(spark, sf_dir, "cust", WIDE_FLEET), probes(sets))[1]
+    return costs.gap_to_ideal(found, sets.select("site_id").distinct().count(), D + 1).select(rounded("bf_cost", 6), rounded("gap", 6))
+
+
+@query(O.chain(O.members("cust"), O.bits(SPEC), *O.sizes(D), O.NODE_BITS, then=f"select lv.level, any_value(lv.n) as n_nodes, round(sum(fp) / any_value(lv.n), 9) as mean_fp, (select round(pow(1 - exp(-{SPEC.k}.0::double * count(distinct element) / {SPEC.m}), {SPEC.k}), 9) from mem) as root_analytic from lv join (select level, ix, pow(count(*) / {SPEC.m}, {SPEC.k}) as fp from nbits group by level, ix) x on x.level = lv.level group by lv.level"))
+def level_fp(spark, sf_dir):
+    elements = collection(spark, sf_dir, "cust").select("element").distinct().count()
+    return costs.level_fp(_bulk(spark, sf_dir), elements).select("level", "n_nodes", rounded("mean_fp"), rounded("root_analytic"))
+
+
+@query(O.chain(O.members("user"), *O.sizes(D), then="select filter_id, (select max(level) + 1 from lv) as accessed from leaves where filter_id % 10 = 0"))
+def update_bf_cost(spark, sf_dir):
+    """Nodes that an update of each tenth filter writes: its leaf and all above."""
+    index = _bulk(spark, sf_dir, "user")
+    return tree.ancestors(index.nodes).where("filter_id % 10 = 0").groupBy("filter_id").agg(F.count("*").alias("accessed"))
+
+
+def maintenance_bf_cost(spark, sf_dir):
+    """Mean nodes that an insertion reads or writes, by distance measure; greedy growth has no SQL form."""
+    words = checkpointed(filters.build_filters(collection(spark, sf_dir, "user"), SPEC))
+    made = [costs.maintenance_bf_cost(grow.grow(words, SPEC, D, metric).accessed).select(F.lit(metric).alias("metric"), "bf_cost") for metric in distance.METRICS]
+    return made[0].unionByName(made[1]).unionByName(made[2])
+
+
+QUERIES["maintenance_bf_cost"] = maintenance_bf_cost
+
+_BOUNDS = """
+with recursive given as (select n, d from (select unnest([1, 4, 5, 9, 64, 1000, 10000, 100000]::bigint[]) as n), (select unnest([2, 3, 4, 10]::bigint[]) as d)),
+lv as (select n, d, 0 as level, n as here from given
+       union all select n, d, level + 1, case when here <= 2 * d then 1 else (here - d) // (d + 1) + 1 end from lv where here > 1 or level = 0)
+select n, d, max(level)::bigint as height, any_value(case when n <= 2 * d then 1 else 1 + floor(ln(n / 2.0) / ln(d) + 1e-9) end)::bigint as bound, sum(here)::bigint as n_nodes from lv group by n, d
+"""
+
+
+@query(_BOUNDS)
+def tree_height_bounds(spark, sf_dir):
+    """Height and nodes of sorted loads beside the bound on the height."""
+    given = [(n, d) for n in (1, 4, 5, 9, 64, 1000, 10_000, 100_000) for d in (2, 3, 4, 10)]
+    rows = [(n, d, len(s) - 1, tree.height_bound(n, d), sum(s)) for n, d in given for s in [tree.level_sizes(n, d)]]
+    return spark.createDataFrame(rows, "n long, d long, height long, bound long, n_nodes long")
+
+
+@query("select m, n, round(ln(2) * m / n, 9) as exact, greatest(1, round(ln(2) * m / n))::bigint as k from (select unnest([1024, 15168, 100992]::bigint[]) as m), (select unnest([100, 1500, 10000]::bigint[]) as n)")
+def optimal_hash_count(spark, sf_dir):
+    from filterfleet.functions.params import optimal_k
+
+    rows = [(m, n, optimal_k(m, n)) for m in (1024, 15_168, 100_992) for n in (100, 1500, 10_000)]
+    return spark.createDataFrame(rows, "m long, n long, k long").select("m", "n", F.round(F.log(F.lit(2.0)) * F.col("m") / F.col("n"), 9).alias("exact"), "k")
+
+
+IDENTITY = FilterSpec(1500, family="mod_identity", k=1)
+DOUBLE_XX = FilterSpec(1500, family="xx64_double")
+
+
+@query(f"select element, 0 as i, element % {IDENTITY.m} as pos from (select distinct o_orderkey as element from orders)")
+def hash_positions_identity(spark, sf_dir):
+    return _positions(IDENTITY)(spark, sf_dir)
+
+
+@query(O.chain(O.members("cust"), O.probes(), then="select query_id, site_id as filter_id from probes join mem using (element)"))
+def xx64_search(spark, sf_dir):
+    """Searches by 64-bit hashes; with the false positives, which SQL can't tell, taken out by the sets, the truth is left."""
+    sets = collection(spark, sf_dir, "cust")
+    asked = probes(sets)
+    return pack.pack_search(pack.pack_build(sets, DOUBLE_XX), asked).join(scan.exact_search(sets, asked), ["query_id", "filter_id"], "left_semi")
+
+
+@query(O.chain(O.members("nation"), O.bits(SMALL), then="select filter_id, pos from bits"))
+def bytes_layout(spark, sf_dir):
+    """Filters as bytes and back."""
+    dense = filters.to_dense(filters.build_filters(collection(spark, sf_dir, "nation"), SMALL), SMALL).withColumnRenamed("filter_id", "key")
+    back = filters.from_bytes(filters.to_bytes(dense, "key"), "key").withColumnRenamed("key", "filter_id")
+    return filters.to_positions(filters.to_sparse(back))
+
+
+@query(O.chain(O.members("day"), O.bits(SMALL), ("weeks", "select distinct filter_id // 7 as week, pos from bits"), then="select o.filter_id as a, w.week as b from (select filter_id, count(*) as n from bits group by 1) o, bits join weeks w using (pos) where bits.filter_id = o.filter_id group by 1, 2 having count(*) = any_value(o.n)"))
+def week_containment(spark, sf_dir):
+    """Days and weeks such that the day's filter lies in the union of the week's."""
+    words = checkpointed(filters.build_filters(collection(spark, sf_dir, "day"), SMALL))
+    weeks = filters.union_filters(words.withColumn("b", F.expr("filter_id div 7")), "b")
+    days = words.join(F.broadcast(weeks.select("b").distinct()), F.lit(True)).select(F.col("filter_id").alias("a"), "b", "word_ix", F.col("word").alias("x"))  # a row for each week
+    return distance.contained(days, weeks.withColumnRenamed("word", "y"))
+
+
+@query(O.chain(O.members("user"), O.bits(SPEC), *O.search("user", SPEC)[2:], then="select query_id, filter_id from matches"))
+def empty_filter_search(spark, sf_dir):
+    """Sites without elements have a place in the tree and no bits; they never match."""
+    sets = collection(spark, sf_dir, "user")
+    words = filters.build_filters(sets, SPEC)
+    ids = sets.select("site_id").distinct()
+    both = ids.unionByName(ids.select((F.col("site_id") + 10_000).alias("site_id")))
+    places = numbered(both.withColumnRenamed("site_id", "filter_id"), "filter_id", "place")
+    return tree.tree_search(tree.bulk_load(words, SPEC, D, places=places), probes(sets))[0]
+
+
+QUERIES["tree_search_forest_by_minhash"], ORACLES["tree_search_forest_by_minhash"] = _greedy("hamming", SPEC, "part", shards=8, shard_by="minhash"), _search_sql("part", SPEC, 10)
+
+
+# --- provenance over event chains and composition ----------------------------------------------------------------------
+
+
+def _event_edges(spark, sf_dir):
+    events = table(spark, sf_dir, "events").select("user_id", "event_id", "ts")
+    before = F.lag("event_id").over(Window.partitionBy("user_id").orderBy("ts", "event_id"))
+    edges = events.select(F.pmod("event_id", F.lit(16)).alias("site_id"), F.col("event_id").alias("child"), before.alias("parent")).where("parent is not null")
+    return edges, events.groupBy("user_id").agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("item")).select("item")
+
+
+@query("select last_value(event_id) over w as start, event_id as item from events window w as (partition by user_id order by ts, event_id rows between unbounded preceding and unbounded following) qualify last_value(event_id) over w <> event_id")
+def provenance_events(spark, sf_dir):
+    """From each user's last event back along the chain of events, whose links lie on sixteen sites."""
+    return provenance.trace(*_event_edges(spark, sf_dir), SPEC)[0]
+
+
+def _composition(spark, sf_dir):
+    """An order is made of parts, and a part of an order comes from a supplier; the links lie with the supplier's nation.
+    Keys of one kind are kept apart from the others': orders 4x, parts 4x + 1, suppliers 4x + 2, parts from a supplier 4x + 3."""
+    lines = table(spark, sf_dir, "lineitem").join(table(spark, sf_dir, "supplier"), F.expr("l_suppkey = s_suppkey"))
+    lines = lines.select(F.col("s_nationkey").cast("bigint").alias("site_id"), "l_orderkey", "l_partkey", "l_suppkey").distinct()
+    made = F.expr("4 * (l_partkey * 1000000 + l_suppkey) + 3")
+    up = lines.select("site_id", F.expr("4 * l_orderkey").alias("child"), made.alias("parent"))
+    part = lines.select("site_id", made.alias("child"), F.expr("4 * l_partkey + 1").alias("parent"))
+    supplier = lines.select("site_id", made.alias("child"), F.expr("4 * l_suppkey + 2").alias("parent"))
+    starts = lines.select(F.expr("4 * l_orderkey").alias("item")).distinct().where("item % 400 = 0")
+    return up.unionByName(part).unionByName(supplier).distinct(), starts
+
+
+@query("with l as (select distinct l_orderkey as o, l_partkey as p, l_suppkey as s from lineitem join supplier on l_suppkey = s_suppkey where l_orderkey % 100 = 0) select 4 * o as start, 4 * (p * 1000000 + s) + 3 as item from l union select 4 * o, 4 * p + 1 from l union select 4 * o, 4 * s + 2 from l")
+def provenance_composition(spark, sf_dir):
+    """What the orders with keys divisible by 100 are made of, across the suppliers' nations."""
+    return provenance.trace(*_composition(spark, sf_dir), FilterSpec(20_000))[0]
+
+
+# --- experiments -------------------------------------------------------------------------------------------------------
+
+
+def _point(spark, sf_dir, label, name, spec, d):
+    """One row of measures of a sorted load of a collection, and of searches in it, all of them distributed."""
+    sets = checkpointed(collection(spark, sf_dir, name))
+    asked = checkpointed(probes(sets))
+    index = tree.bulk_load(filters.build_filters(sets, spec), spec, d)
+    found = pack.pack_search(pack.pack_build(sets, spec), asked)
+    made = tree.shape(index).select("height", "n_nodes", (F.col("n_nodes") - F.col("n_inner")).alias("n_filters"))
+    root = index.words.join(index.nodes.where("parent_id is null").select("node_id"), "node_id").agg(F.coalesce(F.sum(F.bit_count("word")), F.lit(0)).alias("root_ones"))
+    cost = tree.counted_cost(index, asked).agg(F.round(F.avg("nodes_checked"), 6).alias("bf_cost"))
+    matched = found.agg(F.round(F.count("*") / asked.count(), 6).alias("mean_matches"))
+    row = made.crossJoin(root).crossJoin(cost).crossJoin(matched)  # one row each
+    size = lambda method: F.expr({"tree": "n_nodes", "pack": "(n_filters + 63) div 64 * 64", "scan": "n_filters"}[method] + f" * {spec.m} div 8").alias(f"{method}_bytes")
+    return row.select(F.lit(label).alias("label"), F.lit(d).cast("bigint").alias("d"), F.lit(spec.m).cast("bigint").alias("m"), F.lit(spec.k).cast("bigint").alias("k"), "n_filters", F.col("height").cast("bigint").alias("height"), "n_nodes", "root_ones", "bf_cost", "mean_matches", size("tree"), size("pack"), size("scan"))
+
+
+def _point_sql(label, name, spec, d):
+    parts = O.chain(
+        *O.search(name, spec), *O.sizes(d), O.NODE_BITS, O.NODE_HITS, O.edges(d), _PER_PROBE,
+        then=f"""select '{label}' as label, {d}::bigint as d, {spec.m}::bigint as m, {spec.k}::bigint as k, l.n as n_filters, h.h as height, t.n as n_nodes,
+        (select count(*) from nbits where level = h.h) as root_ones, (select round(avg(n), 6) from c) as bf_cost,
+        round((select count(*) from matches) / (select count(*) from probes), 6) as mean_matches,
+        t.n * {spec.m} // 8 as tree_bytes, (l.n + 63) // 64 * 64 * {spec.m} // 8 as pack_bytes, l.n * {spec.m} // 8 as scan_bytes
+        from (select count(*) as n from leaves) l, (select max(level)::bigint as h from lv) h, (select count(*) as n from nodes) t""",
+    )
+    return f"select * from ({parts})"
+
+
+#: Curve -> its points: label, collection, spec, order of the tree.
+CURVES = {
+    "filters": [(n, n, SPEC, D) for n in ("nation", "user", "block100", "cust", "part")] + [("order", "order", SMALL, D)],
+    "order": [(f"d={d}", "cust", SPEC, d) for d in (2, 3, 4, 5, 8, 10, 16)],
+    "filter_size": [(f"n_exp={n}", "block100", FilterSpec(n), D) for n in (100, 1000, 10_000, 100_000)],
+    "target": [(f"p={p}", "block100", FilterSpec(1500, p), D) for p in (1e-7, 1e-5, 1e-3, 0.01, 0.1)],
+    "set_size": [(n, n, SPEC, D) for n in ("block10", "block100", "block1000")],
+    "distribution": [(n, n, WIDE_FLEET, D) for n in ("cust", "part", "conv")],
+}
+
+
+def _curve(points):
+    def run(spark, sf_dir):
+        rows = [_point(spark, sf_dir, *p) for p in points]
+        whole = rows[0]
+        for row in rows[1:]:
+            whole = whole.unionByName(row)
+        return whole
+
+    return run
+
+
+for _name, _points in CURVES.items():
+    QUERIES[f"curve_{_name}"] = _curve(_points)
+    ORACLES[f"curve_{_name}"] = "\nunion all\n".join(_point_sql(*p) for p in _points)
+
+
+def curve_load_order(spark, sf_dir):
+    """Mean nodes tested after sorted loads in different orders; the orders' hashes have no SQL form."""
+    sets = checkpointed(collection(spark, sf_dir, "part"))
+    asked, words = checkpointed(probes(sets)), checkpointed(filters.build_filters(sets, WIDE_FLEET))
+    rows = [tree.counted_cost(tree.bulk_load(words, WIDE_FLEET, D, o), asked).agg(F.lit(o).alias("load_order"), F.avg("nodes_checked").alias("bf_cost")) for o in ("id", "ones", "first", "minhash")]
+    return rows[0].unionByName(rows[1]).unionByName(rows[2]).unionByName(rows[3])
+
+
+QUERIES["curve_load_order"] = curve_load_order
+
+
+def _sweep(experiment):
     from filterfleet.plans import workloads
 
-    return lambda spark, sf_dir: workloads.sweep(spark, experiment, values, **defaults)
+    return lambda spark, sf_dir: workloads.sweep(spark, experiment, sf_dir=sf_dir)
 
 
-for _name, _values, _defaults in (
-    ("filters", [100, 300, 1000], {}), ("order", [2, 3, 4, 8, 16], {}), ("filter_size", [1000, 10_000, 100_000], {"n_filters": 300}), ("target", [1e-7, 1e-4, 0.01, 0.1], {"n_filters": 300}), ("set_size", [10, 100, 500], {"n_filters": 500}),
-    ("metric", None, {}), ("distribution", None, {}), ("construction", None, {"n_filters": 500}), ("saturation_rule", None, {"n_exp": 1000}), ("after_update", None, {}), ("family", None, {}),
-):
-    QUERIES[f"sweep_{_name}"] = _sweep(_name, _values, probes=500, maintained=50, **_defaults)
+for _name in ("filters", "order", "filter_size", "target", "set_size", "metric", "distribution", "construction", "saturation_rule", "after_update", "family", "maintenance"):
+    QUERIES[f"sweep_{_name}"] = _sweep(_name)
 
 
 from filterfleet.plans import relational  # noqa: E402

@@ -5,19 +5,38 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir. One of our own only where none is set and all
+    runs in one process; on a cluster such a folder would go with its machine, so there an unset one is an error."""
+    context = spark.sparkContext
+    place = spark.conf.get("spark.checkpoint.dir", None) or context._jsc.sc().getCheckpointDir().getOrElse(None)
+    if not place:
+        if not context.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
+        import tempfile
+
+        place = tempfile.mkdtemp(prefix="filterfleet-")
+        context.setCheckpointDir(place)
+    return place
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
-    """df, computed once and kept in the folder of spark.checkpoint.dir (one of our own where none is set)."""
+    """df, computed once and kept in the shared folder."""
     context = df.sparkSession.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
-        place = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        if not place:
-            import tempfile
-
-            place = tempfile.mkdtemp(prefix="filterfleet-")
-        context.setCheckpointDir(place)
+        context.setCheckpointDir(shared_dir(df.sparkSession))
     return df.checkpoint()
 
 
+def written(df: DataFrame, what: str, *by: str) -> DataFrame:
+    """df as a table in the shared folder, in a part for each value of `by`, so that a reader takes only the parts it asks for."""
+    import uuid
+
+    path = f"{shared_dir(df.sparkSession)}/{what}-{uuid.uuid4().hex}"
+    df.write.partitionBy(*by).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def range_buckets(df: DataFrame, column: str, buckets: int):
     """Expression for the range of `column` that a row lies in; the bounds are approximate quantiles (buckets - 1 numbers)."""
     shares = [k / buckets for k in range(1, buckets)]
@@ -49,9 +68,23 @@ def small(df: DataFrame, most_rows: int = 1_000_000) -> bool:
 
 
 def broadcast_if_small(df: DataFrame, most_rows: int = 200_000) -> DataFrame:
-    """A broadcast hint behind a check of size; larger tables are left to the planner."""
+    """A broadcast hint behind a check of size; larger tables are left to the planner. df is computed once, for both."""
+    df = checkpointed(df)
     return F.broadcast(df) if small(df, most_rows) else df
 
 
+def ored_into(words: DataFrame, delta: DataFrame, *keys: str, most_rows: int = 200_000) -> DataFrame:
+    """words with delta's words OR-ed in by key (words has a row for each key).
+
+    A small delta goes to where the words lie, which then don't move; otherwise both are grouped anew.
+    """
+    delta = checkpointed(delta.groupBy(*keys).agg(F.bit_or("word").alias("word")))
+    if not small(delta, most_rows):
+        return words.unionByName(delta).groupBy(*keys).agg(F.bit_or("word").alias("word"))
+    merged = words.join(F.broadcast(delta.withColumnRenamed("word", "more")), list(keys), "left").select(*keys, F.expr("word | coalesce(more, 0)").alias("word"))
+    known = words.join(F.broadcast(delta.select(*keys)), list(keys), "left_semi").select(*keys)
+    return merged.unionByName(delta.join(known, list(keys), "left_anti"))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")

@@ -73,6 +73,22 @@ def to_positions(filter_words: DataFrame, key: str = "filter_id") -> DataFrame:
     return filter_words.select(key, "word_ix", F.explode(lanes).alias("lane")).select(key, (F.col("word_ix") * WORD + F.col("lane")).alias("pos"))
 
 
+def to_bytes(filters: DataFrame, key: str = "filter_id") -> DataFrame:
+    """(key, bits BINARY) of dense filters: words one after the other, position 0 in the lowest bit of the first byte."""
+    word = lambda w: F.reverse(F.lpad(F.hex(w), 16, "0"))
+    # hex is written from the highest digit on; reversed as a whole, each byte's two digits change places again
+    swapped = lambda w: F.regexp_replace(word(w), "(.)(.)", "$2$1")
+    return filters.select(key, F.unhex(F.array_join(F.transform("words", swapped), "")).alias("bits"))
+
+
+def from_bytes(rows: DataFrame, key: str = "filter_id") -> DataFrame:
+    """(key, words ARRAY<BIGINT>) of the bytes layout."""
+    digits = F.regexp_replace(F.reverse(F.hex("bits")), "(.)(.)", "$2$1")  # the last word first, each from its highest digit on
+    n = (F.length("digits") / 16).cast("int")
+    part = lambda i: F.conv(F.expr("digits").substr((n - i - 1) * 16 + 1, F.lit(16)), 16, -10).cast("bigint")
+    return rows.select(key, digits.alias("digits")).select(key, F.when(n > 0, F.transform(F.sequence(F.lit(0), n - 1), part)).otherwise(F.array().cast("array<bigint>")).alias("words"))
+
+
 def to_bitmaps(membership: DataFrame, spec: FilterSpec) -> DataFrame:
     """(filter_id, bucket, bitmap BINARY): Spark's own bitmap layout, 32,768 positions a bucket."""
     bits = set_bits(membership, spec).select(F.col("site_id").alias("filter_id"), (F.col("pos") + 1).cast("bigint").alias("p"))

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from filterfleet.functions.params import FilterSpec
 from filterfleet.operators.filters import to_dense
-from filterfleet.operators.tree import TreeIndex
+from filterfleet.operators.tree import TreeIndex, order_filters
 
 
 def bit_counts(words: np.ndarray) -> np.ndarray:
@@ -205,26 +205,59 @@ def nearest_chain(bits: np.ndarray, metric: str = "hamming") -> list[int]:
 GROWN = "tree_id int, node_id long, parent_id long, level int, child_ord int, n_children int, filter_id long, accessed long, words array<long>"
 
 
-def dense_shards(filter_words: DataFrame, spec: FilterSpec, shards: int = 1, shard_key: str = "filter_id") -> DataFrame:
-    """(tree_id, filter_id, words): filters dealt to shards by the hash of a key."""
-    return to_dense(filter_words, spec).select(F.pmod(F.xxhash64(shard_key), F.lit(shards)).cast("int").alias("tree_id"), "filter_id", "words")
+#: Bytes of filters that one task grows a tree from, unless a caller says otherwise.
+SHARD_BYTES = 256 << 20
 
 
-def grow(filter_words: DataFrame, spec: FilterSpec, d: int = 2, metric: str = "hamming", saturation_rule: bool = False, method: str = "greedy", shards: int = 1, deletes: DataFrame | None = None, updates: DataFrame | None = None) -> TreeIndex:
+def shard_count(filter_words: DataFrame, spec: FilterSpec, shard_bytes: int = SHARD_BYTES) -> int:
+    """Shards that hold at most about shard_bytes of dense filters each."""
+    n = filter_words.select("filter_id").distinct().count()
+    return max(1, -(-n * spec.words * 8 // shard_bytes))
+
+
+def shard_numbers(filter_words: DataFrame, shards: int, by: str = "hash") -> DataFrame:
+    """(filter_id, tree_id): filters dealt by the hash of their id, or (by: ones, first, minhash) to shards that follow one
+    another in such an order, so that a tree holds filters that are alike and more trees turn a probe away at the root."""
+    if by == "hash":
+        return filter_words.select("filter_id").distinct().withColumn("tree_id", F.pmod(F.xxhash64("filter_id"), F.lit(shards)).cast("int"))
+    placed = order_filters(filter_words, by)
+    n = placed.count()
+    return placed.select("filter_id", F.least(F.expr(f"place * {shards} div {max(n, 1)}"), F.lit(shards - 1)).cast("int").alias("tree_id"))
+
+
+def dense_shards(filter_words: DataFrame, spec: FilterSpec, numbers: DataFrame) -> DataFrame:
+    """(tree_id, filter_id, words) of the filters in numbers (filter_id, tree_id)."""
+    return to_dense(filter_words, spec).join(numbers, "filter_id").select("tree_id", "filter_id", "words")
+
+
+def grow(
+    filter_words: DataFrame,
+    spec: FilterSpec,
+    d: int = 2,
+    metric: str = "hamming",
+    saturation_rule: bool = False,
+    method: str = "greedy",
+    shards: int | None = None,
+    deletes: DataFrame | None = None,
+    updates: DataFrame | None = None,
+    shard_by: str = "hash",
+) -> TreeIndex:
     """A forest with one tree for each shard, its filters inserted by ascending id (or along their nearest chain).
 
     method: greedy (beside the nearest leaf) or chain (the sorted load with its exact order). deletes: filter_id to take
-    out again; updates: (filter_id, word_ix, word) to OR in first. A shard has to fit in one task: bits / 8 bytes for each of
-    its filters and up to as much again for the nodes above.
+    out again; updates: (filter_id, word_ix, word) of filters in filter_words to OR in first. A shard has to fit in one task: bits / 8 bytes for each of
+    its filters and up to as much again for the nodes above; by default there are as many shards as SHARD_BYTES asks for.
     """
     from filterfleet.functions.frames import checkpointed
 
+    shards = shards or shard_count(filter_words, spec)
+    numbers = checkpointed(shard_numbers(filter_words, shards, shard_by))
     n_words, m = spec.words, spec.m
-    rows = dense_shards(filter_words, spec, shards).withColumn("op", F.lit(0))
+    rows = dense_shards(filter_words, spec, numbers).withColumn("op", F.lit(0))
     if updates is not None:
-        rows = rows.unionByName(dense_shards(updates, spec, shards).withColumn("op", F.lit(1)))
+        rows = rows.unionByName(dense_shards(updates, spec, numbers).withColumn("op", F.lit(1)))
     if deletes is not None:
-        gone = deletes.select(F.pmod(F.xxhash64("filter_id"), F.lit(shards)).cast("int").alias("tree_id"), "filter_id", F.array().cast("array<bigint>").alias("words"), F.lit(2).alias("op"))
+        gone = deletes.join(numbers, "filter_id").select("tree_id", "filter_id", F.array().cast("array<bigint>").alias("words"), F.lit(2).alias("op"))
         rows = rows.unionByName(gone)
 
     def build(frame: pd.DataFrame) -> pd.DataFrame:
@@ -252,19 +285,21 @@ def grow(filter_words: DataFrame, spec: FilterSpec, d: int = 2, metric: str = "h
     return index
 
 
-def shard_search(filter_words: DataFrame, probe_spots: DataFrame, spec: FilterSpec, d: int = 2, metric: str = "hamming", shards: int = 1, saturation_rule: bool = False) -> DataFrame:
-    """(query_id, tree_id, n_matches, nodes_checked): each shard's tree in the memory of a task, all probes asked of it.
+def shard_search(filter_words: DataFrame, probe_spots: DataFrame, spec: FilterSpec, d: int = 2, metric: str = "hamming", shards: int | None = None, saturation_rule: bool = False) -> DataFrame:
+    """(query_id, tree_id, filter_ids, nodes_checked): each shard's tree in the memory of a task, all probes asked of it.
 
     probe_spots: (query_id, spots); probes are a bounded batch and go to every shard.
     """
     n_words, m = spec.words, spec.m
+    shards = shards or shard_count(filter_words, spec)
     asked = probe_spots.join(F.broadcast(probe_spots.sparkSession.range(shards).select(F.col("id").cast("int").alias("tree_id"))), F.lit(True))  # each shard answers all
 
     def answer(key, filters: pd.DataFrame, probes: pd.DataFrame) -> pd.DataFrame:
         tree = ShardTree(n_words, d, metric, saturation_rule, m)
         for filter_id, words in filters.sort_values("filter_id")[["filter_id", "words"]].itertuples(index=False):
             tree.insert(filter_id, np.asarray(words, np.int64).view(np.uint64))
-        out = [(q, key[0], *(lambda r: (len(r[0]), r[1]))(tree.search(np.asarray(s, np.int64)))) for q, s in probes[["query_id", "spots"]].itertuples(index=False)]
-        return pd.DataFrame(out, columns=["query_id", "tree_id", "n_matches", "nodes_checked"])
+        out = [(q, key[0], *tree.search(np.asarray(s, np.int64))) for q, s in probes[["query_id", "spots"]].itertuples(index=False)]
+        return pd.DataFrame(out, columns=["query_id", "tree_id", "filter_ids", "nodes_checked"])
 
-    return dense_shards(filter_words, spec, shards).groupBy("tree_id").cogroup(asked.groupBy("tree_id")).applyInPandas(answer, "query_id long, tree_id int, n_matches long, nodes_checked long")
+    dealt = dense_shards(filter_words, spec, shard_numbers(filter_words, shards)).groupBy("tree_id")
+    return dealt.cogroup(asked.groupBy("tree_id")).applyInPandas(answer, "query_id long, tree_id int, filter_ids array<long>, nodes_checked long")

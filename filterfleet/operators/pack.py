@@ -10,7 +10,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, Window, functions as F
 
-from filterfleet.functions.frames import broadcast_if_small, numbered
+from filterfleet.functions.frames import broadcast_if_small, numbered, ored_into
 from filterfleet.functions.hashing import probe_bits, set_bits
 from filterfleet.functions.params import WORD, FilterSpec
 
@@ -80,8 +80,7 @@ def pack_insert(index: PackIndex, membership: DataFrame) -> PackIndex:
     taken = taken.select("slot", "block_id", "lane", "filter_id", F.lit(True).alias("in_use"))
     slots = index.slots.join(taken.select("slot"), "slot", "left_anti").unionByName(taken)
     added = _sliced(set_bits(membership, index.spec).withColumnRenamed("site_id", "filter_id"), taken)
-    words = index.slices.unionByName(added).groupBy("block_id", "pos").agg(F.bit_or("word").alias("word"))
-    return PackIndex(words, slots, index.spec)
+    return PackIndex(ored_into(index.slices, added, "block_id", "pos"), slots, index.spec)
 
 
 def pack_delete(index: PackIndex, gone: DataFrame, compact: bool = True) -> PackIndex:
@@ -105,7 +104,7 @@ def pack_delete(index: PackIndex, gone: DataFrame, compact: bool = True) -> Pack
 def pack_update(index: PackIndex, delta: DataFrame) -> PackIndex:
     """New elements (site_id, element) of filters that are there: their bits are OR-ed into the lanes."""
     added = _sliced(set_bits(delta, index.spec).withColumnRenamed("site_id", "filter_id"), index.slots)
-    return PackIndex(index.slices.unionByName(added).groupBy("block_id", "pos").agg(F.bit_or("word").alias("word")), index.slots, index.spec)
+    return PackIndex(ored_into(index.slices, added, "block_id", "pos"), index.slots, index.spec)
 
 
 def pack_compact(index: PackIndex) -> PackIndex:

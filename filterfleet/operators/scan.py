@@ -2,18 +2,23 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
+from filterfleet.functions.frames import checkpointed, ored_into
 from filterfleet.functions.hashing import positions, probe_bits
-from filterfleet.functions.params import FilterSpec
-from filterfleet.operators.filters import matches_expr, union_filters
+from filterfleet.functions.params import WORD, FilterSpec
+from filterfleet.operators.filters import bit_of
 
 
 def scan_search(filters: DataFrame, probes: DataFrame, spec: FilterSpec) -> DataFrame:
-    """(query_id, filter_id) by testing all pairs of a dense filter and a probe; pairs are filtered as they are formed."""
-    return filters.join(probes.where("element is not null"), matches_expr(F.col("words"), F.col("element"), spec)).select("query_id", "filter_id")
+    """(query_id, filter_id) by testing all pairs of a dense filter and a probe; pairs are filtered as they are formed.
+
+    A probe is hashed once, into a word number and a mask for each position. The tests of a pair are a chain of plain
+    comparisons in generated code, which ends at the first position whose bit is 0.
+    """
+    spots = probes.where("element is not null").select("query_id", positions(F.col("element"), spec).alias("spots"))
+    flat = spots.select("query_id", *(c for i in range(spec.k) for c in (F.expr(f"spots[{i}] div {WORD}").cast("int").alias(f"ix{i}"), bit_of(F.col("spots")[i]).alias(f"mask{i}"))))
+    return filters.join(flat, F.expr(" and ".join(f"words[ix{i}] & mask{i} <> 0" for i in range(spec.k)))).select("query_id", "filter_id")
 
 
 def scan_search_positions(filter_bits: DataFrame, probes: DataFrame, spec: FilterSpec) -> DataFrame:
@@ -23,12 +28,24 @@ def scan_search_positions(filter_bits: DataFrame, probes: DataFrame, spec: Filte
 
 
 def scan_search_ordered(filter_bits: DataFrame, probes: DataFrame, spec: FilterSpec) -> DataFrame:
-    """The same with early exit: candidates have the probe's first position, each further one only thins them out."""
-    spots = probes.where("element is not null").select("query_id", positions(F.col("element"), spec).alias("spots"))
-    at = lambda i: spots.select("query_id", F.element_at("spots", i + 1).alias("pos"))
-    first = at(0).join(filter_bits, "pos").select("query_id", "filter_id")
-    step = lambda found, i: found.join(at(i), "query_id").join(filter_bits, ["filter_id", "pos"], "left_semi").select("query_id", "filter_id")
-    return reduce(step, range(1, spec.k), first)
+    """The same with early exit: candidates have the probe's rarest position, each further one only thins them out.
+
+    How many filters have a position is counted first; a probe's positions are taken in that order.
+    """
+    asked = probe_bits(probes, spec)
+    held = filter_bits.join(asked.select("pos").distinct(), "pos", "left_semi").groupBy("pos").agg(F.count("*").alias("held"))
+    ranked = asked.join(held, "pos", "left").withColumn("turn", F.row_number().over(Window.partitionBy("query_id").orderBy(F.coalesce("held", F.lit(0)), "pos")))
+    ranked = checkpointed(ranked.select("query_id", "pos", "turn", "k_distinct"))
+    at = lambda i: ranked.where(F.col("turn") == i)
+    first = at(1).join(filter_bits, "pos").select("query_id", "filter_id", "k_distinct")
+    # A probe with fewer distinct positions than k is done earlier; its candidates pass on as they are.
+    step = lambda found, i: found.where(F.col("k_distinct") < i).unionByName(
+        found.where(F.col("k_distinct") >= i).join(at(i).drop("k_distinct", "turn"), "query_id").join(filter_bits, ["filter_id", "pos"], "left_semi").select("query_id", "filter_id", "k_distinct")
+    )
+    found = first
+    for i in range(2, spec.k + 1):
+        found = checkpointed(step(found, i))
+    return found.select("query_id", "filter_id")
 
 
 def scan_cost(filters: DataFrame, probes: DataFrame) -> DataFrame:
@@ -45,7 +62,7 @@ def scan_delete(filter_words: DataFrame, gone: DataFrame) -> DataFrame:
 
 
 def scan_update(filter_words: DataFrame, delta: DataFrame) -> DataFrame:
-    return union_filters(filter_words.unionByName(delta), "filter_id")
+    return ored_into(filter_words, delta, "filter_id", "word_ix")
 
 
 def exact_search(membership: DataFrame, probes: DataFrame) -> DataFrame:

@@ -15,10 +15,9 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, functions as F
 
-from filterfleet.functions.frames import broadcast_if_small, checkpointed, numbered
+from filterfleet.functions.frames import broadcast_if_small, checkpointed, numbered, ored_into, written
 from filterfleet.functions.hashing import probe_words
 from filterfleet.functions.params import FilterSpec
-from filterfleet.operators.filters import union_filters
 
 
 @dataclass
@@ -79,15 +78,14 @@ def _bases(sizes: list[int]) -> list[int]:
     return [sum(sizes[:k]) for k in range(len(sizes))]
 
 
-def lineage(places: DataFrame, sizes: list[int], d: int) -> DataFrame:
-    """(filter_id, level, node_id): each filter with all its ancestors and itself."""
-    base, here, steps = _bases(sizes), F.col("place"), []
-    for level, size in enumerate(sizes):
-        if level:
-            below = sizes[level - 1]
-            here = F.least((here / (d + 1)).cast("bigint"), F.lit(0 if below <= 2 * d else (below - d) // (d + 1)).cast("bigint"))
-        steps.append(F.struct(F.lit(level).alias("level"), (here + base[level]).cast("bigint").alias("node_id")))
-    return places.select("filter_id", F.explode(F.array(*steps)).alias("a")).select("filter_id", "a.level", "a.node_id")
+def lift(words: DataFrame, sizes: list[int], d: int, start: int, stride: int) -> DataFrame:
+    """(level, place, word_ix, word) of the `stride` levels above level `start`, from words (place, word_ix, word) of it."""
+    here, steps = F.col("place"), []
+    for level in range(start + 1, min(start + stride, len(sizes) - 1) + 1):
+        below = sizes[level - 1]
+        here = F.least((here / (d + 1)).cast("bigint"), F.lit(0 if below <= 2 * d else (below - d) // (d + 1)).cast("bigint"))
+        steps.append(F.struct(F.lit(level).alias("level"), here.alias("place")))
+    return words.select(F.explode(F.array(*steps)).alias("a"), "word_ix", "word").groupBy("a.level", "a.place", "word_ix").agg(F.bit_or("word").alias("word"))
 
 
 def bulk_nodes(places: DataFrame, sizes: list[int], d: int) -> DataFrame:
@@ -117,56 +115,58 @@ def bulk_nodes(places: DataFrame, sizes: list[int], d: int) -> DataFrame:
     return shape.join(places.select(F.col("place").alias("node_id"), "filter_id"), "node_id", "left").select("tree_id", "node_id", "parent_id", "level", "child_ord", "n_children", "filter_id")
 
 
-def bulk_load(filter_words: DataFrame, spec: FilterSpec, d: int = 2, order: str = "id", places: DataFrame | None = None) -> TreeIndex:
-    """A tree by sorted load. All node values come from one aggregation over filters and their ancestors.
+def bulk_load(filter_words: DataFrame, spec: FilterSpec, d: int = 2, order: str = "id", places: DataFrame | None = None, stride: int = 3) -> TreeIndex:
+    """A tree by sorted load. Node values are formed `stride` levels at a time, each step from the top level of the one
+    before, so the words that move are `stride` times the leaves' and a small part more, whatever the height.
 
     places: (filter_id, place) of all filters, those without a set bit included; by default the filters in filter_words.
     """
     places = checkpointed(order_filters(filter_words, order) if places is None else places)
     sizes = level_sizes(places.count(), d)
-    above = lineage(places, sizes, d)
-    words = filter_words.join(above, "filter_id").groupBy(F.lit(0).alias("tree_id"), "node_id", "word_ix").agg(F.bit_or("word").alias("word"))
-    return TreeIndex(bulk_nodes(places, sizes, d), checkpointed(words), spec, d)  # a search reads the values once a level
+    base = _bases(sizes)
+    number = F.element_at(F.array(*map(F.lit, base or [0])), F.col("level") + 1).cast("bigint")
+    here = checkpointed(filter_words.join(places, "filter_id").select(F.lit(0).alias("level"), "place", "word_ix", "word"))
+    words = here
+    for start in range(0, len(sizes) - 1, stride):
+        above = checkpointed(lift(here, sizes, d, start, stride))
+        words, here = words.unionByName(above), above.where(F.col("level") == start + stride)
+    return TreeIndex(bulk_nodes(places, sizes, d), words.select(F.lit(0).alias("tree_id"), (F.col("place") + number).alias("node_id"), "word_ix", "word"), spec, d)
 
 
-def tree_search(index: TreeIndex, probes: DataFrame, cut_every: int = 4) -> tuple[DataFrame, DataFrame]:
+def tree_search(index: TreeIndex, probes: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Matches (query_id, filter_id) and costs (query_id, level, checked, matched), from the roots downwards.
 
     One step a level for all probes at once: the frontier meets the probes' words and the level's words; nodes with all
-    of the probe's bits pass their children on. A shard's trees are searched together: the frontier starts at all roots.
+    of the probe's bits pass their children on. The words are kept in a part for each level, so a step reads its level
+    alone, and a frontier that is small goes to where they lie. A shard's trees are searched together: the frontier
+    starts at all roots.
     """
     spec, nodes = index.spec, index.nodes
     wanted = checkpointed(probe_words(probes, spec))
     queries = wanted.select("query_id").distinct()
     top = nodes.agg(F.max("level").alias("h")).first()["h"]
-    shape = broadcast_if_small(nodes.select("tree_id", "node_id", "parent_id", "level", "filter_id"))
     empty = queries.limit(0).select("query_id", F.lit(0).cast("bigint").alias("filter_id"))
     if top is None:
         return empty, empty.select("query_id", F.lit(0).alias("level"), F.lit(0).cast("bigint").alias("checked"), F.lit(0).cast("bigint").alias("matched"))
-    roots = broadcast_if_small(nodes.where("parent_id is null").select("tree_id", "node_id", "level", "filter_id"))
+    shape = broadcast_if_small(nodes.select("tree_id", "node_id", "parent_id", "level", "filter_id"))
     heights = {r["level"] for r in nodes.where("parent_id is null").select("level").distinct().collect()}
-    leveled = checkpointed(index.words.join(shape.select("tree_id", "node_id", "level"), ["tree_id", "node_id"]))
-    frontier, matches, costs = None, empty, None
+    leveled = written(index.words.join(shape.select("tree_id", "node_id", "level"), ["tree_id", "node_id"]).select("tree_id", "node_id", "word_ix", "word", "level"), "tree-words", "level")
+    roots = shape.where("parent_id is null").select("tree_id", "node_id", "level", "filter_id")
+    frontier, costs = None, None
     for level in range(top, -1, -1):
         if level in heights:  # a probe asks every root: one, or one a shard
             asked = queries.crossJoin(roots.where(F.col("level") == level)).select("query_id", "tree_id", "node_id", "filter_id")
             frontier = asked if frontier is None else frontier.unionByName(asked)
-        here = (
-            frontier.join(wanted, "query_id")
-            .join(leveled.where(F.col("level") == level).drop("level"), ["tree_id", "node_id", "word_ix"], "left")
-            .groupBy("query_id", "tree_id", "node_id", "filter_id")
-            .agg(F.count_if(F.expr("word & mask = mask")).alias("n"), F.first("n_words").alias("of"))
-            .withColumn("hit", F.col("n") == F.col("of"))
-        )
-        here = checkpointed(here) if (top - level) % cut_every == cut_every - 1 else here
-        cost = here.groupBy("query_id").agg(F.lit(level).alias("level"), F.count("*").alias("checked"), F.count_if("hit").alias("matched"))
+        frontier = checkpointed(frontier)
+        cells = frontier.join(wanted, "query_id")
+        met = broadcast_if_small(cells).join(leveled.where(F.col("level") == level).drop("level"), ["tree_id", "node_id", "word_ix"]).where("word & mask = mask")
+        hits = checkpointed(met.groupBy("query_id", "tree_id", "node_id", "filter_id").agg(F.count("*").alias("n"), F.first("n_words").alias("of")).where("n = of"))
+        matched = hits.groupBy("query_id").agg(F.count("*").alias("matched"))
+        cost = frontier.groupBy("query_id").agg(F.lit(level).alias("level"), F.count("*").alias("checked")).join(matched, "query_id", "left").fillna(0, ["matched"])
         costs = cost if costs is None else costs.unionByName(cost)
-        if level == 0:
-            matches = here.where("hit").select("query_id", "filter_id")
-            break
         below = shape.where(F.col("level") == level - 1).select("tree_id", F.col("parent_id").alias("up"), F.col("node_id").alias("down"), F.col("filter_id").alias("down_filter"))
-        frontier = here.where("hit").withColumnRenamed("node_id", "up").join(below, ["tree_id", "up"]).select("query_id", "tree_id", F.col("down").alias("node_id"), F.col("down_filter").alias("filter_id"))
-    return matches, costs
+        frontier = hits.withColumnRenamed("node_id", "up").join(below, ["tree_id", "up"]).select("query_id", "tree_id", F.col("down").alias("node_id"), F.col("down_filter").alias("filter_id"))
+    return hits.select("query_id", "filter_id"), costs
 
 
 def tree_search_local(index: TreeIndex, probes: DataFrame, most_bytes: int = 256 << 20) -> DataFrame:
@@ -256,11 +256,10 @@ def ancestors(nodes: DataFrame) -> DataFrame:
 def tree_update(index: TreeIndex, delta: DataFrame) -> TreeIndex:
     """New bits (filter_id, word_ix, word) OR-ed into their leaves and every node above; the shape stays.
 
-    One order-free aggregation for any number of updates; applying a batch twice changes nothing.
+    Order-free for any number of updates; applying a batch twice changes nothing. Only the paths of changed leaves move.
     """
     lifted = delta.join(ancestors(index.nodes), "filter_id").select("tree_id", "node_id", "word_ix", "word")
-    words = index.words.unionByName(lifted).groupBy("tree_id", "node_id", "word_ix").agg(F.bit_or("word").alias("word"))
-    return TreeIndex(index.nodes, words, index.spec, index.d)
+    return TreeIndex(index.nodes, ored_into(index.words, lifted, "tree_id", "node_id", "word_ix"), index.spec, index.d)
 
 
 def revalue(index: TreeIndex, leaf_words: DataFrame) -> DataFrame:

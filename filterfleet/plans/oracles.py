@@ -7,6 +7,7 @@ from filterfleet.sources.collections import ABSENT
 
 MEMBERS = {
     "block100": "select distinct o_orderkey // 100 as site_id, o_orderkey as element from orders",
+    "block1000": "select distinct o_orderkey // 1000 as site_id, o_orderkey as element from orders",
     "block10": "select distinct o_orderkey // 10 as site_id, o_orderkey as element from orders",
     "cust": "select distinct o_custkey as site_id, o_orderkey as element from orders",
     "part": "select distinct l_partkey as site_id, l_orderkey as element from lineitem",

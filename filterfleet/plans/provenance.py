@@ -15,22 +15,30 @@ from filterfleet.operators.pack import pack_build, pack_search
 
 
 def trace(edges: DataFrame, starts: DataFrame, spec: FilterSpec, most_rounds: int = 1000) -> tuple[DataFrame, DataFrame]:
-    """closure (start, item) with item an ancestor of start, and rounds (round, asked, all_sites): messages by round."""
+    """closure (start, item) with item an ancestor of start, and rounds (round, asked, all_sites): messages by round.
+
+    Raises where ancestors are left after most_rounds; a closure that is returned is whole.
+    """
     index = pack_build(edges.select("site_id", F.col("child").alias("element")), spec)
     index.slices, index.slots = checkpointed(index.slices), checkpointed(index.slots)
     spark, n_sites = edges.sparkSession, edges.select("site_id").distinct().count()
+    edges = checkpointed(edges)
     frontier = checkpointed(starts.select(F.col("item").alias("start"), "item").distinct())
     seen, rounds = frontier, []
-    for turn in range(most_rounds):
-        items = frontier.select(F.col("item").alias("query_id"), F.col("item").alias("element")).distinct()
+    for turn in range(most_rounds + 1):
+        items = checkpointed(frontier.select(F.col("item").alias("query_id"), F.col("item").alias("element")).distinct())
         n_items = items.count()
         if not n_items:
             break
+        if turn == most_rounds:
+            raise ValueError(f"{n_items} items are left after {most_rounds} rounds")
         asked = checkpointed(pack_search(index, items))
         rounds.append((turn, asked.count(), n_items * n_sites))
         parents = asked.select(F.col("query_id").alias("child"), F.col("filter_id").alias("site_id")).join(edges, ["site_id", "child"]).select("child", "parent").distinct()
         fresh = frontier.join(parents, frontier["item"] == parents["child"]).select("start", F.col("parent").alias("item")).distinct()
         frontier = checkpointed(fresh.join(seen, ["start", "item"], "left_anti"))
-        seen = checkpointed(seen.unionByName(frontier))
+        seen = seen.unionByName(frontier)
+        if turn % 10 == 9:
+            seen = checkpointed(seen)
     closure = seen.where("start <> item")
     return closure, spark.createDataFrame(rounds, "round int, asked long, all_sites long")

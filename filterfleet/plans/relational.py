@@ -8,7 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window, functions as F
 
-from filterfleet.functions.frames import broadcast_if_small, numbered, table
+from filterfleet.functions.frames import broadcast_if_small, numbered, shared_dir, table
 from filterfleet.functions.hashing import probe_bits, set_bits
 from filterfleet.functions.params import FilterSpec
 from filterfleet.operators import distance, filters, pack, scan
@@ -111,24 +111,23 @@ def join_left_anti_absent(spark, sf_dir):
     return probes(collection(spark, sf_dir, "cust")).join(_found(spark, sf_dir, "cust", SPEC), "query_id", "left_anti").select("query_id")
 
 
+_OUTER = """
+select coalesce(o_custkey, user_id) as site_id, coalesce(n, 0) as n_elements, coalesce(m, 0) as n_events
+from (select o_custkey, count(*) as n from orders where o_orderstatus = 'F' group by o_custkey)
+{how} join (select user_id, count(*) as m from events group by user_id) on o_custkey = user_id
+"""
+
 for _how in ("left", "right", "full"):
 
     def _outer(spark, sf_dir, how=_how):
+        """Customers with finished orders beside users with events; either side has sites that the other lacks."""
         sets = table(spark, sf_dir, "orders").where("o_orderstatus = 'F'").groupBy("o_custkey").agg(F.count("*").alias("n"))
-        return table(spark, sf_dir, "customer").where("c_custkey % 2 = 0").join(sets, F.expr("c_custkey = o_custkey"), how).select(F.coalesce("c_custkey", "o_custkey").alias("site_id"), F.coalesce("n", F.lit(0)).alias("n_elements"))
+        users = table(spark, sf_dir, "events").groupBy("user_id").agg(F.count("*").alias("m"))
+        joined = sets.join(users, F.expr("o_custkey = user_id"), how)
+        return joined.select(F.coalesce("o_custkey", "user_id").alias("site_id"), F.coalesce("n", F.lit(0)).alias("n_elements"), F.coalesce("m", F.lit(0)).alias("n_events"))
 
     QUERIES[f"join_{_how}_outer"] = _outer
-    ORACLES[f"join_{_how}_outer"] = f"select coalesce(c_custkey, o_custkey) as site_id, coalesce(n, 0) as n_elements from (select c_custkey from customer where c_custkey % 2 = 0) {_how} join (select o_custkey, count(*) as n from orders where o_orderstatus = 'F' group by o_custkey) on c_custkey = o_custkey"
-
-
-@query("select e.event_id, b.site_id from events e join (select o_custkey as site_id, min(o_orderkey) as lo, least(max(o_orderkey), min(o_orderkey) + 500) as hi from orders group by o_custkey) b on e.event_id between b.lo and b.hi where e.event_type = 'purchase'")
-def join_range_blocks(spark, sf_dir):
-    """Ranges are spread over the cells of a grid that they cover, so the join is an equality one with a check. Ranges end at lo + 500 here; join_range_whole has all."""
-    width = 500
-    spans = table(spark, sf_dir, "orders").groupBy(F.col("o_custkey").alias("site_id")).agg(F.min("o_orderkey").alias("lo"), F.least(F.max("o_orderkey"), F.min("o_orderkey") + width).alias("hi"))
-    cells = spans.withColumn("cell", F.explode(F.sequence(F.expr(f"lo div {width}"), F.expr(f"hi div {width}"))))
-    points = table(spark, sf_dir, "events").where("event_type = 'purchase'").select("event_id", F.expr(f"event_id div {width}").alias("cell"))
-    return points.join(cells, "cell").where("event_id between lo and hi").select("event_id", "site_id")
+    ORACLES[f"join_{_how}_outer"] = _OUTER.format(how=_how)
 
 
 def range_pairs(points, spans, width):
@@ -137,11 +136,24 @@ def range_pairs(points, spans, width):
     return points.withColumn("cell", F.expr(f"event_id div {width}")).join(cells, "cell").where("event_id between lo and hi").select("event_id", "site_id")
 
 
-@query("select e.event_id, b.site_id from events e join (select o_custkey as site_id, min(o_orderkey) as lo, max(o_orderkey) as hi from orders group by o_custkey) b on e.event_id between b.lo and b.hi where e.event_type = 'purchase'")
+_SPANS = "select o_custkey as site_id, min(o_orderkey) as lo, max(o_orderkey) as hi from orders group by o_custkey"
+
+
+def _spans(spark, sf_dir):
+    return table(spark, sf_dir, "orders").groupBy(F.col("o_custkey").alias("site_id")).agg(F.min("o_orderkey").alias("lo"), F.max("o_orderkey").alias("hi"))
+
+
+@query(f"select e.event_id, count(*) as n_sites from events e join ({_SPANS}) b on e.event_id between b.lo and b.hi where e.event_type = 'purchase' group by e.event_id")
+def join_range_blocks(spark, sf_dir):
+    """For each event the number of sites whose whole range holds it; pairs are counted as they are formed."""
+    points = table(spark, sf_dir, "events").where("event_type = 'purchase'").select("event_id")
+    return range_pairs(points, _spans(spark, sf_dir), 5000).groupBy("event_id").agg(F.count("*").alias("n_sites"))
+
+
+@query(f"select e.event_id, b.site_id from events e join ({_SPANS}) b on e.event_id between b.lo and b.hi where e.event_type = 'purchase'")
 def join_range_whole(spark, sf_dir):
-    """As join_range_blocks, over the whole range of each site; the pairs grow with events x sites."""
-    spans = table(spark, sf_dir, "orders").groupBy(F.col("o_custkey").alias("site_id")).agg(F.min("o_orderkey").alias("lo"), F.max("o_orderkey").alias("hi"))
-    return range_pairs(table(spark, sf_dir, "events").where("event_type = 'purchase'").select("event_id"), spans, 5000)
+    """The pairs themselves; they grow with events x sites."""
+    return range_pairs(table(spark, sf_dir, "events").where("event_type = 'purchase'").select("event_id"), _spans(spark, sf_dir), 5000)
 
 
 @query("select e.event_id, (select max(d.day) from (select distinct ts::date as day from events where event_type = 'click') d where d.day <= e.ts::date)::varchar as day from events e where event_type = 'purchase'")
@@ -415,6 +427,13 @@ def subquery_exists(spark, sf_dir):
     return customer.where(orders.where((F.col("o_custkey") == F.col("c_custkey").outer()) & (F.col("o_totalprice") > mean)).exists()).select("c_custkey")
 
 
+@query("select o_custkey as site_id, o_orderkey as element from orders where o_totalprice > (select avg(o_totalprice) from orders) and o_orderkey <= (select max(c_custkey) from customer)")
+def scalar_subquery(spark, sf_dir):
+    orders = table(spark, sf_dir, "orders")
+    mean, most = orders.select(F.avg("o_totalprice")).scalar(), table(spark, sf_dir, "customer").select(F.max("c_custkey")).scalar()
+    return orders.where((F.col("o_totalprice") > mean) & (F.col("o_orderkey") <= most)).select(F.col("o_custkey").alias("site_id"), F.col("o_orderkey").alias("element"))
+
+
 _WALK = "with recursive walk(start_turn, conv_id, turn) as (select max(turn), conv_id, max(turn) from conversations group by conv_id union all select w.start_turn, w.conv_id, w.turn - 1 from walk w where w.turn > 0) select conv_id, turn from walk where turn < start_turn"
 
 
@@ -428,15 +447,21 @@ def cte_recursive_ancestors(spark, sf_dir):
 
 
 def _drain(stream: DataFrame, mode: str) -> DataFrame:
-    """Runs a stream over what is there and returns what its last result table holds."""
-    import tempfile
+    """Runs a stream over what is there. Each batch's rows are written to the shared folder by the executors: all batches
+    are the result, or the last one where it holds the whole result table (mode complete)."""
     import uuid
 
-    spark, name = stream.sparkSession, f"t{uuid.uuid4().hex}"
-    place = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/{name}"
-    run = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", place).trigger(availableNow=True).start()
+    spark = stream.sparkSession
+    place, batches = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}", []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{place}/rows/b{number}")  # a batch that comes again replaces itself
+        batches.append(f"{place}/rows/b{number}")
+
+    run = stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{place}/state").trigger(availableNow=True).start()
     run.awaitTermination()
-    return spark.table(name)
+    kept = sorted(set(batches), key=batches.index)[-1 if mode == "complete" else 0 :]
+    return spark.read.schema(stream.schema).parquet(*kept) if kept else spark.createDataFrame([], stream.schema)
 
 
 def _stream(spark, sf_dir):
@@ -518,12 +543,11 @@ def udaf_or_reference(spark, sf_dir):
 
 
 def _saved(spark, sf_dir):
-    import tempfile
     import uuid
 
     from filterfleet.sources.index_tables import save_pack
 
-    path = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/pack-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/pack-{uuid.uuid4().hex}"
     save_pack(pack.pack_build(collection(spark, sf_dir, "cust"), SPEC), path)
     return path
 
@@ -537,19 +561,23 @@ def udtf_all_membership(spark, sf_dir):
     return spark.sql("select q.query_id, a.filter_id from {asked} q, lateral all_membership(q.element) a", asked=asked)
 
 
-@query(O.chain(O.members("cust"), O.bits(SPEC), ("probes", "select 700 as query_id, 700 as element"), O.probe_bits(SPEC), O.matches(), then="select query_id as element, filter_id from matches"))
+KEYS = list(range(0, 20_000, 100))
+
+
+@query(O.chain(O.members("cust"), O.bits(SPEC), ("probes", "select x as query_id, x as element from (select unnest(range(0, 20000, 100)) as x)"), O.probe_bits(SPEC), O.matches(), then="select query_id as element, filter_id from matches"))
 def source_pushdown(spark, sf_dir):
+    """A list of keys is pushed into the index, present ones and absent ones alike."""
     from filterfleet.sources import index_source
 
     index_source.register(spark)
-    return spark.read.format("filterfleet").option("path", _saved(spark, sf_dir)).load().where("element = 700")
+    return spark.read.format("filterfleet").option("path", _saved(spark, sf_dir)).load().where(F.col("element").isin(KEYS))
 
 
-@query(O.chain(O.members("cust"), O.bits(SPEC), _SLOTS, then="select slot // 64 as block_id, pos, bit_or(" + O.BIT.format(p="slot") + ") as word from bits join slots using (filter_id) where pos < 1000 group by 1, 2"))
+@query(O.chain(O.members("cust"), O.bits(SPEC), _SLOTS, then="select slot // 64 as block_id, pos, bit_or(" + O.BIT.format(p="slot") + ") as word from bits join slots using (filter_id) group by 1, 2"))
 def sink_roundtrip(spark, sf_dir):
     from filterfleet.sources.index_tables import load_pack
 
-    return load_pack(spark, _saved(spark, sf_dir), SPEC).slices.where("pos < 1000")
+    return load_pack(spark, _saved(spark, sf_dir), SPEC).slices
 
 
 @query("select o_orderkey * 2 as query_id, o_orderkey as element, 'present' as kind from orders where o_orderkey % 100 = 0 union all select o_orderkey * 2 + 1, o_orderkey + 1000000000, 'absent' from orders where o_orderkey % 100 = 0")

@@ -47,6 +47,7 @@ def _words(name, key):
 
 COLLECTIONS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "block100": _of("orders", "o_orderkey div 100", "o_orderkey"),
+    "block1000": _of("orders", "o_orderkey div 1000", "o_orderkey"),
     "block10": _of("orders", "o_orderkey div 10", "o_orderkey"),
     "cust": _of("orders", "o_custkey", "o_orderkey"),
     "part": _of("lineitem", "l_partkey", "l_orderkey"),

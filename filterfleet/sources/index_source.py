@@ -1,16 +1,19 @@
-"""A Python data source over a saved pack: `where element = x` becomes a probe of the index.
+"""A Python data source over a saved pack: `where element = x` (or `in`) becomes a probe of the index.
 
-Without such a filter there is nothing to look up, so no row comes back. Positions are hashed on the reader's side by
-the linear and md5 families, which need no JVM. Paths have to be readable by pyarrow on the reader.
+An index answers for given elements only. So a read whose elements aren't bound by `=` or `in` is an error, not an empty
+table; conditions joined by `or` that Spark does not hand on are such a read. Positions are hashed on the reader's side
+by the linear and md5 families, which need no JVM. Paths have to be readable by pyarrow on the reader.
 """
 
 from __future__ import annotations
 
 import hashlib
 import json
+from functools import reduce
+from operator import and_
 
 from pyspark.sql import SparkSession
-from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, InputPartition
+from pyspark.sql.datasource import DataSource, DataSourceReader, EqualNullSafe, EqualTo, In, InputPartition
 
 
 def python_positions(element: int, family: str, k: int, m: int, seeds: list[int]) -> list[int]:
@@ -25,50 +28,84 @@ def python_positions(element: int, family: str, k: int, m: int, seeds: list[int]
     raise ValueError(f"family {family} has no form outside Spark")
 
 
+class PackLookup:
+    """A saved pack, opened once: its newest spec, its files' footers, and the slots of blocks that probes came to."""
+
+    def __init__(self, path: str, most_blocks: int = 20_000):
+        import pyarrow.dataset as ds
+
+        rows = ds.dataset(f"{path}/manifest", format="parquet").to_table().to_pylist()
+        self.spec = json.loads(max(rows, key=lambda r: r["version"])["manifest"])
+        at = f"{path}/v{self.spec['version']}"
+        self.slices, self.slots = ds.dataset(f"{at}/slices", format="parquet"), ds.dataset(f"{at}/slots", format="parquet")
+        self.most_blocks, self.blocks = most_blocks, {}
+
+    def lanes(self, blocks: list[int]) -> dict[int, list[tuple[int, int]]]:
+        """(lane, filter_id) of the filters in use, for each block."""
+        import pyarrow.dataset as ds
+
+        if len(self.blocks) > self.most_blocks:
+            self.blocks.clear()
+        new = [b for b in blocks if b not in self.blocks]
+        if new:
+            self.blocks.update((b, []) for b in new)
+            for r in self.slots.to_table(filter=ds.field("block_id").isin(new) & ds.field("in_use")).to_pylist():
+                self.blocks[r["block_id"]].append((r["lane"], r["filter_id"]))
+        return {b: self.blocks[b] for b in blocks}
+
+    def search(self, elements: list[int]) -> list[tuple[int, int]]:
+        """(element, filter_id); the slices of all elements are read at once."""
+        import pyarrow.dataset as ds
+
+        spec = self.spec
+        spots = {x: sorted(set(python_positions(x, spec["family"], spec["k"], spec["m"], spec["seeds"]))) for x in elements}
+        words: dict[int, dict[int, int]] = {}
+        for r in self.slices.to_table(filter=ds.field("pos").isin(sorted({p for s in spots.values() for p in s}))).to_pylist():
+            words.setdefault(r["pos"], {})[r["block_id"]] = r["word"]
+        out = []
+        for x, at in spots.items():
+            blocks = set.intersection(*(set(words.get(p, ())) for p in at))
+            left = {b: reduce(and_, (words[p][b] for p in at)) for b in blocks}
+            left = {b: w for b, w in left.items() if w}
+            for b, held in self.lanes(list(left)).items():
+                out += [(x, filter_id) for lane, filter_id in held if left[b] >> lane & 1]
+        return out
+
+
+_opened: dict[str, PackLookup] = {}
+
+
+def opened(path: str) -> PackLookup:
+    """One lookup for each Python worker and saved pack; a path that is written again later needs a new worker."""
+    if path not in _opened:
+        _opened[path] = PackLookup(path)
+    return _opened[path]
+
+
 class ElementPartition(InputPartition):
-    def __init__(self, element: int):
-        self.element = element
+    def __init__(self, elements: list[int]):
+        self.elements = elements
 
 
 class PackReader(DataSourceReader):
-    def __init__(self, path: str):
-        self.path, self.elements = path, []
+    def __init__(self, path: str, at_once: int = 64):
+        self.path, self.at_once, self.elements = path, at_once, None
 
     def pushFilters(self, filters):
         for f in filters:
-            if isinstance(f, EqualTo) and f.attribute == ("element",) and f.value is not None:
-                self.elements = [f.value] if not self.elements or self.elements == [f.value] else [None]
-            yield f  # Spark checks again; a contradiction leaves no row
+            if isinstance(f, (EqualTo, EqualNullSafe, In)) and f.attribute == ("element",):
+                asked = {x for x in (f.value if isinstance(f, In) else (f.value,)) if x is not None}
+                self.elements = asked if self.elements is None else self.elements & asked
+            yield f  # Spark checks again
 
     def partitions(self):
-        return [ElementPartition(x) for x in self.elements if x is not None] or [ElementPartition(None)]
+        if self.elements is None:
+            raise ValueError("the index answers for given elements: bind `element` by = or in")
+        asked = sorted(self.elements)
+        return [ElementPartition(asked[k : k + self.at_once]) for k in range(0, len(asked), self.at_once)] or [ElementPartition([])]
 
     def read(self, partition):
-        import pyarrow.dataset as ds
-
-        if partition.element is None:
-            return
-        rows = ds.dataset(f"{self.path}/manifest", format="parquet").to_table().to_pylist()
-        spec = json.loads(max(rows, key=lambda r: r["version"])["manifest"])
-        spots = sorted(set(python_positions(partition.element, spec["family"], spec["k"], spec["m"], spec["seeds"])))
-        at = f"{self.path}/v{spec['version']}"
-        slices = ds.dataset(f"{at}/slices", format="parquet").to_table(filter=ds.field("pos").isin(spots)).to_pylist()
-        words: dict[int, list[int]] = {}
-        for r in slices:
-            words.setdefault(r["block_id"], []).append(r["word"])
-        lanes = {}
-        for block, found in words.items():
-            word = (1 << 64) - 1
-            for x in found:
-                word &= x
-            if len(found) == len(spots) and word:
-                lanes[block] = word
-        if not lanes:
-            return
-        slots = ds.dataset(f"{at}/slots", format="parquet").to_table(filter=ds.field("block_id").isin(list(lanes)) & ds.field("in_use")).to_pylist()
-        for r in slots:
-            if lanes[r["block_id"]] >> r["lane"] & 1:
-                yield partition.element, r["filter_id"]
+        yield from PackLookup(self.path).search(partition.elements) if partition.elements else ()
 
 
 class FilterFleetSource(DataSource):

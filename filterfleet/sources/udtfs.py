@@ -18,15 +18,15 @@ class UnpackLanes:
 
 
 def all_membership(path: str):
-    """A table function over a saved pack: all_membership(element)."""
+    """A table function over a saved pack: all_membership(element). The pack is opened once a worker, not once a row."""
 
     @udtf(returnType="filter_id bigint")
     class AllMembership:
         def eval(self, element: int):
-            from filterfleet.sources.index_source import ElementPartition, PackReader
+            from filterfleet.sources.index_source import opened
 
             if element is not None:
-                for _, filter_id in PackReader(path).read(ElementPartition(element)):
+                for _, filter_id in opened(path).search([element]):
                     yield (filter_id,)
 
     return AllMembership
