@@ -29,11 +29,10 @@ from filterfleet.llm.common import id_buckets, materialize, reduce_tasks, slices
 
 END_ID = 1
 
-#: Words of these characters alone need no normalizer (NFC leaves them as they are, and each has one lower-case form).
-SIMPLE = re.compile(r"[\x20!-~À-ÖØ-öø-įı-ž]*")
-#: The splitting rule of this vocabulary over such characters; a blank is a piece of its own here.
-PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ž]+|[0-9]|\x20|[^\x20a-zß-öø-ž0-9]+").findall
-BREAK = b"\xff\xff\xff\xff"
+#: Text of these characters alone needs no normalizer (NFC leaves them as they are, and each has one lower-case form).
+SIMPLE = re.compile(r"[\x09-\x0D\x20!-~À-ÖØ-öø-įı-ž]*")
+#: The splitting rule of this vocabulary over such characters.
+PIECES = re.compile(r"'(?:[stmd]|re|ve|ll)|[a-zß-öø-ž]+|[0-9]|[^\s0-9a-zß-öø-ž]+").findall
 
 
 class Memo:
@@ -63,69 +62,57 @@ class Memo:
         return list(map(here.__getitem__, keys))
 
 
-class WordEncoder:
-    """ids of whole texts by the tokenizers library, asked only for what neither of two memos holds.
+class PieceEncoder:
+    """ids of whole texts by the tokenizers library, asked only for what a memo does not hold.
 
     This vocabulary drops white space, and neither its normalizer nor its splitting rule looks across blanks, tabs and
-    line ends; so a text's ids are its words' ids one after the other. A word of simple characters is lowered and split
+    line ends; so a text's ids are its words' ids one after the other. Text of simple characters is lowered and split
     into pieces here, and the library's model is asked for new pieces; any other word goes through the whole library.
     """
 
-    def __init__(self, path: str, most: int = 300_000):
-        """most: bound of each memo, about 150 bytes an entry."""
+    def __init__(self, path: str, most: int = 400_000):
+        """most: bound of the memo, about 150 bytes an entry."""
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
-        self.special = [t.content.encode() for t in self.library.get_added_tokens_decoder().values()]
-        assert all(s.startswith(b"<|") for s in self.special)
+        self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
         self.spelled = {byte: character for character, byte in printable_bytes().items()}
-        self.words, self.pieces = Memo(most), Memo(most)
+        self.memo = Memo(most)
 
-    def _by_library(self, words: list[bytes]) -> list[bytes]:
-        return [np.asarray(e.ids, "<u4").tobytes() for e in self.library.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)]
+    def _is_simple(self, text: str) -> bool:
+        return SIMPLE.fullmatch(text) is not None and not any(s in text for s in self.special)
 
-    def _by_model(self, pieces: list[str]) -> list[bytes]:
+    def _pieces(self, text: str) -> list[str]:
+        """Pieces of a text in order; a word that is not simple is one piece, with a blank before it to tell it apart."""
+        if self._is_simple(text):
+            return PIECES(text.lower())
+        words = [w.decode() for w in text.encode().split()]
+        return list(chain.from_iterable(PIECES(w.lower()) if self._is_simple(w) else [" " + w] for w in words))
+
+    def _learn(self, pieces: list[str]) -> list[bytes]:
         tokenize, out = self.library.model.tokenize, []
+        whole = [p for p in pieces if p[0] == " "]
+        rest = iter(self.library.encode_batch_fast([p[1:] for p in whole], add_special_tokens=False) if whole else ())
         for p in pieces:
-            found = tokenize(p if p.isascii() else p.encode().decode("latin-1").translate(self.spelled))
-            out.append(BREAK if p == " " else pack(f"<{len(found)}I", *[t.id for t in found]))
+            ids = next(rest).ids if p[0] == " " else [t.id for t in tokenize(p if p.isascii() else p.encode().decode("latin-1").translate(self.spelled))]
+            out.append(pack(f"<{len(ids)}I", *ids))
         return out
 
-    def _is_simple(self, words: bytes) -> bool:
-        return not (b"<|" in words and any(s in words for s in self.special)) and SIMPLE.fullmatch(words.decode()) is not None
-
-    def _learn(self, words: list[bytes]) -> list[bytes]:
-        odd: set[bytes] = set()
-        for k in range(0, len(words), 64):
-            if not self._is_simple(b" ".join(words[k : k + 64])):
-                odd.update(w for w in words[k : k + 64] if not self._is_simple(w))
-        plain = [w for w in words if w not in odd] if odd else words
-        found: list[bytes] = []
-        for k in range(0, len(plain), 4000):
-            part = b" ".join(plain[k : k + 4000]).decode().lower()
-            packed = b"".join(self.pieces.found(PIECES(part), self._by_model))
-            cuts = (4 * np.flatnonzero(np.frombuffer(packed, "<u4") == 0xFFFFFFFF)).tolist()
-            found += map(packed.__getitem__, map(slice, [0, *(c + 4 for c in cuts)], [*cuts, len(packed)]))
-        if not odd:
-            return found
-        simple, rest = iter(found), dict(zip(odd, self._by_library(list(odd))))
-        return [rest[w] if w in odd else next(simple) for w in words]
-
     def encode_batch(self, texts: list[str | None]) -> list[bytes]:
         """ids of each text with the end id, little-endian unsigned 32-bit."""
-        words = [(x or "").encode().split() for x in texts]
-        found = self.words.found(list(chain.from_iterable(words)), self._learn)
-        end, out, at = np.asarray([END_ID], "<u4").tobytes(), [], 0
-        for ws in words:
-            out.append(b"".join(found[at : at + len(ws)]) + end)
-            at += len(ws)
+        pieces = [self._pieces(x or "") for x in texts]
+        found = self.memo.found(list(chain.from_iterable(pieces)), self._learn)
+        end, out, at = pack("<I", END_ID), [], 0
+        for ps in pieces:
+            out.append(b"".join(found[at : at + len(ps)]) + end)
+            at += len(ps)
         return out
 
 
-_encoders: dict[str, WordEncoder] = {}
+_encoders: dict[str, PieceEncoder] = {}
 
 
 def encoded(docs: DataFrame, path: str) -> DataFrame:
@@ -133,7 +120,7 @@ def encoded(docs: DataFrame, path: str) -> DataFrame:
 
     def run(batches):
         if path not in _encoders:
-            _encoders[path] = WordEncoder(path)
+            _encoders[path] = PieceEncoder(path)
         for batch in batches:
             for part in slices(batch, "text", 1 << 17):  # so that a slice's words stay in the processor's cache
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(_encoders[path].encode_batch(part.column("text").to_pylist()), pa.binary())], names=["doc_id", "ids"])
@@ -213,17 +200,28 @@ def expanded(seq: np.ndarray, rules: np.ndarray, first: int) -> np.ndarray:
 
 
 def read_ids(seq: np.ndarray, rules: np.ndarray, lengths: np.ndarray, first: int, start: int = 0, stop: int | None = None) -> np.ndarray:
-    """ids start ... stop of a block; only the symbols that cover them are expanded."""
-    if start == 0 and stop is None:
-        return expanded(seq, rules, first)
-    size = np.concatenate([np.ones(first, np.int64), lengths])[seq]
+    """ids start ... stop of a block; only the rules of symbols that cover them are expanded, each once."""
+    size = np.ones(len(seq), np.int64)
+    new = np.flatnonzero(seq >= first)
+    size[new] = lengths[seq[new] - first]
     ends = np.cumsum(size)
     stop = int(size.sum()) if stop is None else stop
     if stop <= start:
         return np.empty(0, np.uint32)
     a, b = np.searchsorted(ends, start, "right"), np.searchsorted(ends, stop, "left") + 1
-    skip = start - int(ends[a] - size[a])
-    return expanded(seq[a:b], rules, first)[skip : skip + stop - start]
+    part, size, skip = seq[a:b].astype(np.int64), size[a:b], start - int(ends[a] - size[a])
+    needed = np.zeros(len(rules), bool)
+    needed[part[part >= first] - first] = True
+    used = np.flatnonzero(needed)
+    flat = expanded((used + first).astype(seq.dtype), rules, first)
+    offset = np.zeros(len(rules), np.int64)
+    offset[used] = np.cumsum(lengths[used], dtype=np.int64) - lengths[used]
+    begin = np.cumsum(size) - size  # of each symbol in the output
+    out, many = np.repeat(part, size), np.repeat(part >= first, size)
+    from_rule = np.where(part >= first, offset[np.maximum(part - first, 0)], 0) - begin if len(rules) else -begin
+    at = np.flatnonzero(many)
+    out[at] = flat[np.repeat(from_rule, size)[at] + at]
+    return out[skip : skip + stop - start].astype(np.uint32)
 
 
 BLOCK = "bucket int, block int, first_symbol bigint, n_tokens bigint, n_docs bigint, doc_ids array<bigint>, doc_lengths binary, rules binary, rule_lengths binary, sequence binary"
