@@ -491,6 +491,44 @@ def test_fingerprints(spark, odd, empty):
     assert spot_fingerprints.compare_with_next(empty).count() == 0 and spot_fingerprints.compare_with_next(odd.limit(1)).count() == 1
 
 
+def brute_spots(text):
+    """Chains as tuples of words: at each common word the two content words after it."""
+    words = [w for w in text.replace("\t", " ").replace("\n", " ").replace("\r", " ").replace("\x0b", " ").replace("\x0c", " ").split(" ") if w]
+    bare = []
+    for w in words:
+        low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in w)
+        stripped = low.strip(".,;:!?\"'()[]{}")
+        bare.append(stripped or w)
+    common = set(spot_fingerprints.ANCHORS)
+    chains = set()
+    for i, w in enumerate(bare):
+        if w in common:
+            after = [x for x in bare[i + 1 :] if x not in common][:2]
+            if len(after) == 2:
+                chains.add((w, *after))
+    return chains or set(bare) or ({text} if text else set())
+
+
+def brute_likeness(a, b):
+    return len(a & b) / len(a | b) if a or b else 1.0
+
+
+def test_fingerprints_by_hand(spark, odd):
+    rng = random.Random(21)
+    pool = ["the", "The", "of,", "de", "und", "(la)", "amber", "Basin.", "cedar", "delta!", "...", "é", "ember"]
+    texts = [" ".join(rng.choice(pool) for _ in range(rng.randint(0, 60))) for _ in range(60)] + [None, "", "...", "the of", "the amber"]
+    for docs in (frame(spark, texts), odd):
+        order = sorted(texts_of(docs).items(), reverse=True)
+        got = {r.doc_id: r for r in spot_fingerprints.compare_with_next(docs).collect()}
+        for (doc_id, text), (_, after) in zip(order, order[1:] + order[:1]):
+            text, after = text or "", after or ""
+            edited = text[: len(text) - len(text) // 2] + after[: len(text) // 2]
+            mine, next_, cut = brute_spots(text), brute_spots(after), brute_spots(edited)
+            assert got[doc_id].near_next == pytest.approx(brute_likeness(mine, next_)), (text, after)
+            assert got[doc_id].near_edited == pytest.approx(brute_likeness(mine, cut))
+            assert (got[doc_id].fingerprint == got[doc_id].edited_fingerprint) == (mine == cut)
+
+
 def test_near_duplicates_by_fingerprint(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     prints = spot_fingerprints.fingerprints(docs).cache()
@@ -656,6 +694,19 @@ def test_dull_runs_stay():
 # --- queries and pipeline
 
 
+def test_pipeline_on_odd_input(spark, tmp_path, odd, empty):
+    """Null, empty and repeated rows through all stages, and tables without rows."""
+    import corpus_pipeline
+
+    labels = spark.createDataFrame([(i, 1, 0) for i in (3, 4, 5, 7, 8)] + [(14, 0, 0)], "doc_id long, quality int, toxic int")
+    for name, docs in (("odd", odd.drop("key", "size").unionByName(spark.createDataFrame([(None, prose("base", 200), "en", "a", None), (5, prose("base", 200), "en", "a", 1)], SCHEMA))), ("empty", empty)):
+        docs.write.parquet(str(tmp_path / name / "documents.parquet"))
+        labels.write.parquet(str(tmp_path / name / "labels.parquet"))
+        rows = corpus_pipeline.run(spark, str(tmp_path / name)).collect()
+        assert all(r.n_tokens == len(r.ids) > 0 for r in rows)
+        assert (name == "empty") == (not rows)
+
+
 @pytest.mark.parametrize("name", sorted(registry.ORACLES))
 def test_query_against_sql(spark, oracle, name):
     df = registry.QUERIES[name](spark, SF)
