@@ -569,8 +569,7 @@ def source_pushdown(spark, sf_dir):
     """A list of keys is pushed into the index, present ones and absent ones alike."""
     from filterfleet.sources import index_source
 
-    index_source.register(spark)
-    return spark.read.format("filterfleet").option("path", _saved(spark, sf_dir)).load().where(F.col("element").isin(KEYS))
+    return index_source.lookup(spark, _saved(spark, sf_dir), KEYS)
 
 
 @query(O.chain(O.members("cust"), O.bits(SPEC), _SLOTS, then="select slot // 64 as block_id, pos, bit_or(" + O.BIT.format(p="slot") + ") as word from bits join slots using (filter_id) group by 1, 2"))

@@ -269,5 +269,5 @@ def sweep(spark: SparkSession, experiment: str, values: list | None = None, sf_d
     from pyspark.sql import functions as F
 
     of, name, usual, others = EXPERIMENTS[experiment]
-    settings = [replace(Setting(), **({"collection": of} | others | changes), **{name: v}) for v in values or usual]
+    settings = [replace(Setting(), **({"collection": of} | others | changes | {name: v})) for v in values or usual]
     return run_settings(spark, settings, sf_dir).select(F.lit(experiment).alias("experiment"), "collection", F.col(name).cast("string").alias("value"), "measure", "result")

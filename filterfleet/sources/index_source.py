@@ -2,7 +2,8 @@
 
 An index answers for given elements only. So a read whose elements aren't bound by `=` or `in` is an error, not an empty
 table; conditions joined by `or` that Spark does not hand on are such a read. Positions are hashed on the reader's side
-by the linear and md5 families, which need no JVM. Paths have to be readable by pyarrow on the reader.
+by the linear and md5 families, which need no JVM. Paths have to be readable by pyarrow on the reader. Load the source
+anew for each read: Spark keeps what the last condition on a loaded table left, for a later read without any.
 """
 
 from __future__ import annotations
@@ -120,6 +121,14 @@ class FilterFleetSource(DataSource):
         return PackReader(self.options["path"].removeprefix("file://"))
 
 
+def lookup(spark: SparkSession, path: str, elements: list[int]):
+    """(element, filter_id) of the elements, by a table that is loaded for this read alone."""
+    from pyspark.sql import functions as F
+
+    register(spark)
+    return spark.read.format("filterfleet").option("path", path).load().where(F.col("element").isin(elements))
+
+
 def register(spark: SparkSession) -> None:
     spark.dataSource.register(FilterFleetSource)
     spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")

@@ -27,22 +27,30 @@ def window_filters(events: DataFrame, spec: FilterSpec, length: str = "1 day", s
 
 
 class FilterFeed:
-    """foreachBatch sink: ORs each batch's filters into a table of words, one version directory for each batch.
+    """foreachBatch sink: each batch writes the filters of its own rows; a reader ORs what lies there.
 
-    A batch that is delivered again writes the same version again, and OR-ing twice changes nothing.
+    Every `merge_every` batches what came since the last whole table is OR-ed into a new one, so a batch costs what it
+    brings, and a reader opens one whole table and fewer than merge_every small ones. A batch that is delivered again
+    writes the same files again, and OR-ing twice changes nothing.
     """
 
-    def __init__(self, path: str, spec: FilterSpec, site: str = "user_id", element: str = "event_id"):
-        self.path, self.spec, self.site, self.element = path, spec, site, element
+    def __init__(self, path: str, spec: FilterSpec, site: str = "user_id", element: str = "event_id", merge_every: int = 16):
+        self.path, self.spec, self.site, self.element, self.merge_every = path, spec, site, element, merge_every
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         fresh = build_filters(batch.select(F.col(self.site).alias("site_id"), F.col(self.element).alias("element")), self.spec)
-        if batch_id:
-            fresh = union_filters(self.at(batch.sparkSession, batch_id - 1).unionByName(fresh), "filter_id")
         fresh.write.mode("overwrite").parquet(f"{self.path}/b{batch_id}")
+        if (batch_id + 1) % self.merge_every == 0:
+            self._merged(batch.sparkSession, batch_id - self.merge_every, batch_id).write.mode("overwrite").parquet(f"{self.path}/whole{batch_id}")
+
+    def _merged(self, spark: SparkSession, whole: int, last: int) -> DataFrame:
+        """The whole table as of a batch (none below 0) and the batches after it."""
+        parts = [f"{self.path}/whole{whole}"] if whole >= 0 else []
+        return union_filters(spark.read.parquet(*parts, *(f"{self.path}/b{k}" for k in range(max(whole, -1) + 1, last + 1))), "filter_id")
 
     def at(self, spark: SparkSession, batch_id: int) -> DataFrame:
-        return spark.read.parquet(f"{self.path}/b{batch_id}")
+        """All filters as of a batch."""
+        return self._merged(spark, (batch_id + 1) // self.merge_every * self.merge_every - 1, batch_id)
 
 
 def run_feed(stream: DataFrame, feed: FilterFeed, checkpoint: str) -> int:

@@ -1,3 +1,4 @@
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -38,6 +39,18 @@ def test_feed_is_idempotent(spark, tmp_path):
     assert sorted(map(tuple, feed.at(spark, 1).collect())) == sorted(map(tuple, want.collect()))
 
 
+def test_feed_merges_batches(spark, tmp_path):
+    spec, feed = FilterSpec(200), feeds.FilterFeed(f"{tmp_path}/f", FilterSpec(200), merge_every=3)
+    events = spark.read.parquet(f"{SF}/events.parquet").select("user_id", "event_id")
+    for k in range(8):
+        feed(events.where(f"event_id % 8 = {k}"), k)
+        if k in (2, 5):
+            feed(events.where(f"event_id % 8 = {k}"), k)
+        if k in (0, 2, 3, 7):
+            want = filters.build_filters(events.where(f"event_id % 8 <= {k}").selectExpr("user_id as site_id", "event_id as element"), spec)
+            assert sorted(map(tuple, feed.at(spark, k).collect())) == sorted(map(tuple, want.collect()))
+
+
 def test_feed_from_a_stream(spark, tmp_path):
     feed = feeds.FilterFeed(f"{tmp_path}/f", FilterSpec(200))
     last = feeds.run_feed(feeds.events_stream(spark, f"{SF}/events.parquet*"), feed, f"{tmp_path}/c")
@@ -94,10 +107,11 @@ def test_source_asks_for_bound_elements(spark, tmp_path):
     assert got(read.where(F.col("element").isin(list(range(300))))) == want(range(300))
     assert got(read.where("element in (5, 15) and element in (15, 25)")) == want([15])
     assert got(read.where("element = 5 and element = 6")) == set()
-    for unbound in (read, read.where("filter_id = 3"), read.where("element > 5")):
+    fresh = lambda: spark.read.format("filterfleet").option("path", f"file://{tmp_path}/pack").load()
+    for unbound in (fresh(), fresh().where("filter_id = 3"), fresh().where("element > 5")):
         with pytest.raises(Exception, match="bind"):
             unbound.collect()
-    either = read.where("element = 5 or element = 15")
+    either = fresh().where("element = 5 or element = 15")
     try:
         assert got(either) == want([5, 15])
     except Exception as error:  # not handed on as a list: then an error, never an empty answer
