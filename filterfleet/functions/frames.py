@@ -29,12 +29,18 @@ def checkpointed(df: DataFrame) -> DataFrame:
 
 
 def written(df: DataFrame, what: str, *by: str) -> DataFrame:
-    """df as a table in the shared folder, in a part for each value of `by`, so that a reader takes only the parts it asks for."""
+    """df as a table in the shared folder, in a part for each value of `by`, so that a reader takes only the parts it asks
+    for. Unlike a checkpoint it leaves no trace of the plan behind, which loops of many rounds need."""
+    return df.sparkSession.read.schema(df.schema).parquet(written_at(df, what, *by))
+
+
+def written_at(df: DataFrame, what: str, *by: str) -> str:
+    """Where such a table was written."""
     import uuid
 
     path = f"{shared_dir(df.sparkSession)}/{what}-{uuid.uuid4().hex}"
     df.write.partitionBy(*by).parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return path
 
 
 def range_buckets(df: DataFrame, column: str, buckets: int):
