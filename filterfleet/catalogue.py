@@ -660,15 +660,16 @@ QUERIES["tree_search_forest_by_minhash"], ORACLES["tree_search_forest_by_minhash
 
 
 def _event_edges(spark, sf_dir):
-    events = table(spark, sf_dir, "events").select("user_id", "event_id", "ts")
-    before = F.lag("event_id").over(Window.partitionBy("user_id").orderBy("ts", "event_id"))
+    events = table(spark, sf_dir, "events").select("user_id", "event_id", "ts", F.to_date("ts").alias("day"))
+    before = F.lag("event_id").over(Window.partitionBy("user_id", "day").orderBy("ts", "event_id"))
     edges = events.select(F.pmod("event_id", F.lit(16)).alias("site_id"), F.col("event_id").alias("child"), before.alias("parent")).where("parent is not null")
-    return edges, events.groupBy("user_id").agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("item")).select("item")
+    return edges, events.groupBy("user_id", "day").agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("item")).select("item")
 
 
-@query("select last_value(event_id) over w as start, event_id as item from events window w as (partition by user_id order by ts, event_id rows between unbounded preceding and unbounded following) qualify last_value(event_id) over w <> event_id")
+@query("select last_value(event_id) over w as start, event_id as item from events window w as (partition by user_id, ts::date order by ts, event_id rows between unbounded preceding and unbounded following) qualify last_value(event_id) over w <> event_id")
 def provenance_events(spark, sf_dir):
-    """From each user's last event back along the chain of events, whose links lie on sixteen sites."""
+    """From each user's last event of a day back along the day's chain of events, whose links lie on sixteen sites. A
+    round is a step of the chain, so days are chains of their own; `trace` goes on as far as links go."""
     return provenance.trace(*_event_edges(spark, sf_dir), SPEC)[0]
 
 

@@ -9,7 +9,8 @@ def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir. One of our own only where none is set and all
     runs in one process; on a cluster such a folder would go with its machine, so there an unset one is an error."""
     context = spark.sparkContext
-    place = spark.conf.get("spark.checkpoint.dir", None) or context._jsc.sc().getCheckpointDir().getOrElse(None)
+    current = context._jsc.sc().getCheckpointDir()
+    place = spark.conf.get("spark.checkpoint.dir", None) or (current.get() if current.isDefined() else None)
     if not place:
         if not context.master.startswith("local"):
             raise ValueError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
