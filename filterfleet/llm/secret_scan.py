@@ -29,7 +29,7 @@ from collections import Counter
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from filterfleet.llm.common import released, slices, table
+from filterfleet.llm.common import materialize, released, slices, table
 
 KINDS = ("assign", "access", "hex", "novel")
 #: The base patterns and their least lengths.
@@ -87,7 +87,8 @@ def identifier_primer(docs: DataFrame, most: int = 4000) -> str:
             yield rows()
 
     counted = docs.select("text").mapInArrow(released(count), "part string, n bigint").groupBy("part").agg(F.sum("n").alias("n"))
-    top = counted.orderBy(F.desc("n"), "part").limit(most).collect()
+    top = materialize(counted.orderBy(F.desc("n"), "part").limit(most), "identifier-parts").collect()  # tasks merge their tops, not the driver
+    top.sort(key=lambda r: (-r["n"], r["part"]))
     return " ".join([*(r["part"] for r in reversed(top)), PRIMER])
 
 
