@@ -34,6 +34,24 @@ def published(spark) -> dict[str, float]:
     return out
 
 
+def distributed(spark, sf_dir: str) -> dict[str, float]:
+    """Milliseconds a probe of distributed searches over one saved index of each kind, mean of the last runs, and its size."""
+    from filterfleet.functions.frames import checkpointed
+    from filterfleet.operators import filters, pack, scan, tree
+    from filterfleet.plans import advisor, costs
+    from filterfleet.sources.collections import collection, probes
+
+    sets = checkpointed(collection(spark, sf_dir, "user"))
+    spec, asked = advisor.size_spec(sets, share=0.1), checkpointed(probes(sets))
+    words, n = checkpointed(filters.build_filters(sets, spec)), asked.count()
+    dense, index, sliced = checkpointed(filters.to_dense(words, spec)), tree.bulk_load(words, spec), pack.pack_build(sets, spec)
+    sliced.slices, sliced.slots = checkpointed(sliced.slices), checkpointed(sliced.slots)
+    found = {"scan": lambda: scan.scan_search(dense, asked, spec), "tree": lambda: tree.tree_search(index, asked)[0], "pack": lambda: pack.pack_search(sliced, asked)}
+    out = {f"spark_{k}_ms": round(1000 * costs.repeat(lambda: costs.run(search()), 3, 2) / n, 4) for k, search in found.items()}  # noqa: B023
+    sites, nodes = sets.select("site_id").distinct().count(), index.nodes.count()
+    return out | {f"spark_{k}_bytes": costs.storage_bytes(k, sites, spec, nodes) for k in found}
+
+
 def main() -> None:
     sf_dir, cpus = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1"), os.environ.get("BENCH_CPUS", "8")
     spark = (
@@ -55,7 +73,7 @@ def main() -> None:
         catalogue.QUERIES[name](spark, sf_dir).write.format("noop").mode("overwrite").save()
         seconds[name] = round(time.perf_counter() - began, 3)
     began = time.perf_counter()
-    measures = published(spark)
+    measures = published(spark) | distributed(spark, sf_dir)
     seconds["published_settings"] = round(time.perf_counter() - began, 3)
     print(json.dumps({"metric": "total_seconds", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "measures": measures, "sf": sf_dir.rstrip("/").rsplit("/", 1)[-1]}))
 

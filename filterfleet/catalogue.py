@@ -261,6 +261,15 @@ def any_membership(spark, sf_dir):
     return tree.any_match(_bulk(spark, sf_dir), probes(collection(spark, sf_dir, "cust")))
 
 
+@query(ORACLES["any_membership"])
+def one_filter_test(spark, sf_dir):
+    """The filter of all sites together, dense, asked by each probe."""
+    sets = collection(spark, sf_dir, "cust")
+    whole = filters.union_filters(filters.build_filters(sets, SPEC).withColumn("filter_id", F.lit(0)), "filter_id")
+    dense = F.broadcast(filters.to_dense(whole, SPEC).select("words"))  # one row
+    return probes(sets).join(dense, filters.matches_expr(F.col("words"), F.col("element"), SPEC)).select("query_id")
+
+
 @query(O.chain(*O.search("cust", SPEC), then="select m.query_id, m.filter_id from matches m where m.filter_id = (m.query_id * 7) % 1000"))
 def site_membership(spark, sf_dir):
     asked = probes(collection(spark, sf_dir, "cust")).withColumn("filter_id", F.expr("(query_id * 7) % 1000"))

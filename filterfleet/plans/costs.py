@@ -25,18 +25,6 @@ def run(df: DataFrame) -> None:
     df.write.format("noop").mode("overwrite").save()
 
 
-def search_time(df: DataFrame, n_probes: int, repeats: int = 10, keep: int = 5) -> float:
-    """Milliseconds a probe of a search's matches."""
-    return 1000 * repeat(lambda: run(df), repeats, keep) / max(n_probes, 1)
-
-
-maintenance_time = search_time
-
-
-def build_time(fn, repeats: int = 1, keep: int = 1) -> float:
-    return repeat(fn, repeats, keep)
-
-
 def storage_bytes(method: str, n: int, spec: FilterSpec, n_nodes: int | None = None) -> int:
     """Bytes of dense filters: all nodes of a tree, filters up to a multiple of 64 in a pack, the filters in a scan."""
     count = {"scan": n, "pack": -(-n // WORD) * WORD, "tree": n_nodes}[method]
