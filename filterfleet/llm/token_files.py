@@ -35,52 +35,43 @@ SIMPLE = re.compile(r"[\x09-\x0D\x20!-~À-ÖØ-öø-įı-ž]*")
 PIECES = re.compile(r"'(?:[stmd]|re|ve|ll)|[a-zß-öø-ž]+|[0-9]|[^\s0-9a-zß-öø-ž]+").findall
 
 
-class Memo:
-    """A bounded memo of two generations: what was asked for lately is kept when the older generation is dropped."""
-
-    def __init__(self, most: int):
-        self.most, self.young, self.old = most // 2, {}, {}
-
-    def found(self, keys: list, learn) -> list:
-        """The values of keys; learn: (list of distinct new keys) -> their values."""
-        here = dict.fromkeys(keys)  # small, so most of the work stays in the processor's cache
-        distinct = list(here)
-        values = list(map(self.young.get, distinct))
-        missed = [k for k, v in enumerate(values) if v is None]
-        if missed:
-            asked = list(map(distinct.__getitem__, missed))
-            wanted = dict(zip(asked, map(self.old.get, asked)))
-            new = [key for key, v in wanted.items() if v is None]
-            if new:
-                wanted.update(zip(new, learn(new)))
-            for k, v in zip(missed, wanted.values()):
-                values[k] = v
-            if len(self.young) + len(wanted) > self.most:
-                self.old, self.young = self.young, {}
-            self.young.update(wanted)
-        here.update(zip(distinct, values))
-        return list(map(here.__getitem__, keys))
-
-
-class PieceEncoder:
-    """ids of whole texts by the tokenizers library, asked only for what a memo does not hold.
+class PieceEncoder(dict):
+    """ids of whole texts by the tokenizers library, asked only for what this memo of pieces does not hold.
 
     This vocabulary drops white space, and neither its normalizer nor its splitting rule looks across blanks, tabs and
     line ends; so a text's ids are its words' ids one after the other. Text of simple characters is lowered and split
     into pieces here, and the library's model is asked for new pieces; any other word goes through the whole library.
+
+    The memo has two generations: what was asked for lately is kept when the older one is dropped.
     """
 
     def __init__(self, path: str, most: int = 400_000):
         """most: bound of the memo, about 150 bytes an entry."""
+        super().__init__()
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
+        self.tokenize = self.library.model.tokenize
         self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
         self.spelled = {byte: character for character, byte in printable_bytes().items()}
-        self.memo = Memo(most)
+        self.half, self.older = most // 2, {}
+
+    def __missing__(self, piece: str) -> bytes:
+        value = self.older.get(piece)
+        if value is None:
+            if piece[0] == " ":
+                ids = self.library.encode(piece[1:], add_special_tokens=False).ids
+            else:
+                ids = [t.id for t in self.tokenize(piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.spelled))]
+            value = pack(f"<{len(ids)}I", *ids)
+        if len(self) >= self.half:
+            self.older = dict(self)
+            self.clear()
+        self[piece] = value
+        return value
 
     def _is_simple(self, text: str) -> bool:
         return SIMPLE.fullmatch(text) is not None and not any(s in text for s in self.special)
@@ -92,24 +83,10 @@ class PieceEncoder:
         words = [w.decode() for w in text.encode().split()]
         return list(chain.from_iterable(PIECES(w.lower()) if self._is_simple(w) else [" " + w] for w in words))
 
-    def _learn(self, pieces: list[str]) -> list[bytes]:
-        tokenize, out = self.library.model.tokenize, []
-        whole = [p for p in pieces if p[0] == " "]
-        rest = iter(self.library.encode_batch_fast([p[1:] for p in whole], add_special_tokens=False) if whole else ())
-        for p in pieces:
-            ids = next(rest).ids if p[0] == " " else [t.id for t in tokenize(p if p.isascii() else p.encode().decode("latin-1").translate(self.spelled))]
-            out.append(pack(f"<{len(ids)}I", *ids))
-        return out
-
     def encode_batch(self, texts: list[str | None]) -> list[bytes]:
         """ids of each text with the end id, little-endian unsigned 32-bit."""
-        pieces = [self._pieces(x or "") for x in texts]
-        found = self.memo.found(list(chain.from_iterable(pieces)), self._learn)
-        end, out, at = pack("<I", END_ID), [], 0
-        for ps in pieces:
-            out.append(b"".join(found[at : at + len(ps)]) + end)
-            at += len(ps)
-        return out
+        end, ids = pack("<I", END_ID), self.__getitem__
+        return [b"".join(map(ids, self._pieces(x or ""))) + end for x in texts]
 
 
 _encoders: dict[str, PieceEncoder] = {}
@@ -122,7 +99,7 @@ def encoded(docs: DataFrame, path: str) -> DataFrame:
         if path not in _encoders:
             _encoders[path] = PieceEncoder(path)
         for batch in batches:
-            for part in slices(batch, "text", 1 << 17):  # so that a slice's words stay in the processor's cache
+            for part in slices(batch, "text"):
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(_encoders[path].encode_batch(part.column("text").to_pylist()), pa.binary())], names=["doc_id", "ids"])
 
     return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(run, "doc_id bigint, ids binary")
@@ -135,7 +112,7 @@ def pair_ranks(seq: np.ndarray, least: int, places: np.ndarray | None = None) ->
     """
     places = np.arange(len(seq) - 1) if places is None else places
     wide, far = int(seq.max()).bit_length(), len(seq).bit_length()
-    code = seq[places] << wide | seq[places + 1]
+    code = seq[places].astype(np.int64) << wide | seq[places + 1]
     if 2 * wide + far <= 63:
         order = np.sort(code << far | places)
         code, order = order >> far, order & ((1 << far) - 1)
@@ -146,23 +123,23 @@ def pair_ranks(seq: np.ndarray, least: int, places: np.ndarray | None = None) ->
     counts = np.diff(start, append=len(code))
     often = np.flatnonzero(counts >= least)
     often = often[np.argsort(counts[often], kind="stable")]
-    of_run = np.zeros(len(start), np.int64)
+    of_run = np.zeros(len(start), np.int32)
     of_run[often] = np.arange(1, len(often) + 1)
-    ranks = np.zeros(len(seq) + 1, np.int64)  # a nought before the first pair and after the last
+    ranks = np.zeros(len(seq) + 1, np.int32)  # a nought before the first pair and after the last
     ranks[order + 1] = np.repeat(of_run, counts)
     pairs = code[start[often]]
     return np.column_stack([pairs >> wide, pairs & ((1 << wide) - 1)]), ranks
 
 
 def replace_pairs(ids: np.ndarray, first: int, least: int = 8) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(sequence, rules, lengths): symbols from `first` on stand for their rule's two symbols.
+    """(sequence, rules, lengths): symbols from `first` on, which is above all ids, stand for their rule's two symbols.
 
     A place is replaced if no pair that overlaps it is more frequent; of a pair that overlaps itself the left one goes.
     The most frequent pair wins everywhere, so each round makes progress, and the rounds end when no pair occurs `least`
     times. A pair without a symbol of the last round can only have become rarer, so after the first round only pairs
     with such a symbol, and those that were frequent before, are counted.
     """
-    seq, rules, lengths, places = ids.astype(np.int64), [np.empty((0, 2), np.int64)], np.ones(first, np.int64), None
+    seq, rules, lengths, places = ids.astype(np.int32), [np.empty((0, 2), np.int64)], np.ones(first, np.int64), None
     while len(seq) > least:
         pairs, ranks = pair_ranks(seq, least, places)
         here = ranks[1:-1]
