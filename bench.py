@@ -22,13 +22,13 @@ HEADLINE = (
 KEPT = ("bf_cost", "build_s", "root_fp", "tree_ms", "pack_ms", "scan_ms", "tree_bytes", "pack_bytes", "scan_bytes", "insert_bf_cost", "update_bf_cost", "delete_bf_cost", "mean_matches")
 
 
-def published(spark) -> dict[str, float]:
-    """One setting at a time: N = 1000 (all methods, 50,000 searches), then 10,000 and 100,000 with the rule on and off."""
+def published(spark, sizes: tuple[int, ...] = (10_000, 100_000)) -> dict[str, float]:
+    """One setting at a time: N = 1000 (all methods, 50,000 searches), then larger N with the rule on and off."""
     from filterfleet.plans.workloads import Setting, run_settings
 
     out = {}
     settings = [("1000", Setting(probes=50_000)), ("1000 half updated", Setting(probes=5000, after_update=True))]
-    settings += [(f"{n} {'rule' if rule else 'no rule'}", Setting(n_filters=n, saturation_rule=rule, probes=2000, tree_only=True)) for n in (10_000, 100_000) for rule in (True, False)]
+    settings += [(f"{n} {'rule' if rule else 'no rule'}", Setting(n_filters=n, saturation_rule=rule, probes=2000, tree_only=True)) for n in sizes for rule in (True, False)]
     for label, setting in settings:
         out |= {f"{r['measure']}@{label}": round(r["result"], 5) for r in run_settings(spark, [setting]).collect() if r["measure"] in KEPT}
     return out
