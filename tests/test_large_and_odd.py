@@ -42,3 +42,7 @@ def test_rounded_zero_keeps_its_sign(spark, tmp_path):
     rows = [[-0.00001, 0.00001, -0.0, 0.3], [0.5, -0.03125, 0.03125, -1.0], [0.3], []]
     vectors = pa.table({"vec_id": pa.array(range(4), pa.int64()), "embedding": pa.array(rows, pa.list_(pa.float32())), "label": pa.array([0] * 4, pa.int32())})
     assert "-0.0" in same(spark, tmp_path, "array_functions", embeddings=vectors)[0]
+
+
+def test_seconds_are_rounded_not_cut(spark, tmp_path):
+    same(spark, tmp_path, "win_range_seconds", events=events([0.4, 0.5, 0.6, 1.5, 2.5, 3600.4, 3600.5, 3600.6, 3601.5, 3602.5]))
