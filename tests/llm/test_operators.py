@@ -732,3 +732,15 @@ def test_pipeline(spark):
     texts = texts_of(corpus_pipeline.mask_secrets(spark, spark.read.parquet(f"{SF}/documents.parquet"), SF))
     for r in docs.collect():
         assert r.ids == lib.encode(texts[r.doc_id], add_special_tokens=False).ids
+
+
+def test_every_trusted_text_is_counted(spark):
+    """4100 trusted texts, the last one of 30,000 characters: all of them are in the model's counts."""
+    texts = [f"q{i:04d}" for i in range(4099)] + ["z" * 30_000]
+    docs = frame(spark, texts).cache()
+    labels = docs.selectExpr("doc_id", "1 as quality", "0 as toxic")
+    counts = {r.gram: r.n for r in language_model.gram_counts(language_model.trusted_texts(docs, labels)).collect()}
+    assert sum(counts.values()) == 4099 * 5 + 30_000 and counts[int.from_bytes(b"zzzz", "big")] == 29_997
+    fitted = language_model.train(docs, labels)
+    grams = {r.gram for r in fitted.probs.where("ord = 4").collect()}
+    assert len(grams) == len(counts)
