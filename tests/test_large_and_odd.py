@@ -5,8 +5,13 @@ import datetime
 import duckdb
 import pyarrow as pa
 import pyarrow.parquet as pq
+from pyspark.sql import functions as F
 
 from filterfleet import catalogue
+from filterfleet.functions.hashing import set_bits
+from filterfleet.functions.params import FilterSpec
+from filterfleet.operators import pack, scan
+from filterfleet.sources.collections import ranges
 
 
 def same(spark, folder, name, **tables):
@@ -46,3 +51,18 @@ def test_rounded_zero_keeps_its_sign(spark, tmp_path):
 
 def test_seconds_are_rounded_not_cut(spark, tmp_path):
     same(spark, tmp_path, "win_range_seconds", events=events([0.4, 0.5, 0.6, 1.5, 2.5, 3600.4, 3600.5, 3600.6, 3601.5, 3602.5]))
+
+
+def test_many_blocks_are_searched_in_tasks(spark):
+    """65 sites a block and more: found by tasks over parts of blocks are the pairs that bits by themselves give."""
+    sets = ranges(spark, 1500, 4).unionByName(spark.createDataFrame([(7, 5999), (1499, 0), (None, 3), (3, None)], "site_id long, element long"))
+    asked = spark.range(6000).selectExpr("cast(id as string) as query_id", "id as element").unionByName(spark.createDataFrame([("x", None), ("7", 7)], "query_id string, element long"))
+    spec = FilterSpec(6)
+    bits = set_bits(sets, spec).select(F.col("site_id").alias("filter_id"), "pos").distinct()
+    want = sorted(map(tuple, scan.scan_search_positions(bits, asked.distinct(), spec).collect()))
+    index = pack.pack_build(sets, spec)
+    found = pack.pack_search(index, asked)
+    assert sorted(map(tuple, found.collect())) == want and len(want) > 6000
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in plan  # no row for each probe, position and block
+    assert sorted(map(tuple, pack.pack_search(pack.PackIndex(index.slices, index.slots, spec), asked.distinct()).collect())) == want
