@@ -66,3 +66,16 @@ def test_many_blocks_are_searched_in_tasks(spark):
     plan = found._jdf.queryExecution().optimizedPlan().toString()
     assert "MapInArrow" in plan  # no row for each probe, position and block
     assert sorted(map(tuple, pack.pack_search(pack.PackIndex(index.slices, index.slots, spec), asked.distinct()).collect())) == want
+
+
+def orders(keys):
+    """(o_custkey, o_orderkey) pairs."""
+    return pa.table({"o_orderkey": pa.array([k for _, k in keys], pa.int64()), "o_custkey": pa.array([c for c, _ in keys], pa.int64())})
+
+
+def test_ranges_are_counted_without_pairs(spark, tmp_path):
+    n = 40
+    found = same(spark, tmp_path, "join_range_blocks", events=events(list(range(n)), kinds=["purchase"] * n), orders=orders([(1, 0), (1, 9), (2, 9), (2, 20), (3, 5), (4, 21), (4, 30), (5, 5), (None, 3), (6, None), (7, 39)]))
+    assert len(found) == 32
+    plan = catalogue.QUERIES["join_range_blocks"](spark, str(tmp_path))._jdf.queryExecution().optimizedPlan().toString()
+    assert "explode(sequence" not in plan and "between" not in plan
