@@ -79,3 +79,8 @@ def test_ranges_are_counted_without_pairs(spark, tmp_path):
     assert len(found) == 32
     plan = catalogue.QUERIES["join_range_blocks"](spark, str(tmp_path))._jdf.queryExecution().optimizedPlan().toString()
     assert "explode(sequence" not in plan and "between" not in plan
+
+
+def test_measures_read_a_given_table(spark):
+    for name in ("optimal_hash_count",):
+        assert "Relation [" in catalogue.QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString(), name
