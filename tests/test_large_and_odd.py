@@ -82,5 +82,5 @@ def test_ranges_are_counted_without_pairs(spark, tmp_path):
 
 
 def test_measures_read_a_given_table(spark):
-    for name in ("optimal_hash_count",):
+    for name in ("optimal_hash_count", "filter_params"):
         assert "Relation [" in catalogue.QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString(), name
