@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from filterfleet import catalogue
 from filterfleet.functions.hashing import set_bits
 from filterfleet.functions.params import FilterSpec
-from filterfleet.operators import pack, scan
+from filterfleet.operators import distance, pack, scan
 from filterfleet.sources.collections import ranges
 
 
@@ -84,3 +84,24 @@ def test_ranges_are_counted_without_pairs(spark, tmp_path):
 def test_measures_read_a_given_table(spark):
     for name in ("optimal_hash_count", "filter_params"):
         assert "Relation [" in catalogue.QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString(), name
+
+
+def test_pairs_are_counted_in_blocks(spark):
+    """More filters than a block has, words with the highest bit, none in common, equal ones, ids out of order."""
+    rows = [(i * 7919 % 1300, k, (i * 2654435761 * (k + 1)) % (1 << 64) - (1 << 63)) for i in range(1300) for k in range(i % 3, 3)]
+    words = spark.createDataFrame([*rows, (5000, 7, 1), (5001, 7, 1), (5002, 9, -1)], "filter_id long, word_ix int, word long")
+    bits = {}
+    for f, k, w in words.collect():
+        bits[f] = bits.get(f, 0) | (w % (1 << 64)) << 64 * k
+    some = [f for f in sorted(bits) if f % 97 == 0 or f >= 5000]
+    apart = lambda a, b: float((bits[a] ^ bits[b]).bit_count())
+    pairs = distance.all_pairs(words, words, "hamming")
+    assert pairs.count() == len(bits) * (len(bits) - 1) // 2
+    assert {(r.a, r.b): r.hamming for r in pairs.where(F.col("a").isin(some) & F.col("b").isin(some)).collect()} == {(a, b): apart(a, b) for a in some for b in some if a < b}
+    near = {(r.filter_id, r.neighbour): r.distance for r in distance.nearest(words, top=2).where(F.col("filter_id").isin(some)).collect()}
+    assert near == {(a, b): d for a in some for d, b in sorted((apart(a, b), b) for b in bits if b != a)[:2]}
+    plan = pairs._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and "MapInArrow" in plan  # rows of words don't meet one by one
+    one = words.where("filter_id = 5000")
+    assert [tuple(r) for r in distance.all_pairs(one, words.where("filter_id > 5000"), "jaccard").orderBy("b").collect()] == [(5000, 5001, 0.0), (5000, 5002, 1.0)]
+    assert distance.all_pairs(one, one).count() == distance.nearest(one).count() == 0
