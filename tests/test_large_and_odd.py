@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from filterfleet import catalogue
 from filterfleet.functions.hashing import set_bits
 from filterfleet.functions.params import FilterSpec
-from filterfleet.operators import distance, pack, scan
+from filterfleet.operators import distance, filters, grow, pack, scan, tree
 from filterfleet.sources.collections import ranges
 
 
@@ -105,3 +105,24 @@ def test_pairs_are_counted_in_blocks(spark):
     one = words.where("filter_id = 5000")
     assert [tuple(r) for r in distance.all_pairs(one, words.where("filter_id > 5000"), "jaccard").orderBy("b").collect()] == [(5000, 5001, 0.0), (5000, 5002, 1.0)]
     assert distance.all_pairs(one, one).count() == distance.nearest(one).count() == 0
+
+
+def test_trees_are_searched_in_parts(spark):
+    """Subtrees in tasks find and count what the search by levels does: one tree, and shards of different heights."""
+    spec = FilterSpec(40, 0.1)
+    sets = ranges(spark, 900, 3).unionByName(spark.createDataFrame([(7, 2699), (899, 0), (1 << 60, 5)], "site_id long, element long"))
+    asked = spark.range(0, 5400, 3).selectExpr("id as query_id", "id as element").unionByName(spark.createDataFrame([(-1, None)], "query_id long, element long"))
+    words = filters.build_filters(sets, spec)
+    numbers = words.select("filter_id").distinct().where("filter_id < 3 or filter_id > 20")
+    for index in (tree.bulk_load(words, spec, 2), grow.grow(words.join(numbers, "filter_id"), spec, 2, shards=2, saturation_rule=True)):
+        matches, costs = tree.tree_search(index, asked, most_pairs=1 << 60)
+        want, tested = sorted(map(tuple, matches.collect())), sorted(map(tuple, tree.search_cost(costs).collect()))
+        found, spent = tree.tree_search(index, asked, most_pairs=0)
+        assert sorted(map(tuple, found.collect())) == want and sorted(map(tuple, tree.search_cost(spent).collect())) == tested and want
+        levels = lambda c: sorted(tuple(r) for r in c.select("query_id", "level", "checked", "matched").collect())
+        assert levels(spent) == levels(costs)
+        local = [tuple(r) for r in tree.tree_search_local(index, asked, 1).collect()]  # parts of 64 nodes
+        assert sorted((q, f) for q, f, _ in local if f is not None) == want and sorted({(q, n) for q, _, n in local}) == tested
+        cost = tree.counted_cost(index, asked)
+        assert sorted(map(tuple, cost.collect())) == tested
+        assert "MapInArrow" in cost._jdf.queryExecution().optimizedPlan().toString()  # no row for each probe and node
