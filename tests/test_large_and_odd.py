@@ -82,7 +82,7 @@ def test_ranges_are_counted_without_pairs(spark, tmp_path):
 
 
 def test_measures_read_a_given_table(spark):
-    for name in ("optimal_hash_count", "filter_params"):
+    for name in ("optimal_hash_count", "filter_params", "fp_curve_by_size", "ideal_cost_curve", "tree_height_bounds"):
         assert "Relation [" in catalogue.QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString(), name
 
 
@@ -126,3 +126,8 @@ def test_trees_are_searched_in_parts(spark):
         cost = tree.counted_cost(index, asked)
         assert sorted(map(tuple, cost.collect())) == tested
         assert "MapInArrow" in cost._jdf.queryExecution().optimizedPlan().toString()  # no row for each probe and node
+
+
+def test_sweeps_read_a_given_table(spark):
+    for name in ("sweep_distribution", "sweep_set_size"):
+        assert "Relation [" in catalogue.QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString(), name
