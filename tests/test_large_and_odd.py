@@ -11,6 +11,7 @@ from filterfleet import catalogue
 from filterfleet.functions.hashing import set_bits
 from filterfleet.functions.params import FilterSpec
 from filterfleet.operators import distance, filters, grow, pack, scan, tree
+from filterfleet.plans import relational
 from filterfleet.sources.collections import ranges
 
 
@@ -81,6 +82,19 @@ def test_ranges_are_counted_without_pairs(spark, tmp_path):
     assert "explode(sequence" not in plan and "between" not in plan
 
 
+def test_pairs_of_ranges_come_from_arrays(spark, tmp_path):
+    """Events of one cell that all sites' ranges hold, sites without a key, equal and negative ids."""
+    ids = [3, 3, None, *range(-4, 5), 4999, 5000, 5001, 12_000]
+    table = events([0] * len(ids), kinds=["purchase"] * len(ids)).set_column(0, "event_id", pa.array(ids, pa.int64()))
+    same(spark, tmp_path, "join_range_whole", events=table, orders=orders([(1, -4), (1, 5000), (2, 5001), (2, 20_000), (3, 3), (None, 0), (None, 4), (4, None), (5, -3), (5, -1)]))
+    plan = catalogue.QUERIES["join_range_whole"](spark, str(tmp_path))._jdf.queryExecution().optimizedPlan().toString()
+    assert "explode(events" in plan  # pairs are no rows of the join
+    points, spans = spark.createDataFrame([(7,)] * 250 + [(8,)], "event_id long"), spark.range(3).selectExpr("id as site_id", "id as lo", "7 as hi")
+    found = relational.range_pairs(points, spans, 5000)
+    assert found.groupBy("site_id").count().orderBy("site_id").collect() == [(0, 250), (1, 250), (2, 250)]
+    assert relational.range_pairs(points, spans.where("hi > 7"), 5000).count() == 0
+
+
 def test_measures_read_a_given_table(spark):
     for name in ("optimal_hash_count", "filter_params", "fp_curve_by_size", "ideal_cost_curve", "tree_height_bounds"):
         assert "Relation [" in catalogue.QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString(), name
