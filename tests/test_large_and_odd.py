@@ -69,6 +69,22 @@ def test_many_blocks_are_searched_in_tasks(spark):
     assert sorted(map(tuple, pack.pack_search(pack.PackIndex(index.slices, index.slots, spec), asked.distinct()).collect())) == want
 
 
+def test_candidates_are_thinned_in_tasks(spark):
+    """Filters of one and of several parts, dense ones, a set that spans batches of rows, and no sets at all."""
+    wide = spark.range(12_000).selectExpr("cast(-5 as bigint) as site_id", "3 * id as element")
+    sets = ranges(spark, 900, 4).unionByName(wide).unionByName(spark.createDataFrame([(7, 3599), (7, 3599), (1 << 60, 0), (None, 3), (3, None)], "site_id long, element long"))
+    asked = spark.range(4000).selectExpr("cast(id as string) as query_id", "id as element").unionByName(spark.createDataFrame([("x", None), ("7", 7)], "query_id string, element long"))
+    for spec in (FilterSpec(6), FilterSpec(1500)):
+        bits = set_bits(sets, spec).select(F.col("site_id").alias("filter_id"), "pos").distinct()
+        want = sorted(map(tuple, scan.scan_search_positions(bits, asked.distinct(), spec).collect()))
+        for most in (64 << 20, 1 << 17):
+            found = scan.scan_search_ordered(sets, asked, spec, most)
+            assert sorted(map(tuple, found.collect())) == want and len(want) > 6000
+        plan = found._jdf.queryExecution().optimizedPlan().toString()
+        assert "MapInArrow" in plan and "Join" not in plan  # candidates are no rows, and no bits are broadcast
+    assert scan.scan_search_ordered(sets.where("site_id = 5000"), asked, spec).count() == 0
+
+
 def orders(keys):
     """(o_custkey, o_orderkey) pairs."""
     return pa.table({"o_orderkey": pa.array([k for _, k in keys], pa.int64()), "o_custkey": pa.array([c for c, _ in keys], pa.int64())})
