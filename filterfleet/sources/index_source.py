@@ -29,14 +29,20 @@ def python_positions(element: int, family: str, k: int, m: int, seeds: list[int]
     raise ValueError(f"family {family} has no form outside Spark")
 
 
+def newest(path: str) -> dict:
+    import pyarrow.dataset as ds
+
+    rows = ds.dataset(f"{path}/manifest", format="parquet").to_table().to_pylist()
+    return json.loads(max(rows, key=lambda r: r["version"])["manifest"])
+
+
 class PackLookup:
     """A saved pack, opened once: its newest spec, its files' footers, and the slots of blocks that probes came to."""
 
     def __init__(self, path: str, most_blocks: int = 20_000):
         import pyarrow.dataset as ds
 
-        rows = ds.dataset(f"{path}/manifest", format="parquet").to_table().to_pylist()
-        self.spec = json.loads(max(rows, key=lambda r: r["version"])["manifest"])
+        self.spec = newest(path)
         at = f"{path}/v{self.spec['version']}"
         self.slices, self.slots = ds.dataset(f"{at}/slices", format="parquet"), ds.dataset(f"{at}/slots", format="parquet")
         self.most_blocks, self.blocks = most_blocks, {}
@@ -73,13 +79,48 @@ class PackLookup:
         return out
 
 
-_opened: dict[str, PackLookup] = {}
+class WordLookup:
+    """A pack saved by `save_words`, opened once: its words are mapped, and filter ids stand in order of slot."""
+
+    def __init__(self, path: str):
+        import glob
+        import os
+
+        import numpy as np
+        import pyarrow.dataset as ds
+
+        self.spec = newest(path)
+        at = f"{path}/v{self.spec['version']}"
+        slots = ds.dataset(f"{at}/slots", format="parquet").to_table(columns=["slot", "filter_id"]).sort_by("slot")
+        self.ids = slots.column("filter_id").to_numpy()
+        files = {int(os.path.basename(f).removesuffix(".npy")): f for f in glob.glob(f"{glob.escape(at)}/words/*.npy")}
+        self.parts = [(64 * block, np.asarray(np.load(files[block], mmap_mode="r"))) for block in sorted(files)]
+
+    def search(self, elements: list[int]) -> list[tuple[int, int]]:
+        """(element, filter_id), part by part the AND of an element's rows of words."""
+        import numpy as np
+
+        spec, out = self.spec, []
+        for x in dict.fromkeys(elements):
+            at = python_positions(x, spec["family"], spec["k"], spec["m"], spec["seeds"])
+            for first, words in self.parts:
+                left = np.bitwise_and.reduce(words[at])
+                for block in np.flatnonzero(left).tolist():
+                    word = int(left[block])
+                    while word:
+                        low = word & -word
+                        out.append((x, int(self.ids[first + 64 * block + low.bit_length() - 1])))
+                        word ^= low
+        return out
+
+
+_opened: dict[str, PackLookup | WordLookup] = {}
 
 
-def opened(path: str) -> PackLookup:
+def opened(path: str) -> PackLookup | WordLookup:
     """One lookup for each Python worker and saved pack; a path that is written again later needs a new worker."""
     if path not in _opened:
-        _opened[path] = PackLookup(path)
+        _opened[path] = WordLookup(path) if newest(path)["kind"] == "words" else PackLookup(path)
     return _opened[path]
 
 

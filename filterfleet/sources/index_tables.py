@@ -7,7 +7,7 @@ import json
 from pyspark.sql import DataFrame, SparkSession
 
 from filterfleet.functions.params import FilterSpec
-from filterfleet.operators.pack import PackIndex
+from filterfleet.operators.pack import PackIndex, write_words
 from filterfleet.operators.tree import TreeIndex
 
 
@@ -42,6 +42,17 @@ def save_pack(index: PackIndex, path: str) -> int:
     return version
 
 
+def save_words(index: PackIndex, path: str) -> int:
+    """A pack as built, in files that a lookup maps into memory: it reads a probe's rows of words and nothing else, and
+    readers on one machine share them. Takes the words' full size on disk, and a path that all tasks can open."""
+    spark, version = index.slots.sparkSession, next_version(index.slots.sparkSession, path)
+    at = f"{path}/v{version}"
+    index.slots.write.parquet(f"{at}/slots")
+    write_words(PackIndex(index.slices, spark.read.parquet(f"{at}/slots"), index.spec, index.members), f"{at}/words".removeprefix("file://"))
+    _manifest(spark, path, version, "words", index.spec, 0)
+    return version
+
+
 def load_pack(spark: SparkSession, path: str, spec: FilterSpec | None = None) -> PackIndex:
     m = _newest(spark, path)
     found = _spec(m)

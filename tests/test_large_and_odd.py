@@ -12,6 +12,7 @@ from filterfleet.functions.hashing import set_bits
 from filterfleet.functions.params import FilterSpec
 from filterfleet.operators import distance, filters, grow, pack, scan, tree
 from filterfleet.plans import relational
+from filterfleet.sources import index_source, index_tables, udtfs
 from filterfleet.sources.collections import ranges
 
 
@@ -85,6 +86,26 @@ def test_candidates_are_thinned_in_tasks(spark):
     assert scan.scan_search_ordered(sets.where("site_id = 5000"), asked, spec).count() == 0
 
 
+def test_lookups_map_words(spark, tmp_path):
+    """Saved words give what a search of the index does, in lanes of either sign and over several parts; so does the table
+    function, which maps them and reads no table for an element."""
+    sets = ranges(spark, 1500, 4).unionByName(spark.createDataFrame([(7, 5999), (1499, 0), (None, 3), (3, None)], "site_id long, element long"))
+    spec, keys = FilterSpec(6), [*range(0, 6100, 7), -1]
+    index = pack.pack_build(sets, spec)
+    asked = spark.createDataFrame([(k, k) for k in keys] + [(-2, None)], "query_id long, element long")
+    want = sorted(map(tuple, pack.pack_search(index, asked).collect()))
+    path = f"file://{tmp_path}/words"
+    assert index_tables.save_words(index, path) == 0
+    found = index_source.opened(f"{tmp_path}/words")
+    assert len(found.parts) > 1
+    assert sorted(found.search(keys)) == want and {f % 64 for _, f in want} == set(range(64))
+    udtfs.register(spark, path)
+    rows = spark.sql("select q.query_id, a.filter_id from {asked} q, lateral all_membership(q.element) a", asked=asked)
+    assert sorted(map(tuple, rows.collect())) == want
+    index_tables.save_words(pack.pack_build(sets.where("site_id < 0"), spec), f"{tmp_path}/none")
+    assert index_source.opened(f"{tmp_path}/none").search(keys) == []
+
+
 def orders(keys):
     """(o_custkey, o_orderkey) pairs."""
     return pa.table({"o_orderkey": pa.array([k for _, k in keys], pa.int64()), "o_custkey": pa.array([c for c, _ in keys], pa.int64())})
