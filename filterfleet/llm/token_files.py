@@ -14,10 +14,11 @@ repeated ones in order of their ids; other columns are ignored; no rows give no
 
 from __future__ import annotations
 
+import json
 import os
 import re
 import zlib
-from itertools import chain
+from collections.abc import Iterator
 from struct import pack
 
 import numpy as np
@@ -34,19 +35,171 @@ SIMPLE = re.compile(r"[\x09-\x0D\x20!-~À-ÖØ-öø-įı-ž]*")
 #: The splitting rule of this vocabulary over such characters.
 PIECES = re.compile(r"'(?:[stmd]|re|ve|ll)|[a-zß-öø-ž]+|[0-9]|[^\s0-9a-zß-öø-ž]+").findall
 
+#: Byte classes of lowered simple text in UTF-8: white space, letters, digits, other signs, and the two marks below.
+WHITE, LETTER, DIGIT, SIGN, MARK = range(5)
+CLASS = np.full(256, LETTER, np.uint8)  # two-byte characters that are simple are letters
+CLASS[:128] = SIGN
+CLASS[[9, 10, 11, 12, 13, 32]], CLASS[48:58], CLASS[97:123] = WHITE, DIGIT, LETTER
+#: Marks that no simple text holds: the end of a text, and a word that is not simple.
+END_MARK, WORD_MARK = "\x00", "\x01"
+CLASS[[ord(END_MARK), ord(WORD_MARK)]] = MARK
+#: Where marked text may be cut: no piece goes on before one of these.
+CUT = re.compile(rb"[\x00-\x200-9]")
+#: The first n of eight bytes.
+FIRST_BYTES = np.array([(1 << 8 * n) - 1 for n in range(9)], np.uint64)
+
+
+def piece_bounds(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(starts, ends) of what PIECES finds in lowered simple text (UTF-8 bytes); each mark is a piece of its own.
+
+    A run of one class is a piece, each digit is one, and an apostrophe that starts a run of signs takes a contraction's letters.
+    """
+    kind = np.full(len(data) + 4, WHITE, np.uint8)
+    kind[1:-3] = CLASS[data]
+    start = kind != WHITE
+    start[1:] &= (kind[1:] != kind[:-1]) | (kind[1:] == DIGIT) | (kind[1:] == MARK)
+    at = np.flatnonzero((data == 39) & start[1:-3])
+    if len(at):
+        follow = np.concatenate([data, np.zeros(2, np.uint8)])
+        x, y = follow[at + 1], follow[at + 2]
+        long = ((x == 114) | (x == 118)) & (y == 101) | (x == 108) & (y == 108)  # re, ve, ll
+        short = np.isin(x, np.frombuffer(b"stmd", np.uint8))
+        at, skip = at[short | long], np.where(long, 3, 2)[short | long]
+        start[1 + at + 1] = False
+        start[1 + at + skip] |= kind[1 + at + skip] == LETTER
+    stop = (kind[:-1] != WHITE) & (start[1:] | (kind[1:] == WHITE))
+    return np.flatnonzero(start) - 1, np.flatnonzero(stop)
+
+
+def distinct(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(order that puts equal rows of two numbers side by side; whether each in that order is the first of its kind)."""
+    order = np.lexsort((keys[:, 1], keys[:, 0]))
+    keys = keys[order]
+    return order, np.concatenate([[True], (keys[1:] != keys[:-1]).any(axis=1)])[: len(keys)]
+
+
+def ranges(begin: np.ndarray, many: np.ndarray) -> np.ndarray:
+    """The numbers begin ... begin + many - 1 of all rows, one after the other."""
+    return np.arange(int(many.sum())) + np.repeat(begin - (np.cumsum(many) - many), many)
+
+
+class PieceTable:
+    """ids of pieces of up to 16 bytes and 8 ids, looked up for many pieces at once.
+
+    A piece has two places in a table of fixed size; a new one takes its first if that is free, or else its second from
+    whatever is there. Rows hold the piece's bytes, so a look-up is exact.
+    """
+
+    IDS = 8
+
+    def __init__(self, bits: int):
+        """bits: the table has 2 ** bits rows of 40 bytes."""
+        self.bits, self.rows = np.uint64(bits), np.zeros((1 << bits, 5), np.uint64)
+
+    def places(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        h = keys[:, 0] * np.uint64(0x9E3779B97F4A7C15) ^ keys[:, 1] * np.uint64(0xC2B2AE3D27D4EB4F)
+        h = (h ^ h >> np.uint64(29)) * np.uint64(0xBF58476D1CE4E5B9)
+        return (h >> (np.uint64(64) - self.bits)).astype(np.int64), (h >> np.uint64(16) & np.uint64(len(self.rows) - 1)).astype(np.int64)
+
+    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(whether each piece is held, number of its ids, its ids)."""
+        one, two = self.places(keys)
+        rows = self.rows[one]
+        held = (rows[:, :2] == keys).all(axis=1)
+        other = np.flatnonzero(~held)
+        rows[other] = self.rows[two[other]]
+        held[other] = (rows[other, :2] == keys[other]).all(axis=1)
+        return held, rows[:, 4].astype(np.int64), np.ascontiguousarray(rows[:, 2:4]).view(np.uint16)
+
+    def put(self, keys: np.ndarray, counts: np.ndarray, ids: np.ndarray) -> None:
+        """ids: those of all pieces, one after the other."""
+        one, two = self.places(keys)
+        rows = np.zeros((len(keys), 5), np.uint64)
+        held = np.zeros((len(keys), self.IDS), np.uint16)
+        held[np.arange(self.IDS) < counts[:, None]] = ids
+        rows[:, :2], rows[:, 2:4], rows[:, 4] = keys, held.view(np.uint64), counts
+        self.rows[np.where(self.rows[one, 4] == 0, one, two)] = rows
+
+
+class PieceMerges:
+    """Byte-pair merges of many pieces of up to 16 bytes at once, as the library's model makes them one by one.
+
+    In a round each piece merges its pair of lowest rank, the leftmost of equal ones. The model takes pairs from a queue
+    in the same order, as long as no merge stands before those that make its parts (`ordered`).
+    """
+
+    NONE = np.int32(2**31 - 1)
+
+    def __init__(self, model: dict, spelled: dict[int, str]):
+        """model: the model's part of a tokenizer file; spelled: the character that stands for each byte."""
+        vocab, end = model["vocab"], model.get("end_of_word_suffix") or ""
+        merges = [tuple(m.split(" ")) if isinstance(m, str) else tuple(m) for m in model["merges"]]
+        plain = not any(model.get(x) for x in ("dropout", "continuing_subword_prefix", "byte_fallback", "ignore_merges"))
+        letters = [c + x for x in ("", end) for c in spelled.values()]
+        made_at = {a + b: n for n, (a, b) in enumerate(merges)}
+        known = plain and all(x in vocab for x in letters) and all(x in vocab for x in made_at) and len(made_at) == len(merges)
+        sound = not any(x in made_at for x in letters) and all(made_at.get(x, -1) < n and x in vocab for n, pair in enumerate(merges) for x in pair)
+        self.ordered = known and sound and max(vocab.values()) < 1 << 16
+        if not self.ordered:
+            return
+        self.byte = np.array([[vocab[spelled[b] + x] for b in range(256)] for x in ("", end)], np.int32)
+        codes = np.array([vocab[a] << 16 | vocab[b] for a, b in merges], np.uint32)
+        order = np.argsort(codes)
+        self.codes, self.ranks = np.append(codes[order], np.uint32(2**32 - 1)), np.append(order, self.NONE).astype(np.int32)
+        self.made = np.array([vocab[a + b] for a, b in merges], np.int32)
+
+    def rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        code = left.astype(np.uint32) << np.uint32(16) | right.astype(np.uint32)
+        at = np.searchsorted(self.codes, code)
+        return np.where(self.codes[at] == code, self.ranks[at], self.NONE)
+
+    def __call__(self, keys: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all pieces one after the other, number of ids of each). keys: bytes of each, filled up with noughts to 16."""
+        counts, out = lengths.copy(), np.zeros((len(keys), 16), np.int32)
+        data, rows = np.ascontiguousarray(keys).view(np.uint8), np.arange(len(keys))
+        symbols = self.byte[0][data]
+        symbols[rows, lengths - 1] = self.byte[1][data[rows, lengths - 1]]
+        pairs = np.flatnonzero(np.arange(1, 16) < lengths[:, None])
+        ranks = np.full((len(keys), 15), self.NONE)
+        ranks.flat[pairs] = self.rank(symbols[:, :-1].ravel()[pairs], symbols[:, 1:].ravel()[pairs])
+        while len(rows):
+            best = ranks.argmin(axis=1) if ranks.shape[1] else np.zeros(len(rows), np.int64)
+            rank = ranks[np.arange(len(rows)), best] if ranks.shape[1] else np.full(len(rows), self.NONE)
+            done = rank == self.NONE
+            out[rows[done], : symbols.shape[1]] = symbols[done]
+            rows, symbols, ranks, best, rank = rows[~done], symbols[~done], ranks[~done], best[~done], rank[~done]
+            if not len(rows):
+                break
+            counts[rows] -= 1
+            before, here = np.arange(symbols.shape[1] - 1) <= best[:, None], np.arange(len(rows))
+            symbols = np.where(before, symbols[:, :-1], symbols[:, 1:])
+            symbols[here, best] = self.made[rank]
+            ranks = np.where(before[:, :-1], ranks[:, :-1], ranks[:, 1:])
+            left, right = np.flatnonzero(best > 0), np.flatnonzero(best < counts[rows] - 1)
+            last = np.flatnonzero((best == counts[rows] - 1) & (best < ranks.shape[1]))
+            ranks[last, best[last]] = self.NONE
+            ranks[right, best[right]] = self.rank(symbols[right, best[right]], symbols[right, best[right] + 1])
+            ranks[left, best[left] - 1] = self.rank(symbols[left, best[left] - 1], symbols[left, best[left]])
+        return out[np.arange(16) < counts[:, None]].astype(np.uint32), counts
+
 
 class PieceEncoder(dict):
     """ids of whole texts by the tokenizers library, asked only for what this memo of pieces does not hold.
 
     This vocabulary drops white space, and neither its normalizer nor its splitting rule looks across blanks, tabs and
-    line ends; so a text's ids are its words' ids one after the other. Text of simple characters is lowered and split
-    into pieces here, and the library's model is asked for new pieces; any other word goes through the whole library.
+    line ends; so a text's ids are its words' ids one after the other. Text of simple characters is lowered, and split
+    into pieces here for many texts at once. Pieces of up to 16 bytes are held in a `PieceTable`; new ones go through
+    `PieceMerges`, and through the library's model if that does not hold for a vocabulary, as longer pieces do. Any
+    other word goes through the whole library.
 
-    The memo has two generations: what was asked for lately is kept when the older one is dropped.
+    The memo of what the library was asked for has two generations: what was asked for lately is kept when the older one
+    is dropped.
     """
 
-    def __init__(self, path: str, most: int = 400_000):
-        """most: bound of the memo, about 150 bytes an entry."""
+    MOST = 2 << 20  # bytes that are split at a time, or to the next place for a cut
+
+    def __init__(self, path: str, most: int = 200_000, bits: int = 20):
+        """most: bound of the memo, about 150 bytes an entry; bits: size of the table, 40 MB by default."""
         super().__init__()
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
@@ -58,6 +211,8 @@ class PieceEncoder(dict):
         self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
         self.spelled = {byte: character for character, byte in printable_bytes().items()}
         self.half, self.older = most // 2, {}
+        self.narrow = max(self.library.get_vocab().values()) < 1 << 16  # what the table can hold
+        self.table, self.merges = PieceTable(bits), PieceMerges(json.loads(self.library.to_str())["model"], self.spelled)
 
     def __missing__(self, piece: str) -> bytes:
         value = self.older.get(piece)
@@ -76,17 +231,78 @@ class PieceEncoder(dict):
     def _is_simple(self, text: str) -> bool:
         return SIMPLE.fullmatch(text) is not None and not any(s in text for s in self.special)
 
-    def _pieces(self, text: str) -> list[str]:
-        """Pieces of a text in order; a word that is not simple is one piece, with a blank before it to tell it apart."""
+    def _marked(self, text: str, others: list[str]) -> str:
+        """The text, lowered; words that are not simple go to `others`, with a blank before them, and a mark stands for each."""
         if self._is_simple(text):
-            return PIECES(text.lower())
-        words = [w.decode() for w in text.encode().split()]
-        return list(chain.from_iterable(PIECES(w.lower()) if self._is_simple(w) else [" " + w] for w in words))
+            return text.lower()
+        words = []
+        for w in text.encode().split():
+            w = w.decode()
+            if self._is_simple(w):
+                words.append(w.lower())
+            else:
+                words.append(WORD_MARK)
+                others.append(" " + w)
+        return " ".join(words)
+
+    def encode_texts(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts one after the other, each with the end id, as unsigned 32-bit; number of ids of each text)."""
+        others: list[str] = []
+        raw = "".join([self._marked(x or "", others) + END_MARK for x in texts]).encode()
+        found, ends, at, total, other = [np.empty(0, np.uint32)], [np.empty(0, np.int64)], 0, 0, iter(others)
+        while at < len(raw):
+            cut = CUT.search(raw, at + self.MOST)
+            stop = cut.start() if cut else len(raw)
+            ids, stops = self._encode(raw[at:stop], other)
+            found.append(ids)
+            ends.append(total + stops)
+            at, total = stop, total + len(ids)
+        return np.concatenate(found), np.diff(np.concatenate(ends), prepend=0)
+
+    def _encode(self, raw: bytes, others: Iterator[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of marked text in UTF-8; where among them texts end)."""
+        padded = np.frombuffer(raw + bytes(16), np.uint8)
+        data = padded[: len(raw)]
+        starts, ends = piece_bounds(data)
+        lengths, first = ends - starts, data[starts]
+        end, word = first == ord(END_MARK), first == ord(WORD_MARK)
+        eight = np.ndarray(len(raw) + 9, "<u8", padded, 0, (1,))  # the eight bytes from each place on
+        keys = np.empty((len(starts), 2), np.uint64)
+        keys[:, 0] = eight[starts] & FIRST_BYTES[np.minimum(lengths, 8)]
+        keys[:, 1] = eight[starts + 8] & FIRST_BYTES[np.clip(lengths - 8, 0, 8)]
+        fits = (lengths <= 16) & ~end & ~word
+        held, counts, ids = self.table.find(keys)
+        held &= fits
+        counts[end], ids[end, 0] = 1, END_ID
+        known = held | end
+        fresh = fits & ~held & self.merges.ordered
+        parts = []
+        if len(at := np.flatnonzero(fresh)):
+            order, first = distinct(keys[at])
+            new = at[order[first]]
+            merged, many = self.merges(keys[new], lengths[new])
+            which = np.empty(len(at), np.int64)
+            which[order] = np.cumsum(first) - 1
+            counts[at] = many[which]
+            parts.append((at, merged[ranges((np.cumsum(many) - many)[which], many[which])]))
+        if len(at := np.flatnonzero(~known & ~fresh)):
+            values = [self[next(others) if w else raw[a:b].decode()] for a, b, w in zip(starts[at].tolist(), ends[at].tolist(), word[at].tolist())]
+            counts[at] = np.fromiter(map(len, values), np.int64, len(values)) // 4
+            parts.append((at, np.frombuffer(b"".join(values), "<u4")))
+        stops = np.cumsum(counts)
+        out = np.empty(int(counts.sum()), np.uint32)
+        out[np.repeat(known, counts)] = ids[known][np.arange(PieceTable.IDS) < counts[known][:, None]]
+        for at, new in parts:
+            out[ranges(stops[at] - counts[at], counts[at])] = new
+            keep = fits[at] & (counts[at] <= PieceTable.IDS) & self.narrow
+            self.table.put(keys[at[keep]], counts[at[keep]], new[np.repeat(keep, counts[at])])
+        return out, stops[end]
 
     def encode_batch(self, texts: list[str | None]) -> list[bytes]:
         """ids of each text with the end id, little-endian unsigned 32-bit."""
-        end, ids = pack("<I", END_ID), self.__getitem__
-        return [b"".join(map(ids, self._pieces(x or ""))) + end for x in texts]
+        ids, counts = self.encode_texts(texts)
+        raw, stops = ids.astype("<u4").tobytes(), np.cumsum(4 * counts).tolist()
+        return [raw[a:b] for a, b in zip([0, *stops], stops)]
 
 
 _encoders: dict[str, PieceEncoder] = {}

@@ -177,6 +177,36 @@ def test_pieces_encode_apart():
         assert max(len(encoder), len(encoder.older)) <= 32
 
 
+def test_piece_bounds_follow_the_splitting_rule():
+    rng = random.Random(12)
+    for _ in range(3000):
+        text = "".join(rng.choices("'''''stmdrevlaé9 0\n.-\"", k=rng.randint(0, 20)))
+        raw = text.encode()
+        starts, ends = token_files.piece_bounds(np.frombuffer(raw, np.uint8))
+        assert [raw[a:b].decode() for a, b in zip(starts.tolist(), ends.tolist())] == token_files.PIECES(text)
+
+
+def test_new_pieces_do_not_ask_the_library():
+    encoder, lib = token_files.PieceEncoder(byte_bpe.vocabulary_path("word_bpe_49k.json"), bits=6), library("word_bpe_49k.json")
+    encoder.MOST = 100
+
+    def ask(piece):
+        assert len(piece.encode()) > 16
+        return lib.model.tokenize(piece)
+
+    encoder.tokenize = ask
+    rng, letters = random.Random(9), "etaoinshrdlucmfwypvbgkqjxzéßøž"
+    texts = [" ".join("".join(rng.choices(letters, k=rng.randint(1, 16))) for _ in range(60)) for _ in range(40)]
+    texts = [" ".join(w for w in x.split() if len(w.encode()) <= 16) for x in texts]
+    texts += ["aaaaaaaaaaaaaaaa aaa banana ananan", "it's 'SHE'LL' they're''s x'v 've'd 'm3 'd'", "0123456789" * 40, "!!!! ?!?! ---- '''' ''s", None, "", "internationalization's " * 30, "日本 Été “x” " * 20]
+    for _ in range(2):  # the second time some pieces are held; the small table drops others
+        for text, packed in zip(texts, encoder.encode_batch(texts)):
+            assert np.frombuffer(packed, "<u4").tolist() == lib.encode(text or "", add_special_tokens=False).ids + [1]
+    assert encoder.merges.ordered and encoder.encode_batch([]) == []
+    encoder.merges.ordered, encoder.tokenize, encoder.table = False, lib.model.tokenize, token_files.PieceTable(6)  # by the library alone
+    assert encoder.encode_batch(texts[:60:7]) == token_files.PieceEncoder(byte_bpe.vocabulary_path("word_bpe_49k.json")).encode_batch(texts[:60:7])
+
+
 # --- shingle join
 
 
