@@ -64,7 +64,7 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
 
 #: A part of an identifier: one word of 3 to 12 letters, as cases, digits and signs divide it. Longer runs of letters are
 #: left out, so that a key that many copies of a text hold does not become a word of the dictionary.
-PART = re.compile(r"(?<![a-z])(?:[A-Z][a-z]{2,11}|[a-z]{3,12})(?![a-z])")
+PART = re.compile(r"(?:[A-Z][a-z]{2,11}|(?<![A-Za-z])[a-z]{3,12})(?![a-z])")
 
 
 def identifier_primer(docs: DataFrame, most: int = 4000) -> str:

@@ -715,6 +715,11 @@ def test_identifier_primer(spark, odd):
     assert secret_scan.identifier_primer(frame(spark, [None, ""])).endswith(secret_scan.PRIMER)
 
 
+def test_identifier_parts_end_where_cases_do():
+    assert secret_scan.PART.findall("userName getHTTPServer parseURLs") == ["user", "Name", "get", "Server", "parse"]
+    assert secret_scan.PART.findall("Abcdefghijkl Abcdefghijklm xAbcdefghijklm") == ["Abcdefghijkl"]  # one letter more is left out whole
+
+
 def test_dull_runs_stay():
     for run in ("x" * 5000, "token" * 3000, "configuration-settings-environment-path-" * 40):
         assert secret_scan.scan_text(f"the token {run} of it")[1] == []
