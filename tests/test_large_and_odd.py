@@ -182,3 +182,30 @@ def test_trees_are_searched_in_parts(spark):
 def test_sweeps_read_a_given_table(spark):
     for name in ("sweep_distribution", "sweep_set_size"):
         assert "Relation [" in catalogue.QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString(), name
+
+
+def test_loads_are_counted_from_their_sets(spark):
+    """Known sets give the costs and root that rows of words give: tiers of parts, orders, orders of the tree, odd sets."""
+    spec = FilterSpec(40, 0.1)
+    sets = ranges(spark, 900, 3).unionByName(spark.createDataFrame([(7, 2699), (899, 0), (1 << 60, 5), (None, 3), (3, None)], "site_id long, element long"))
+    asked = spark.range(0, 5400, 3).selectExpr("id as query_id", "id as element").unionByName(spark.createDataFrame([(-1, None), (-2, 7), (-2, 8)], "query_id long, element long"))
+    words = filters.build_filters(sets, spec)
+    for d, order in ((2, "id"), (2, "ones"), (5, "minhash")):
+        plain, loaded = tree.bulk_load(words, spec, d, order), tree.bulk_load(words, spec, d, order, members=sets)
+        want = sorted(map(tuple, tree.counted_cost(plain, asked).collect()))
+        for most in (1, 64 << 20):
+            assert len(tree.load_tiers(loaded.load.sizes, d, spec.m, most)) == (2 if most == 1 else 1)
+            assert sorted(map(tuple, tree._load_cost(loaded, asked, most).collect())) == want
+        assert "words" not in vars(loaded)  # no row of words was formed
+        assert sorted(tree.root_words(loaded).collect()) == sorted(tree.root_words(plain).collect())
+        assert sorted(loaded.nodes.collect(), key=lambda r: r.node_id) == sorted(plain.nodes.collect(), key=lambda r: r.node_id)
+    none = tree.bulk_load(words.limit(0), spec, 2, members=sets.limit(0))
+    assert {r.nodes_checked for r in tree.counted_cost(none, asked).collect()} == {0} and not none.words.collect()
+
+
+def test_elements_are_hashed_once(spark):
+    """Not once for each of their positions: the digest stands outside of the function over positions."""
+    from filterfleet.functions.hashing import positions
+
+    plan = spark.range(1).select(positions(F.col("id"), FilterSpec(1500)).alias("spots"))._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.rindex("md5") < plan.index("lambdafunction")
