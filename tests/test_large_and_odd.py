@@ -209,3 +209,14 @@ def test_elements_are_hashed_once(spark):
 
     plan = spark.range(1).select(positions(F.col("id"), FilterSpec(1500)).alias("spots"))._jdf.queryExecution().optimizedPlan().toString()
     assert plan.rindex("md5") < plan.index("lambdafunction")
+
+
+def test_ranges_move_a_row_for_each_band(spark):
+    """A range over many cells is few rows of the join, on either side of zero and at the bands' ends."""
+    points = spark.range(-200, 200).withColumnRenamed("id", "event_id")
+    spans = spark.createDataFrame([(1, -200, 199), (2, -1, 0), (3, -33, -32), (4, 31, 32), (5, 16, 15), (6, -165, 165)], "site_id long, lo long, hi long").where("lo <= hi")
+    found = relational.range_pairs(points, spans, 2, band=16)
+    want = sorted((e, s) for s, lo, hi in [tuple(r) for r in spans.collect()] for e in range(-200, 200) if lo <= e <= hi)
+    assert sorted(map(tuple, found.collect())) == want
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "inline(cells" in plan and "explode(sequence(FLOOR" in plan
